@@ -9,11 +9,12 @@ about new ones, many at a time. Everything else is NumPy gathers over a batch of
 from __future__ import annotations
 
 from collections.abc import Iterable, Iterator
+from itertools import repeat
 
 import numpy as np
 
 #: Distinct chunks a worker remembers before it starts afresh.
-CACHE_CHUNKS = 400_000
+CACHE_CHUNKS = 800_000
 #: Bytes of text handled at once.
 BLOCK_BYTES = 2_000_000
 
@@ -24,24 +25,69 @@ def tokenizer_path(name: str = "word_bpe_49k.json") -> str:
     return public_tokenizers.path(name)
 
 
+class _Runs:
+    """Runs of ids by key, in growing arrays."""
+
+    def __init__(self):
+        self.index: dict = {}
+        self.ids = np.empty(1 << 16, np.uint32)
+        self.used = 0
+        self.start = np.zeros(1 << 14, np.int64)
+        self.count = np.zeros(1 << 14, np.int64)
+
+    def add(self, keys: list, ids: np.ndarray, count: np.ndarray) -> None:
+        have, n = len(self.index), len(ids)
+        while self.used + n > len(self.ids):
+            self.ids = np.concatenate([self.ids, np.empty_like(self.ids)])
+        while have + len(keys) > len(self.start):
+            self.start = np.concatenate([self.start, np.zeros_like(self.start)])
+            self.count = np.concatenate([self.count, np.zeros_like(self.count)])
+        self.ids[self.used : self.used + n] = ids
+        self.start[have : have + len(keys)] = self.used + np.cumsum(count) - count
+        self.count[have : have + len(keys)] = count
+        self.used += n
+        self.index.update(zip(keys, range(have, have + len(keys)), strict=True))
+
+    def take(self, place: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """The runs at these places one after the other, and their lengths."""
+        count, start = self.count[place], self.start[place]
+        ends = np.cumsum(count)
+        flat = np.arange(ends[-1] if len(ends) else 0)
+        flat += np.repeat(start - (ends - count), count)
+        return self.ids[flat], count
+
+
+#: Punctuation that may end a chunk: as a run, it is a pre-token of its own.
+_TAIL = "".join(c for c in map(chr, range(33, 127)) if not c.isalnum() and c not in "'<>|")
+
+
 class ChunkEncoder:
-    """Ids by chunk, for a ``tokenizers`` file whose pre-tokens never hold white space."""
+    """Ids by chunk, for a ``tokenizers`` file whose pre-tokens never hold white space.
+
+    A chunk of letters and a tail of punctuation is two pre-tokens, and letters are lower-cased
+    first: such chunks are put together from the ids of their two parts, which recur more often.
+    """
 
     def __init__(self, path: str, cache_chunks: int = CACHE_CHUNKS):
         from tokenizers import Tokenizer
 
         self._tok = Tokenizer.from_file(path)
         self._limit = cache_chunks
-        self._reset()
-
-    def _reset(self) -> None:
-        self._index: dict[bytes, int] = {}
-        self._ids = np.empty(1 << 16, np.uint32)
-        self._used = 0
-        self._start = np.zeros(1 << 14, np.int64)
-        self._count = np.zeros(1 << 14, np.int64)
-
-    def _learn(self, chunks: list[bytes]) -> None:
+        vocab = self._tok.get_vocab(with_added_tokens=True)
+        self._last = np.zeros(max(vocab.values()) + 1, bool)
+        self._last[[i for t, i in vocab.items() if t.endswith("</w>")]] = True
+        self._chunks, self._parts = _Runs(), _Runs()
+
+    def _learn_parts(self, parts: list[str]) -> None:
+        for at in range(0, len(parts), 8192):
+            some = parts[at : at + 8192]
+            ids = np.asarray(self._tok.encode(" ".join(some), add_special_tokens=False).ids, np.uint32)
+            ends = np.flatnonzero(self._last[ids]) + 1
+            if len(ends) != len(some):
+                raise ValueError("a pre-token of this tokenizer does not end in a word end")
+            self._parts.add(some, ids, np.diff(ends, prepend=0))
+
+    def _learn_whole(self, chunks: list[bytes]) -> None:
         """Asks the tokenizer about ``chunks`` as one text, and cuts its ids by their offsets."""
         for at in range(0, len(chunks), 4096):
             part = chunks[at : at + 4096]
@@ -50,18 +96,32 @@ class ChunkEncoder:
             ids = np.asarray(found.ids, np.uint32)
             begin = np.cumsum([0] + [len(w) + 1 for w in words[:-1]])
             first = np.fromiter((o[0] for o in found.offsets), np.int64, len(ids))
-            count = np.bincount(np.searchsorted(begin, first, "right") - 1, minlength=len(part))
-            have, n = len(self._index), len(ids)
-            while self._used + n > len(self._ids):
-                self._ids = np.concatenate([self._ids, np.empty_like(self._ids)])
-            while have + len(part) > len(self._start):
-                self._start = np.concatenate([self._start, np.zeros_like(self._start)])
-                self._count = np.concatenate([self._count, np.zeros_like(self._count)])
-            self._ids[self._used : self._used + n] = ids
-            self._start[have : have + len(part)] = self._used + np.cumsum(count) - count
-            self._count[have : have + len(part)] = count
-            self._used += n
-            self._index.update(zip(part, range(have, have + len(part)), strict=True))
+            self._chunks.add(part, ids, np.bincount(np.searchsorted(begin, first, "right") - 1, minlength=len(part)))
+
+    def _learn(self, chunks: list[bytes]) -> None:
+        whole, split, cores, tails = [], [], [], []
+        for c in chunks:
+            s = c.decode("utf-8", "replace")
+            core = s.rstrip(_TAIL)
+            if core.isalpha() and (core.isascii() or (max(core) < "\u0250" and "\u0130" not in core)):
+                split.append(c)
+                cores.append(core.lower())
+                tails.append(s[len(core) :])
+            else:
+                whole.append(c)
+        if whole:
+            self._learn_whole(whole)
+        if split:
+            index = self._parts.index
+            self._learn_parts([p for p in {*cores, *tails} if p and p not in index])
+            index[""] = index.get("", -1)
+            place = np.fromiter((index[p] for pair in zip(cores, tails, strict=True) for p in pair), np.int64, 2 * len(split))
+            index.pop("")
+            real = place >= 0
+            ids, count = self._parts.take(place[real])
+            both = np.zeros(len(place), np.int64)
+            both[real] = count
+            self._chunks.add(split, ids, both[0::2] + both[1::2])
 
     def _places(self, texts: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
         """For all chunks of ``texts``, their place in the cache; and how many each text has."""
@@ -71,31 +131,32 @@ class ChunkEncoder:
             own = t.split()
             sizes[i] = len(own)
             chunks += own
-        if len(self._index) > self._limit:
-            self._reset()
-        index = self._index
-        new = [c for c in set(chunks) if c not in index]
+        if len(self._chunks.index) > self._limit:
+            self._chunks = _Runs()
+        if len(self._parts.index) > self._limit:
+            self._parts = _Runs()
+        index = self._chunks.index
+        place = np.fromiter(map(index.get, chunks, repeat(-1)), np.int64, len(chunks))
+        new = np.flatnonzero(place < 0).tolist()
         if new:
-            self._learn(new)
-        return np.fromiter(map(index.__getitem__, chunks), np.int64, len(chunks)), sizes
+            self._learn(list(dict.fromkeys([chunks[i] for i in new])))
+            place[new] = [index[chunks[i]] for i in new]
+        return place, sizes
 
     def counts(self, texts: list[bytes]) -> np.ndarray:
         """Number of ids of each text."""
         place, sizes = self._places(texts)
-        total = np.concatenate([[0], np.cumsum(self._count[place])])
+        total = np.concatenate([[0], np.cumsum(self._chunks.count[place])])
         ends = np.cumsum(sizes)
         return total[ends] - total[ends - sizes]
 
     def ids(self, texts: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
         """All ids in one array, and how many belong to each text."""
         place, sizes = self._places(texts)
-        count, start = self._count[place], self._start[place]
-        ends = np.cumsum(count)
-        flat = np.arange(ends[-1] if len(ends) else 0)
-        flat += np.repeat(start - (ends - count), count)
-        total = np.concatenate([[0], ends])
+        ids, count = self._chunks.take(place)
+        total = np.concatenate([[0], np.cumsum(count)])
         stop = np.cumsum(sizes)
-        return self._ids[flat], total[stop] - total[stop - sizes]
+        return ids, total[stop] - total[stop - sizes]
 
 
 _ENCODERS: dict[str, ChunkEncoder] = {}

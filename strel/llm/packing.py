@@ -65,7 +65,7 @@ class _Packer:
 
     def add(self, doc_id: int, ids: np.ndarray) -> None:
         n, at = len(ids), 0
-        piece = lambda a, b: (doc_id, a, b - a, zlib.crc32(ids[a:b].astype("<u4").tobytes()), n)
+        piece = lambda a, b: (doc_id, a, b - a, zlib.crc32(ids[a:b]), n)
         while n - at >= self.window:
             self._put(self._new(), self.window, piece(at, at + self.window))
             at += self.window
@@ -108,7 +108,7 @@ def _pack_task(path: str, window: int, open_windows: int, min_cut: int, end_id:
                 flat, counts = enc.ids(texts)
                 at = 0
                 for k, c in zip(keys, counts.tolist(), strict=True):
-                    packer.add(k, np.append(flat[at : at + c], np.uint32(end_id)))
+                    packer.add(k, np.append(flat[at : at + c], np.uint32(end_id)).astype("<u4", copy=False))
                     at += c
                 if len(packer.out) > 20_000:
                     yield table(packer.out, False)
