@@ -7,6 +7,7 @@ lacks it (unit tests, a laptop) the setting is filled in once with a folder unde
 from __future__ import annotations
 
 import atexit
+import gc
 import os
 import shutil
 import tempfile
@@ -53,19 +54,35 @@ def shared_dir(spark: SparkSession) -> str:
     return found.rstrip("/")
 
 
-def materialize(df: DataFrame, tag: str, partition_by: tuple[str, ...] = ()) -> DataFrame:
+def materialize(df: DataFrame, tag: str, *spent: DataFrame | None) -> DataFrame:
     """Writes ``df`` as a table in the shared folder and reads it again.
 
     The result has no lineage: a lost executor costs a re-read, not a re-computation, and two
-    consumers of the result share one evaluation.
+    consumers of the result share one evaluation. ``spent`` are earlier such tables that only ``df``
+    still read; they are deleted.
     """
     spark = df.sparkSession
     path = f"{shared_dir(spark)}/strel/{tag}-{uuid.uuid4().hex}"
-    writer = df.write.mode("overwrite")
-    if partition_by:
-        writer = writer.partitionBy(*partition_by)
-    writer.parquet(path)
-    return spark.read.schema(df.schema).parquet(path) if not partition_by else spark.read.parquet(path)
+    df.write.mode("overwrite").parquet(path)
+    found = spark.read.schema(df.schema).parquet(path)
+    found._strel_path = path
+    discard(*(t for t in spent if t is not None))
+    return found
+
+
+def discard(*tables: DataFrame) -> None:
+    """Deletes tables that ``materialize`` wrote, once nothing reads them any more.
+
+    Also lets the JVM notice that the shuffles of finished steps are unreachable, so that long
+    iterative operators do not hold the disk of every step.
+    """
+    for t in tables:
+        jvm = t.sparkSession.sparkContext._jvm
+        path = jvm.org.apache.hadoop.fs.Path(t._strel_path)
+        path.getFileSystem(t.sparkSession.sparkContext._jsc.hadoopConfiguration()).delete(path, True)
+    if tables:
+        gc.collect()
+        tables[0].sparkSession.sparkContext._jvm.System.gc()
 
 
 def release(spark: SparkSession) -> None:
