@@ -14,9 +14,10 @@ vanish where the keys meet; a set left with fewer than r keys has no partner and
 which frees more keys. So sets that only have a common passage drop out before any pair exists.
 
 Links within a group of near copies need not all be looked at to know its class: each set is first
-compared with the smallest set that shares a key with it. Only sets that still lie in different
-classes and share a key are then compared with each other, all of them. Before sets are compared,
-a 512-bit parity sketch of each gives a lower bound of their difference (its Hamming distance).
+compared with one smaller set, that with which it shares most keys, then each class with one other
+class in the same way, for some rounds. Sets that still lie in different classes and share a key
+are then compared with each other, all of them. Before sets are compared, a 512-bit parity sketch of each gives a lower bound of their
+difference (its Hamming distance).
 
 Equal sets (exact copies) are one set from the start. Nothing is sampled or capped.
 """
@@ -27,12 +28,12 @@ import math
 from collections.abc import Iterator
 
 import numpy as np
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from strel.llm.encode import blocks
 from strel.llm.shingles import mix, shingle_hashes
-from strel.runtime import materialize, ship
+from strel.runtime import discard, materialize, ship
 
 _U = np.uint64
 #: Ratio of the bounds of a size band.
@@ -43,6 +44,8 @@ SKETCH_WORDS = 8
 KEYS_PER_TASK = 1_500_000
 #: Distinct sets whose keys a task remembers having emitted.
 SEEN_SETS = 200_000
+#: Rounds of comparing each class with one other, before all that is left is compared.
+STAR_ROUNDS = 3
 #: Ids that may be sent to every executor (8 bytes each); more are joined by a shuffle.
 BROADCAST_IDS = 2_000_000
 
@@ -252,7 +255,7 @@ def components(edges: DataFrame, tag: str = "classes") -> DataFrame:
         low = far.groupBy("u").agg(F.min("v").alias("m"))
         near = far.join(low, "u")
         near = near.where("v > m").select(F.col("v").alias("u"), F.col("m").alias("v")).unionByName(low.select("u", F.col("m").alias("v"))).distinct()
-        edges = materialize(near, tag)
+        edges = materialize(near, tag, edges)
         now = tuple(edges.agg(F.count(F.lit(1)), F.sum(F.expr("xxhash64(u, v) div 4096"))).first())
         if now == before:
             break
@@ -261,6 +264,25 @@ def components(edges: DataFrame, tag: str = "classes") -> DataFrame:
     return low.select(F.col("u").alias("id"), "component").unionByName(low.select(F.col("component").alias("id"), "component").distinct())
 
 
+def _enough(met: DataFrame) -> DataFrame:
+    """Rows of sets that have at least as many keys as they share with any partner."""
+    have = met.groupBy("reg", "need").agg(F.count(F.lit(1)).alias("have")).where("have >= need").select("reg")
+    return met.join(have, "reg", "left_semi")
+
+
+def _jump(pointers: DataFrame) -> DataFrame:
+    """c and up: where pointers to ever smaller classes lead in the end."""
+    now = materialize(pointers, "pointers")
+    before = None
+    while True:
+        ups = now.select(F.col("c").alias("up"), F.col("up").alias("upper"))
+        now = materialize(now.join(ups, "up", "left").select("c", F.coalesce("upper", "up").alias("up")), "pointers", now)
+        total = now.agg(F.sum(F.expr("xxhash64(c, up) div 4096"))).first()[0]
+        if total == before:
+            return now
+        before = total
+
+
 def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = 5, num: int = 75, den: int = 100) -> DataFrame:
     """Classes of documents linked by similar sets of word shingles.
 
@@ -286,51 +308,70 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     buckets = max(16, math.ceil(total / 2 / KEYS_PER_TASK))
     met = materialize(
         rows.mapInArrow(_emit(width, bands, buckets), "bucket long, keys binary, sets binary").groupBy("bucket").applyInArrow(_meet, "key long, reg long"),
-        "shared-keys",
+        "keys",
     )
     # every set once for each band that it takes part in, with the number of keys a partner shares
     regs = one.selectExpr("id", "stack(2, set_a, need_own, set_a | 1L, need_low) AS (reg, need)").where("need IS NOT NULL")
-    met = materialize(met.join(regs, "reg").select("key", "reg", "need", "id"), "keys")
-    for _ in range(3):  # each step frees keys of other sets
-        left = met.groupBy("reg", "need").agg(F.count(F.lit(1)).alias("have")).where("have >= need").select("reg")
-        met = met.join(left, "reg", "left_semi")
+    met = materialize(_enough(met.join(regs, "reg").select("key", "reg", "need", "id")), "keys", met)
+    for _ in range(2):  # each step frees keys of other sets
         again = met.groupBy("key").agg(F.min("id").alias("lo"), F.max("id").alias("hi")).where("lo < hi").select("key")
-        met = materialize(met.join(again, "key", "left_semi"), "keys")
+        met = materialize(_enough(met.join(again, "key", "left_semi")), "keys", met)
     need = materialize(met.select(F.col("id").alias("doc_id")).distinct(), "with-partners")
-    sets = materialize(by_ids(rows, need, "doc_id").dropDuplicates(["doc_id"]).mapInArrow(_stored_sets(width), "id long, elements binary"), "elements")
-    sets = sets.join(one.select("id", "n", "sketch"), "id")
-
-    words = [f"conv(hex(substring(sk, {8 * i + 1}, 8)), 16, -10)" for i in range(SKETCH_WORDS)]
-    packed = sets.select("id", "n", F.array(*[F.expr(w.replace("sk,", "sketch,")).cast("long") for w in words]).alias("sk"), "elements")
-    packed = materialize(packed, "elements")
-    small = packed.select("id", "n", "sk")
+    found = by_ids(rows, need, "doc_id").dropDuplicates(["doc_id"]).mapInArrow(_stored_sets(width), "id long, elements binary")
+    packed = materialize(found.join(F.broadcast(need) if need.count() <= BROADCAST_IDS else need, F.col("id") == F.col("doc_id"), "left_semi"), "elements")
+    words = [F.expr(f"conv(hex(substring(sketch, {8 * i + 1}, 8)), 16, -10)").cast("long") for i in range(SKETCH_WORDS)]
+    small = materialize(one.join(need, F.col("id") == F.col("doc_id"), "left_semi").select("id", "n", F.array(*words).alias("sk")), "sketches")
 
     def similar(pairs: DataFrame) -> DataFrame:
         a = small.select(F.col("id").alias("a"), F.col("n").alias("na"), F.col("sk").alias("sa"))
         b = small.select(F.col("id").alias("b"), F.col("n").alias("nb"), F.col("sk").alias("sb"))
         apart = F.aggregate(F.zip_with("sa", "sb", lambda x, y: F.bit_count(x.bitwiseXOR(y))), F.lit(0), lambda s, x: s + x)
-        likely = pairs.join(a, "a").join(b, "b").where(apart * (bands.den + bands.num) <= (F.col("na") + F.col("nb")) * (bands.den - bands.num))
-        x = packed.select(F.col("id").alias("a"), F.col("elements").alias("x"))
-        y = packed.select(F.col("id").alias("b"), F.col("elements").alias("y"))
-        return likely.select("a", "b").join(x, "a").join(y, "b").select("a", "b", "x", "y").mapInArrow(_compare(bands), "a long, b long")
-
-    hub = met.join(met.groupBy("key").agg(F.min("id").alias("hub")), "key")
-    stars = hub.where("id > hub").groupBy("id").agg(F.min("hub").alias("hub"))
-    links = materialize(similar(stars.select(F.col("hub").alias("a"), F.col("id").alias("b"))), "links")
-    for _ in range(2):
-        comp = materialize(components(links), "classes")
-        known = met.select("key", "id").join(comp, "id", "left").select("key", "id", F.coalesce("component", "id").alias("c"))
-        split = known.groupBy("key").agg(F.min("c").alias("lo"), F.max("c").alias("hi")).where("lo < hi").select("key", F.col("lo").alias("hub"))
-        if _ == 0:  # the head of each class that still shares a key with a smaller class
-            stars = known.join(split, "key").where("c > hub").groupBy("c", "hub").agg(F.min("id").alias("id"))
-            pairs = stars.select(F.least("hub", "id").alias("a"), F.greatest("hub", "id").alias("b")).distinct()
-        else:
-            open_ = known.join(split.select("key"), "key", "left_semi")
-            pairs = (
-                open_.alias("p").join(open_.alias("q"), (F.col("p.key") == F.col("q.key")) & (F.col("p.c") < F.col("q.c")))
-                .select(F.least("p.id", "q.id").alias("a"), F.greatest("p.id", "q.id").alias("b")).distinct()
-            )
-        links = materialize(links.unionByName(similar(pairs)), "links")
-    comp = components(links)
+        most = (F.col("na") + F.col("nb")) * (bands.den - bands.num)
+        lengths = F.least("na", "nb") * bands.den >= F.greatest("na", "nb") * bands.num
+        likely = materialize(pairs.join(a, "a").join(b, "b").where(lengths & (apart * (bands.den + bands.num) <= most)).select("a", "b"), "pairs")
+        few = likely.count() <= BROADCAST_IDS
+        x = packed.select(F.col("id").alias("a"), F.col("elements").alias("x")).join(F.broadcast(likely) if few else likely, "a")
+        involved = likely.select(F.col("b").alias("id")).distinct()
+        y = packed.join(F.broadcast(involved) if few else involved, "id", "left_semi").select(F.col("id").alias("b"), F.col("elements").alias("y"))
+        return x.join(y, "b").select("a", "b", "x", "y").mapInArrow(_compare(bands), "a long, b long")
+
+    comp = materialize(need.select(F.col("doc_id").alias("id"), F.col("doc_id").alias("c")), "classes")
+    tested, open_ = None, met
+    for _ in range(STAR_ROUNDS):
+        # each class against the one smaller class with which one of its sets shares most keys
+        known = open_.join(comp, "id")
+        low = known.groupBy("key").agg(F.min(F.struct("c", "id")).alias("low"), F.max("c").alias("hi")).where("low.c < hi").select("key", F.col("low.c").alias("hub_c"), F.col("low.id").alias("hub"))
+        ends = known.join(low, "key").where("c > hub_c").groupBy("id", "c", "hub", "hub_c").agg(F.count(F.lit(1)).alias("shared"))
+        ends = ends.select("c", "hub_c", "shared", F.least("id", "hub").alias("a"), F.greatest("id", "hub").alias("b"))
+        if tested is not None:
+            ends = ends.join(tested, ["a", "b"], "left_anti")
+        best = materialize(ends.groupBy("c").agg(F.max(F.struct("shared", "hub_c", "a", "b")).alias("x")).select("c", "x.hub_c", "x.a", "x.b"), "best")
+        good = materialize(similar(best.select("a", "b")), "links")
+        links = good.count()
+        tested = materialize(best.select("a", "b") if tested is None else tested.unionByName(best.select("a", "b")), "tested", tested)
+        if links:
+            ups = _jump(best.join(good, ["a", "b"], "left_semi").select("c", F.col("hub_c").alias("up")))
+            comp = materialize(comp.join(ups, "c", "left").select("id", F.coalesce("up", "c").alias("c")), "classes", comp, ups)
+        # a set's links to other classes need as many keys as ever, now among keys that classes share
+        known = open_.join(comp, "id")
+        split = known.groupBy("key").agg(F.min("c").alias("lo"), F.max("c").alias("hi")).where("lo < hi").select("key")
+        open_ = materialize(_enough(known.join(split, "key").select("key", "reg", "need", "id")), "open-keys", open_)
+        discard(good, best)
+        if not links:
+            break
+    # what still lies in different classes and shares enough keys: every pair of it. Of all keys of
+    # a set but need-1 at least one is shared, so the rarest ones do
+    often = open_.groupBy("key").agg(F.count(F.lit(1)).alias("often"))
+    have = open_.groupBy("reg").agg(F.count(F.lit(1)).alias("have"))
+    place = F.row_number().over(Window.partitionBy("reg").orderBy("often", "key"))
+    rare = open_.join(often, "key").join(have, "reg").withColumn("place", place).where("place <= have - need + 1")
+    known = materialize(rare.select("key", "id").join(comp, "id"), "rare-keys", open_)
+    pairs = known.alias("p").join(known.alias("q"), (F.col("p.key") == F.col("q.key")) & (F.col("p.c") < F.col("q.c")))
+    pairs = pairs.select(F.least("p.id", "q.id").alias("a"), F.greatest("p.id", "q.id").alias("b")).distinct().join(tested, ["a", "b"], "left_anti")
+    good = similar(pairs)
+    side = lambda x, y: comp.select(F.col("id").alias(x), F.col("c").alias(y))
+    merged = components(good.join(side("a", "ca"), "a").join(side("b", "cb"), "b").select(F.col("ca").alias("a"), F.col("cb").alias("b")))
+    comp = materialize(comp.join(merged.withColumnRenamed("id", "c"), "c", "left").select("id", F.coalesce("component", "c").alias("component")), "classes")
+    discard(known, need, packed, small, tested)
     own = one.select("set_a", "set_b", "id").join(comp, "id", "left").select("set_a", "set_b", F.coalesce("component", "id").alias("component_id"))
     return doc.join(own, ["set_a", "set_b"], "left").select("doc_id", F.col("n").alias("n_shingles"), F.coalesce("component_id", "doc_id").alias("component_id"))
