@@ -1,23 +1,68 @@
-"""A corpus pipeline of the operators in ``strel.llm``."""
+"""A corpus pipeline of five stages of ``strel.llm``.
+
+Every stage takes (spark, docs, sf_dir) and works on all its predecessor kept; all but the last
+return the columns of ``documents``.
+"""
 
 from __future__ import annotations
 
+import uuid
+
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
-from strel.llm import packing
+from strel.llm import decontam, linedup, packing, paritysketch, toxicity
+from strel.runtime import shared_dir, table
 
+#: Scores and trained models are not SQL.
 ORACLE_SQL = None
+COLUMNS = ["doc_id", "text", "lang", "source", "n_chars"]
+
+
+def reject_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents that the toxicity grammar scores 0.5 or more go; the grammar learns from all labels."""
+    grammar = toxicity.fit(docs, table(spark, sf_dir, "labels"))
+    return toxicity.score(docs, grammar, tuple(COLUMNS[:1] + COLUMNS[2:]), with_text=True).where("score < 0.5").select(*COLUMNS)
+
+
+def drop_site_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Boilerplate lines of a source go from its documents; the documents stay."""
+    return linedup.drop_boilerplate(docs).withColumn("n_chars", F.coalesce(F.length("text").cast("long"), F.col("n_chars"))).select(*COLUMNS)
+
+
+def keep_one_of_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Of each class of near duplicates the document of the smallest id stays."""
+    classes = paritysketch.near_duplicates(docs).where("doc_id = component_id").select(F.col("doc_id").alias("kept_id")).distinct()
+    return docs.join(classes, docs["doc_id"] == F.col("kept_id"), "left_semi").select(*COLUMNS)
+
+
+def decontaminate(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents that hold a benchmark item go."""
+    return decontam.clean(docs, table(spark, sf_dir, "benchmark")).select(*COLUMNS)
 
 
 def pack(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Token sequences of what is left."""
     return packing.pack(docs)
 
 
-STAGES = [("packing", pack)]
+STAGES = [
+    ("toxicity", reject_toxic),
+    ("line_dedup", drop_site_lines),
+    ("near_duplicates", keep_one_of_near_duplicates),
+    ("decontamination", decontaminate),
+    ("packing", pack),
+]
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
-    for _, stage in STAGES:
-        docs = stage(spark, docs, sf_dir)
+    """Applies the stages to ``documents``; between stages the rows are stored and read again."""
+    docs = table(spark, sf_dir, "documents")
+    base = f"{shared_dir(spark)}/strel/pipeline-{uuid.uuid4().hex}"
+    for k, (name, stage) in enumerate(STAGES):
+        out = stage(spark, docs, sf_dir)
+        if k == len(STAGES) - 1:
+            return out
+        out.write.mode("overwrite").parquet(f"{base}/{k}-{name}")
+        docs = spark.read.parquet(f"{base}/{k}-{name}")
     return docs

@@ -205,7 +205,7 @@ def _feature_task(grammar: Grammar):
     return run
 
 
-def _score_task(grammar: Grammar):
+def _score_task(grammar: Grammar, with_text: bool):
     def run(batches: Iterator) -> Iterator:
         import pyarrow as pa
 
@@ -214,14 +214,18 @@ def _score_task(grammar: Grammar):
             if not b.num_rows:
                 continue
             scores = np.concatenate([grammar.score(reader.features(ts)) for _, ts in blocks(range(b.num_rows), b.column("__text").to_pylist())])
-            yield pa.RecordBatch.from_arrays([*(c for c, n in zip(b.columns, b.schema.names, strict=True) if n != "__text"), pa.array(scores)], [*(n for n in b.schema.names if n != "__text"), "score"])
+            keep = [n for n in b.schema.names if n != "__text"]
+            cols = [b.column(n) for n in keep] + [pa.array(scores)]
+            if with_text:
+                keep, cols = [*keep, "text"], [*cols[:-1], b.column("__text"), cols[-1]]
+            yield pa.RecordBatch.from_arrays(cols, [*keep, "score"])
 
     return run
 
 
-def score(docs: DataFrame, grammar: Grammar, keep: tuple[str, ...] = ("doc_id",)) -> DataFrame:
-    """``keep`` columns of ``docs`` and the score, from 0 to 1, of every whole text."""
+def score(docs: DataFrame, grammar: Grammar, keep: tuple[str, ...] = ("doc_id",), with_text: bool = False) -> DataFrame:
+    """``keep`` columns of ``docs`` (and its text) and the score, from 0 to 1, of every whole text."""
     ship(docs.sparkSession)
     rows = docs.select(*keep, F.col("text").cast("string").alias("__text"))
     kinds = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in rows.select(*keep).schema.fields)
-    return rows.mapInArrow(_score_task(grammar), f"{kinds}, score double")
+    return rows.mapInArrow(_score_task(grammar, with_text), f"{kinds}, {'text string, ' * with_text}score double")
