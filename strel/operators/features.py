@@ -83,8 +83,8 @@ def features(fn: DataFrame, salient: DataFrame, extreme: DataFrame | None = None
 
 
 def from_user(fn: DataFrame, thresholds: dict[str, tuple[float | None, float | None]]) -> DataFrame:
-    """Features of listed functions under given (upper, lower) thresholds."""
-    rows = [(f, hi, lo) for f, (hi, lo) in thresholds.items()]
+    """Features of listed functions under given (lower, upper) thresholds; None: no such features."""
+    rows = [(f, hi, lo) for f, (lo, hi) in thresholds.items()]
     th = fn.sparkSession.createDataFrame(rows, "function_id string, up double, down double")
     at = fn.join(F.broadcast(th), "function_id").withColumn("pos", F.coalesce(F.col("value") >= F.col("up"), F.lit(False))).withColumn("neg", F.coalesce(F.col("value") <= F.col("down"), F.lit(False)))
     return at.where("pos OR neg").withColumn("feature_type", F.lit("user")).select(*HEAD, "feature_type", "region", "t", "pos", "neg")

@@ -138,11 +138,12 @@ def densify(fn: DataFrame, missing: str = "carry") -> DataFrame:
 def gradient(fn: DataFrame, adjacency: DataFrame | None = None, how: str = "max") -> DataFrame:
     """The largest (or mean) change from a point to its neighbours in time and, if given, in space."""
     by = Window.partitionBy("function_id", "space_res", "time_res", "region").orderBy("t")
-    near = fn.select(*KEYS, "value", F.explode(F.array(
-        F.when(F.lag("t").over(by) == F.col("t") - 1, F.abs(F.col("value") - F.lag("value").over(by))),
-        F.when(F.lead("t").over(by) == F.col("t") + 1, F.abs(F.col("value") - F.lead("value").over(by))),
-    )).alias("d"))
-    near = near.select(*KEYS, "d")
+    near = fn.select(
+        *KEYS,
+        F.when(F.lag("t").over(by) == F.col("t") - 1, F.abs(F.col("value") - F.lag("value").over(by))).alias("before"),
+        F.when(F.lead("t").over(by) == F.col("t") + 1, F.abs(F.col("value") - F.lead("value").over(by))).alias("after"),
+    )
+    near = near.select(*KEYS, F.explode(F.array("before", "after")).alias("d"))
     if adjacency is not None:
         pairs = fn.join(F.broadcast(adjacency), fn["region"] == adjacency["a"]).drop("a")
         other = fn.select("function_id", "space_res", "time_res", F.col("region").alias("b"), "t", F.col("value").alias("near"))

@@ -27,7 +27,8 @@ def neighbours(fn: DataFrame, adjacency: DataFrame | None = None) -> DataFrame:
     base = fn.select(*HEAD, "region", "t", "value")
     by = Window.partitionBy(*HEAD, "region").orderBy("t")
     near = lambda f, d: F.when(f("t").over(by) == F.col("t") + d, F.struct(F.col("region").alias("region2"), f("t").over(by).alias("t2"), f("value").over(by).alias("value2")))
-    in_time = base.select("*", F.explode(F.array(near(F.lag, -1), near(F.lead, 1))).alias("x")).where("x IS NOT NULL").select(*base.columns, "x.*")
+    in_time = base.select("*", F.array(near(F.lag, -1), near(F.lead, 1)).alias("xs"))
+    in_time = in_time.select(*base.columns, F.explode("xs").alias("x")).where("x IS NOT NULL").select(*base.columns, "x.*")
     if adjacency is None:
         return in_time
     other = base.select(*HEAD, F.col("region").alias("region2"), F.col("t").alias("t2"), F.col("value").alias("value2"))
