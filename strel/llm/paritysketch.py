@@ -82,7 +82,7 @@ class Bands:
         first = np.flatnonzero(np.concatenate([[True], part[1:] != part[:-1]]))
         salt = _U((band + 1) << 40)
         found = mix(np.bitwise_xor.reduceat(s, first) ^ mix(part[first] + salt))
-        need = need_of(len(s), len(first), differ)
+        need = need_of(len(first), differ)
         take = differ + need
         if take < len(found):
             found = np.partition(found, take - 1)[:take]
@@ -94,8 +94,9 @@ class Bands:
         return found, need
 
 
-def need_of(n: int, full: int, differ: int) -> int:
-    return max(1, min(full - differ, max(8, n // 16)))
+def need_of(full: int, differ: int) -> int:
+    """Keys that a set with ``full`` filled parts shares with any partner."""
+    return max(1, full - differ)
 
 
 def _sets(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
@@ -121,7 +122,7 @@ def _describe(width: int, bands: Bands):
                     need = []
                     for _, parts, differ in bands.of(n):
                         part = ((s >> _U(32)) * _U(parts)) >> _U(32)
-                        need.append(need_of(n, 1 + int(np.count_nonzero(part[1:] != part[:-1])), differ))
+                        need.append(need_of(1 + int(np.count_nonzero(part[1:] != part[:-1])), differ))
                     bits = np.bincount((s & _U(64 * SKETCH_WORDS - 1)).astype(np.int64), minlength=64 * SKETCH_WORDS) & 1
                     rows.append((i, n, _signed(a), _signed(c), need[0], need[1] if len(need) > 1 else None, np.packbits(bits.astype(np.uint8)).tobytes()))
                 cols = list(zip(*rows, strict=True))
@@ -365,8 +366,15 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     have = open_.groupBy("reg").agg(F.count(F.lit(1)).alias("have"))
     place = F.row_number().over(Window.partitionBy("reg").orderBy("often", "key"))
     rare = open_.join(often, "key").join(have, "reg").withColumn("place", place).where("place <= have - need + 1")
-    known = materialize(rare.select("key", "id").join(comp, "id"), "rare-keys", open_)
-    pairs = known.alias("p").join(known.alias("q"), (F.col("p.key") == F.col("q.key")) & (F.col("p.c") < F.col("q.c")))
+    flat = small.select("id", "n", *[F.col("sk")[i].alias(f"s{i}") for i in range(SKETCH_WORDS)])
+    known = materialize(rare.select("key", "id").join(comp, "id").join(flat, "id"), "rare-keys", open_)
+    # the bounds by sizes and sketches are part of the join: pairs that they rule out never exist
+    apart = " + ".join(f"bit_count(p.s{i} ^ q.s{i})" for i in range(SKETCH_WORDS))
+    likely = F.expr(
+        f"p.key = q.key AND p.c < q.c AND least(p.n, q.n) * {bands.den} >= greatest(p.n, q.n) * {bands.num}"
+        f" AND ({apart}) * {bands.den + bands.num} <= (p.n + q.n) * {bands.den - bands.num}"
+    )
+    pairs = known.alias("p").join(known.alias("q"), likely)
     pairs = pairs.select(F.least("p.id", "q.id").alias("a"), F.greatest("p.id", "q.id").alias("b")).distinct().join(tested, ["a", "b"], "left_anti")
     good = similar(pairs)
     side = lambda x, y: comp.select(F.col("id").alias(x), F.col("c").alias(y))
