@@ -64,7 +64,8 @@ def contained(docs: DataFrame, items: DataFrame, num: int = 75, den: int = 100,
     some = materialize(likely.select("doc_id").distinct(), "candidate-docs")
     n = some.count()
     whole = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").join(_sized(some, n), "doc_id", "left_semi")
-    runs = [window_texts(words(F.col("text")), k) for k in widths]
+    whole = whole.select("doc_id", words(F.col("text")).alias("w"))  # a column of its own: the runs read it once a word
+    runs = [window_texts(F.col("w"), k) for k in widths]
     held = whole.select("doc_id", F.explode(F.concat(*runs) if len(runs) > 1 else runs[0]).alias("s"))
     held = held.join(_sized(exact, exact.count()), "s").distinct()
     held = held.groupBy("doc_id", "item_id").agg(F.count(F.lit(1)).alias("n_found"))
