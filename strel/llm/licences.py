@@ -78,7 +78,9 @@ def scan(docs: DataFrame) -> DataFrame:
     starts = sorted({p.split()[0] for p in phrases} | set(vocab))
     text = F.coalesce(F.col("text").cast("string"), F.lit(""))
     rows = docs.select(F.monotonically_increasing_id().alias("row"), F.col("doc_id").cast("long").alias("doc_id"), text.alias("text"))
-    hint = F.col("text").rlike("(?i)\\b(?:" + "|".join(starts) + ")\\b")
+    # a row without a first word of a phrase or a word of the index has nothing to find; words end where ``ws`` is split
+    apart = SEPARATORS_ANY_CASE.removesuffix("+")
+    hint = F.col("text").rlike(f"(?i)(?:^|{apart})(?:" + "|".join(starts) + f")(?:\\z|{apart})")
     ws = F.filter(F.split("text", SEPARATORS_ANY_CASE), lambda w: w != "")
     upper, lower = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
     rows = rows.withColumn("ws", ws).withColumn("n_words", F.size("ws").cast("long"))

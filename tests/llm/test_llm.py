@@ -131,6 +131,13 @@ def test_licences(spark):
     assert out[5]["labels"] == "" and out[5]["score"] == 0 and out[0]["n_words"] == 0
 
 
+def test_licence_words_between_underscores(spark):
+    texts = ["CC_BY", "_CC BY_", "see GENERAL_PUBLIC_LICENSE", "ALL_RIGHTS_RESERVED", "x_cc_by", "accc by"]
+    out = {r["doc_id"]: r for r in licences.scan(docs(spark, texts)).collect()}
+    got = [(out[i]["n_base"], out[i]["first_word"], out[i]["last_word"], out[i]["base_labels"]) for i in range(len(texts))]
+    assert got == [(1, 0, 0, "cc-by"), (1, 0, 0, "cc-by"), (1, 1, 1, "gpl"), (1, 0, 0, "reserved"), (1, 1, 1, "cc-by"), (0, None, None, "")]
+
+
 def test_private_data(spark):
     t = "mail joe@ex.org or jane (at) ex (dot) org, ip 10.0.0.1 999.1.1.1 card 4111 1111 1111 1111 call +1 (743) 555-3824"
     base = pii.find_base(t)
