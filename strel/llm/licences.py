@@ -1,10 +1,10 @@
 """Licence scans by a positional index of rare words.
 
 Every template is a short licence text with mandatory key phrases. Its words are posted with their
-positions. A file's licence words of highest inverse document frequency (over all files) are looked
-up; a posting votes for the place where the template would begin in the file, and places where
-enough rare words agree are candidates. A candidate counts if the file holds all of the template's
-key phrases. Everything is DataFrame expressions; only words of the index leave a file's row.
+positions; words too common to tell licences apart are left out. Of every template whose key phrases
+all stand in a file, each posted word is looked up there; a posting votes for the place where the
+template would begin in the file, and places where enough different words agree count. No template
+hides another. Everything is DataFrame expressions; only words of the index leave a file's row.
 
 Null and empty texts have no words and no label. Rows are scored one by one, so repeated rows give
 repeated results. An empty table gives no row.
@@ -40,8 +40,7 @@ TEMPLATES = [
 ]
 # Words too common to be posted.
 _COMMON = set("the a an and or of to in is it this that with under any you can be are for at as on from by 0 1 2 3 4 v".split())
-#: Rare words of a file that are looked up, and how many must agree on a place (if a template has as many).
-RARE_WORDS = 8
+#: How many words must agree on a place (if a template has as many).
 MIN_VOTES = 2
 
 
@@ -100,18 +99,16 @@ def scan(docs: DataFrame) -> DataFrame:
         ),
         "licence-words",
     )
-    words = flat.where("size(seen) > 0").select("row", "phrases", F.explode("seen").alias("x")).select("row", "phrases", "x.w", "x.i")
-    # document frequencies of the words of the index, over all files; the index bounds their number
-    df = flat.select(F.explode(F.array_distinct(F.transform("seen", lambda x: x["w"]))).alias("w")).groupBy("w").agg(F.count(F.lit(1)).alias("df"))
     spark = docs.sparkSession
     index = spark.createDataFrame(posted, "w string, t int, p int")
     per = spark.createDataFrame([(t, lab, sum(1 << phrases.index(p) for p in ps), len({w for w, u, _ in posted if u == t})) for t, (lab, _, ps) in enumerate(TEMPLATES)], "t int, label string, need long, posted int")
-    kinds = words.select("row", "w").distinct().join(F.broadcast(df), "w")
-    rare = kinds.withColumn("rank", F.row_number().over(Window.partitionBy("row").orderBy("df", "w"))).where(F.col("rank") <= RARE_WORDS).select("row", "w")
-    hits = words.join(rare, ["row", "w"]).join(F.broadcast(index), "w").withColumn("at", F.col("i") - F.col("p"))
-    votes = hits.groupBy("row", "phrases", "t", "at").agg(F.count_distinct("w").alias("votes")).join(F.broadcast(per), "t")
-    good = votes.where((F.col("votes") >= F.least(F.lit(MIN_VOTES), F.col("posted"))) & (F.col("phrases").bitwiseAND(F.col("need")) == F.col("need")))
-    good = good.withColumn("share", F.least(F.lit(1.0), F.col("votes") / F.least(F.col("posted"), F.lit(RARE_WORDS))))
+    # only templates whose key phrases all stand in the file can count
+    held = F.broadcast(index.join(F.broadcast(per), "t"))
+    words = flat.where("phrases <> 0").select("row", "phrases", F.explode("seen").alias("x")).select("row", "phrases", "x.w", "x.i")
+    hits = words.join(held, "w").where(F.col("phrases").bitwiseAND(F.col("need")) == F.col("need")).withColumn("at", F.col("i") - F.col("p"))
+    votes = hits.groupBy("row", "t", "at", "label", "posted").agg(F.count_distinct("w").alias("votes"))
+    good = votes.where(F.col("votes") >= F.least(F.lit(MIN_VOTES), F.col("posted")))
+    good = good.withColumn("share", F.col("votes") / F.col("posted"))
     found = good.groupBy("row").agg(F.sort_array(F.collect_set(F.struct("label", F.col("at").cast("long").alias("at"), "share"))).alias("matches"))
     out = flat.select("row", "doc_id", "n_words", "base").join(found, "row", "left")
     own = F.array_sort(F.array_distinct(F.transform("base", lambda b: b["label"])))

@@ -131,6 +131,20 @@ def test_licences(spark):
     assert out[5]["labels"] == "" and out[5]["score"] == 0 and out[0]["n_words"] == 0
 
 
+def test_licences_beside_each_other(spark):
+    every = [t for _, t, _ in licences.TEMPLATES]
+    gap = " filler words here "
+    texts = [gap.join(every), every[3] + gap + every[2], every[2]]
+    out = {r["doc_id"]: r for r in licences.scan(docs(spark, texts)).collect()}
+    at, places = 0, set()
+    for (label, t, _) in licences.TEMPLATES:
+        places.add(f"{label}:{at}")
+        at += len(t.split()) + 3
+    assert places <= set(out[0]["matches"]) and set(out[0]["labels"].split(",")) == {lab for lab, _, _ in licences.TEMPLATES}
+    assert {"bsd:0", "mit:17"} <= set(out[1]["matches"]) and out[1]["labels"] == "bsd,mit"
+    assert out[2]["matches"] == ["mit:0"] and out[2]["score"] == 1
+
+
 def test_licence_words_between_underscores(spark):
     texts = ["CC_BY", "_CC BY_", "see GENERAL_PUBLIC_LICENSE", "ALL_RIGHTS_RESERVED", "x_cc_by", "accc by"]
     out = {r["doc_id"]: r for r in licences.scan(docs(spark, texts)).collect()}
