@@ -5,7 +5,7 @@ which rewrites its input and keeps, for every character that it writes, the span
 characters that it stands for: look-alike characters and full-width forms become ASCII, invisible
 ones go, spelled digits become digits, and at/dot phrases become signs. What the patterns find in
 the rewritten text is mapped back to source spans. Such a span is added if it holds a rewritten
-character and overlaps no base span of its kind.
+character and each base span of its kind that it overlaps is a part of it and shorter.
 
 Offsets are code points, ends exclusive. Null and empty texts hold nothing. Rows are searched one
 by one, so repeated rows give repeated results. An empty table gives no row.
@@ -102,17 +102,22 @@ _SPELLED = {
 _AT_WORD, _DOT_WORD = "at|arobase|arroba|klammeraffe", "dot|punkt|point|punto"
 
 _HAS_LOOKALIKE = re.compile("[" + re.escape("".join(_LOOKALIKE) + _INVISIBLE) + "]")
-_NUMBER = "(?:" + "|".join(sorted(_SPELLED, key=len, reverse=True)) + "|[0-9])"
-_DIGIT_RUN = re.compile(rf"(?<!\w)(?:plus[ -]+)?{_NUMBER}(?:[ .-]{{1,2}}(?:dot[ -]+|point[ -]+)?{_NUMBER}){{6,}}(?!\w)", re.I)
-_SPELLED_WORD = re.compile(rf"(?<!\w)(?:plus[ -]+(?={_NUMBER})|(?:" + "|".join(sorted(_SPELLED, key=len, reverse=True)) + r")(?!\w))", re.I)
+_WORDS = "|".join(sorted(_SPELLED, key=len, reverse=True))
+_NUMBER = rf"(?:(?:{_WORDS})(?!\w)|[0-9]+)"
+_GAP = rf"(?:[ ().-]*(?<!\w)(?:{_DOT_WORD})[ .-]+|[ ().-]+)"
+#: Numbers one after the other, of which at least one is spelled or which begin with a spelled plus.
+_DIGIT_RUN = re.compile(rf"(?<!\w)(?:plus[ -]+|\+[ (-]*)?{_NUMBER}(?:{_GAP}{_NUMBER})+(?!\w)", re.I)
+_PIECE = re.compile(rf"(?P<plus>plus[ -]+)|(?P<word>(?<!\w)(?:{_WORDS})(?!\w))|(?P<digits>[0-9]+)|(?P<dot>[ -]*(?<!\w)(?:{_DOT_WORD})(?!\w)[ -]*|\.)|(?P<gap>[ ()-]+)", re.I)
+_SPELLED_NEAR = re.compile(rf"(?<!\w)(?:(?:{_WORDS}){_GAP}{_NUMBER}|plus[ -]+{_NUMBER})(?!\w)|[0-9]{_GAP}(?:{_WORDS})(?!\w)", re.I)
 _MARK = r"[\[({{<]\s*(?:{})\s*[\])}}>]"
 _AT = re.compile(r"(?<=[A-Za-z0-9_%+-])\s*" + _MARK.format(_AT_WORD + "|@|ät") + r"\s*(?=[A-Za-z0-9])", re.I)
 _DOT = re.compile(r"(?<=[A-Za-z0-9])\s*" + _MARK.format(_DOT_WORD + r"|\.") + r"\s*(?=[A-Za-z0-9])", re.I)
-_BARE = re.compile(rf"(?<![\w.@-])[A-Za-z0-9_%+-]+(?:(?:\.|\s(?:{_DOT_WORD})\s)[A-Za-z0-9_%+-]+){{0,5}}(\s(?:{_AT_WORD})\s|@)(?:[A-Za-z0-9-]+(?:\.|\s(?:{_DOT_WORD})\s)){{1,5}}(?:com|org|net|edu|gov|info|io|de|fr|es|uk|eu|example|test|co|biz|us)\b", re.I)
+_BARE = re.compile(rf"(?<![\w.@-])[A-Za-z0-9_%+-]+(?:(?:\.|\s(?:{_DOT_WORD})\s)[A-Za-z0-9_%+-]+)*(\s(?:{_AT_WORD})\s|@)(?:[A-Za-z0-9-]+(?:\.|\s(?:{_DOT_WORD})\s))+[A-Za-z][A-Za-z0-9-]*[A-Za-z0-9](?![\w@])", re.I)
 _BARE_AT, _BARE_DOT = re.compile(rf"\s(?:{_AT_WORD})\s", re.I), re.compile(rf"\s(?:{_DOT_WORD})\s", re.I)
 _BARE_IP = re.compile(rf"(?<![0-9.])[0-9]{{1,3}}(?:\s(?:{_DOT_WORD})\s[0-9]{{1,3}}){{3}}(?![0-9])", re.I)
-_TRIGGER = re.compile(rf"[\[({{<]\s*(?:{_AT_WORD}|{_DOT_WORD}|@|\.|ät)\s*[\])}}>]|\s(?:{_DOT_WORD})\s", re.I)
-_DIGIT_WORDS = re.compile(r"(?<!\w)(?:" + "|".join(sorted(_SPELLED, key=len, reverse=True)) + r")[ .-]{1,2}(?:" + "|".join(sorted(_SPELLED, key=len, reverse=True)) + r"|[0-9])(?!\w)", re.I)
+_TRIGGER = re.compile(rf"[\[({{<]\s*(?:{_AT_WORD}|{_DOT_WORD}|@|\.|ät)\s*[\])}}>]|\s(?:{_DOT_WORD})\s|\s(?:{_AT_WORD})\s[A-Za-z0-9-]+\.[A-Za-z0-9-]", re.I)
+#: What every bare address holds: a bare at-word before a dotted name, or a bare dot word.
+_BARE_START = re.compile(rf"\s(?:{_DOT_WORD})\s|\s(?:{_AT_WORD})\s[A-Za-z0-9-]+\.[A-Za-z0-9-]", re.I)
 
 
 class Aligned:
@@ -157,7 +162,91 @@ def _inner(outer: re.Pattern, *parts: tuple[re.Pattern, str]):
 
 
 def _spelled(t: str) -> list[tuple[int, int, str]]:
-    return [(r.start() + m.start(), r.start() + m.end(), "+" if m.group().lower().startswith("plus") else _SPELLED[m.group().lower()]) for r in _DIGIT_RUN.finditer(t) for m in _SPELLED_WORD.finditer(r.group())]
+    """Spelled digits and the words for signs between them, wherever a pattern could hold them."""
+    if not _SPELLED_NEAR.search(t):
+        return []
+    out: list[tuple[int, int, str]] = []
+    for r in _DIGIT_RUN.finditer(t):
+        pieces = [(m.lastgroup, r.start() + m.start(), r.start() + m.end()) for m in _PIECE.finditer(r.group())]
+        kinds = [k for k, _, _ in pieces]
+        ends = [k for k in range(2, len(pieces)) if kinds[k] == "word" and _begins(t, pieces[k]) and _parted(t, pieces, k)]
+        for a, b in zip([0, *ends], [*ends, len(pieces)], strict=True):
+            if "word" in kinds[a:b] or "plus" in kinds[a:b]:
+                out += _numbers(t, pieces[a:b])
+    return out
+
+
+def _begins(t: str, piece: tuple[str, int, int]) -> bool:
+    """Whether a word is written like the first of a sentence."""
+    return t[piece[1]].isupper() and t[piece[2] - 1].islower()
+
+
+def _parted(t: str, pieces: list[tuple[str, int, int]], k: int) -> bool:
+    """Whether a capital word after a full stop, or as the last one after digits, is of another sentence."""
+    kinds = [x for x, _, _ in pieces[:k]]
+    if kinds[-1] != "gap":
+        return False
+    if len(kinds) > 2 and kinds[-2] == "dot":
+        return not _begins(t, pieces[k - 3])
+    return k == len(pieces) - 1 and kinds[-2] == "digits"
+
+
+def _numbers(t: str, pieces: list[tuple[str, int, int]]) -> list[tuple[int, int, str]]:
+    """Edits of one run. Between dots of an address the digits close up."""
+    groups: list[list[tuple[str, int, int]]] = [[]]
+    dots: list[tuple[int, int]] = []
+    for p in pieces:
+        if p[0] == "dot":
+            dots.append(p[1:])
+            groups.append([])
+        else:
+            groups[-1].append(p)
+    digits = [sum(b - a if k == "digits" else 1 for k, a, b in g if k in ("digits", "word")) for g in groups]
+    # no pattern holds fewer digits: 8 of a phone, or four numbers with dots between them
+    if sum(digits) < 8 and sum(n > 0 for n in digits) < 4:
+        return []
+    closed = _address(t, groups, dots, digits)
+    out = []
+    for k, g in enumerate(groups):
+        for n, (kind, a, b) in enumerate(g):
+            if kind == "word":
+                out.append((a, b, _SPELLED[t[a:b].lower()]))
+            elif kind == "plus":
+                out.append((a, b, "+"))
+            elif kind == "gap" and k in closed and 0 < n < len(g) - 1:
+                out.append((a, b, ""))
+        if k < len(dots) and t[slice(*dots[k])] != ".":
+            out.append((*dots[k], "."))
+    return out
+
+
+def _address(t: str, groups: list, dots: list[tuple[int, int]], digits: list[int]) -> set[int]:
+    """Groups, four in turn with a dot right between them, whose spelled digits make numbers of an IP."""
+    tight = [not (groups[k] and groups[k][-1][0] == "gap") and not (groups[k + 1] and groups[k + 1][0][0] == "gap") for k in range(len(dots))]
+    worded = [t[slice(*d)] != "." for d in dots]
+    out: set[int] = set()
+    k = 0
+    while k + 4 <= len(groups):
+        four = range(k, k + 4)
+        mixed = [{"word", "digits"} <= {x[0] for x in groups[j]} for j in four]
+        if all(0 < digits[j] <= 3 for j in four) and all(tight[k : k + 3]) and (any(worded[k : k + 3]) or not any(mixed)):
+            out |= {j for j in four if any(x[0] == "word" for x in groups[j])}
+            k += 4
+        else:
+            k += 1
+    return out
+
+
+def _bare(t: str) -> list[tuple[int, int, str]]:
+    """Bare at and dot words of addresses; a sentence that begins right after a full stop is no ending."""
+    out = []
+    for m in _BARE.finditer(t) if _BARE_START.search(t) else ():
+        last = re.search(r"([A-Za-z0-9-]+)\.([A-Za-z0-9-]+)$", m.group())
+        if last and last[1][0].islower() and last[2][0].isupper() and last[2][1:].islower():
+            continue
+        parts = [(m.start() + a.start(), m.start() + a.end(), to) for p, to in ((_BARE_AT, "@"), (_BARE_DOT, ".")) for a in p.finditer(m.group())]
+        out += sorted(parts)
+    return out
 
 
 #: The chain: each member gives the edits of its step.
@@ -165,7 +254,7 @@ _CHAIN = (
     lambda t: [(m.start(), m.end(), _LOOKALIKE.get(m.group(), "")) for m in _HAS_LOOKALIKE.finditer(t)],
     lambda t: [(*m.span(), "@") for m in _AT.finditer(t)],
     lambda t: [(*m.span(), ".") for m in _DOT.finditer(t)],
-    _inner(_BARE, (_BARE_AT, "@"), (_BARE_DOT, ".")),
+    _bare,
     _inner(_BARE_IP, (_BARE_DOT, ".")),
     _spelled,
 )
@@ -174,7 +263,7 @@ _CHAIN = (
 def find_disguised(t: str, base: dict[str, list[tuple[int, int]]]) -> dict[str, list[tuple[int, int]]]:
     """Spans that only the rewritten text shows, by kind."""
     out: dict[str, list[tuple[int, int]]] = {k: [] for k in KINDS}
-    if not (_TRIGGER.search(t) or (not t.isascii() and _HAS_LOOKALIKE.search(t)) or _DIGIT_WORDS.search(t)):
+    if not (_TRIGGER.search(t) or (not t.isascii() and _HAS_LOOKALIKE.search(t)) or _SPELLED_NEAR.search(t)):
         return out
     plain = Aligned(t)
     for step in _CHAIN:
@@ -184,7 +273,7 @@ def find_disguised(t: str, base: dict[str, list[tuple[int, int]]]) -> dict[str,
     for kind, spans in find_base(plain.text).items():
         for a, b in spans:
             s, e = plain.source(a, b)
-            if any(plain.new[a:b]) and all(e <= x or s >= y for x, y in base[kind]):
+            if any(plain.new[a:b]) and all(e <= x or s >= y or (s <= x and y <= e and (s, e) != (x, y)) for x, y in base[kind]):
                 out[kind].append((s, e))
     return out
 

@@ -165,6 +165,34 @@ def test_private_data(spark):
     assert out[0]["spans"] == "" and out[0]["base_sha256"] == hashlib.sha256(b"").hexdigest() and out[2]["n_disguised"] == 1
 
 
+def disguised(t):
+    return [(k, t[a:b]) for k, spans in pii.find_disguised(t, pii.find_base(t)).items() for a, b in spans]
+
+
+@pytest.mark.parametrize(
+    ("t", "kind", "span"),
+    [
+        ("write john at example.com now", "email", "john at example.com"),
+        ("write john at example.museum now", "email", "john at example.museum"),
+        ("write john dot doe@example.com now", "email", "john dot doe@example.com"),
+        ("host one two seven dot zero dot zero dot one is up", "ip", "one two seven dot zero dot zero dot one"),
+        ("number two. one two seven dot zero dot zero dot one", "ip", "one two seven dot zero dot zero dot one"),
+        ("host eight.eight.eight.eight is up", "ip", "eight.eight.eight.eight"),
+        ("host 10 dot zero dot zero dot 1 is up", "ip", "10 dot zero dot zero dot 1"),
+        ("card 4111 one 111 1111 1111 now", "card", "4111 one 111 1111 1111"),
+        ("card 4111 1 one 1 1 1111 one one one 1 now", "card", "4111 1 one 1 1 1111 one one one 1"),
+        ("ring +1 743 five five five 3824 now", "phone", "+1 743 five five five 3824"),
+    ],
+)
+def test_disguises(t, kind, span):
+    assert disguised(t) == [(kind, span)]
+
+
+def test_plain_text_is_not_disguised():
+    for t in ("meet me at noon. Then one of two left at 3.5 km", "look at point two", "one, two, three at home", "we stay at home.Then we go", "five 1.2.3.4", "+1 743 555 3824. One of us", "+1 (848) 555-1373 Un ami"):
+        assert disguised(t) == []
+
+
 def test_toxicity_grammar(spark):
     g = toxicity.general()
     score = lambda t: sum(g.clauses(g.symbol(c) for c in t.encode().split()))
