@@ -12,7 +12,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from strel.llm import decontam, linedup, packing, paritysketch, toxicity
-from strel.runtime import shared_dir, table
+from strel.runtime import materialize, shared_dir, table
 
 #: Scores and trained models are not SQL.
 ORACLE_SQL = None
@@ -31,9 +31,15 @@ def drop_site_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFr
 
 
 def keep_one_of_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of each class of near duplicates the document of the smallest id stays."""
-    classes = paritysketch.near_duplicates(docs).where("doc_id = component_id").select(F.col("doc_id").alias("kept_id")).distinct()
-    return docs.join(classes, docs["doc_id"] == F.col("kept_id"), "left_semi").select(*COLUMNS)
+    """Of each class of near duplicates one row stays, that of the smallest id; null ids come last.
+
+    Rows are told apart by numbers of their own, so null and repeated ids neither lose nor hide a row.
+    """
+    rows = materialize(docs.withColumn("__row", F.monotonically_increasing_id()), "rows")
+    classes = paritysketch.near_duplicates(rows.select(F.col("__row").alias("doc_id"), "text"))
+    ids = rows.select("__row", F.col("doc_id").isNull().alias("none"), "doc_id")
+    first = classes.select(F.col("doc_id").alias("__row"), "component_id").join(ids, "__row").groupBy("component_id").agg(F.min(F.struct("none", "doc_id", "__row")).alias("kept"))
+    return rows.join(first.select("kept.__row"), "__row", "left_semi").select(*COLUMNS)
 
 
 def decontaminate(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -85,6 +85,16 @@ def test_near_duplicates_against_brute_force(spark):
     assert got == brute_classes(texts)
 
 
+def test_one_of_near_duplicates_without_ids(spark):
+    import corpus_pipeline
+
+    a, b, c, d = (text(i, 60) for i in range(4))
+    rows = [(None, a), (5, b), (5, b), (7, c), (7, d), (None, c), (3, b), (None, None), (None, "")]
+    given = spark.createDataFrame([(i, t, "en", "s", len(t or "")) for i, t in rows], "doc_id long, text string, lang string, source string, n_chars long")
+    got = [(r["doc_id"], r["text"]) for r in corpus_pipeline.keep_one_of_near_duplicates(spark, given, "").collect()]
+    assert sorted(got, key=str) == sorted([(None, a), (3, b), (7, c), (7, d), (None, None), (None, "")], key=str)
+
+
 def test_parity_keys_of_linked_sets_meet():
     bands, rng = paritysketch.Bands(3, 4), np.random.default_rng(1)
     for n in (1, 2, 3, 4, 7, 20, 63, 64, 100, 255, 256, 900):
