@@ -46,7 +46,7 @@ class PersistenceOf:
         if self.rows:
             t, v = (np.array(x) for x in zip(*sorted(self.rows), strict=True))
             for side, sign in (("join", 1), ("split", -1)):
-                for a, b, _ in Sweep(v * sign, t, np.zeros(len(t), int).astype(str), {}).pairs:
+                for a, b, _ in Sweep(v * sign, t, np.zeros(len(t), int).astype(str)).pairs:
                     yield side, int(t[a]), float(v[a]), float(v[b])
 
 

@@ -46,11 +46,12 @@ def season_of(t: Column, time_res: str) -> Column:
     return F.lit(0)
 
 
-def common_time(a: str, b: str) -> list[str]:
-    """Resolutions that both can be brought to, the finest first."""
+def reachable(time_res: str) -> set[str]:
+    """Resolutions that steps of one can be brought to without loss, itself included."""
+    return {time_res}.union(*(reachable(y) for y in TIME_DAG[time_res]))
 
-    def reach(x: str) -> set[str]:
-        return {x}.union(*(reach(y) for y in TIME_DAG[x]))
 
+def common_time(a: str, b: str) -> list[str]:
+    """Resolutions that both can be brought to, the finest first."""
     order = list(TIME_DAG)
-    return sorted(reach(a) & reach(b), key=order.index)
+    return sorted(reachable(a) & reachable(b), key=order.index)

@@ -70,13 +70,13 @@ def features(fn: DataFrame, salient: DataFrame, extreme: DataFrame | None = None
     """
     wide = salient.groupBy(*HEAD, "season").agg(F.max(F.when(F.col("side") == "join", F.col("theta"))).alias("up"), F.max(F.when(F.col("side") == "split", F.col("theta"))).alias("down"))
     v, no = F.col("value"), F.lit(False)
-    at = with_season(fn, "t", seasonal).join(F.broadcast(wide), [*HEAD, "season"])
+    at = with_season(fn, "t", seasonal).join(wide, [*HEAD, "season"])
     at = at.withColumn("pos", F.coalesce(v >= F.col("up"), no)).withColumn("neg", F.coalesce(v <= F.col("down"), no)).where("pos OR neg")
     cols = [*HEAD, "feature_type", "region", "t", "pos", "neg"]
     out = at.withColumn("feature_type", F.lit("salient"))
     if extreme is not None:
         ex = extreme.groupBy(*HEAD).agg(F.max(F.when(F.col("side") == "join", F.col("theta"))).alias("eu"), F.max(F.when(F.col("side") == "split", F.col("theta"))).alias("ed"))
-        rare = at.join(F.broadcast(ex), HEAD)
+        rare = at.join(ex, HEAD)
         rare = rare.withColumn("pos", F.col("pos") & F.coalesce(v >= F.col("eu"), no)).withColumn("neg", F.col("neg") & F.coalesce(v <= F.col("ed"), no)).where("pos OR neg")
         out = out.select(*cols).unionByName(rare.withColumn("feature_type", F.lit("extreme")).select(*cols))
     return out.select(*cols)

@@ -2,10 +2,14 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
+import numpy as np
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from strel.operators.features import WORD
+from strel.runtime import ship
 
 FN = ["function_id", "space_res", "time_res", "feature_type"]
 
@@ -48,18 +52,39 @@ def _mask() -> Column:
     return F.when(lo <= hi, whole).otherwise(F.lit(0).cast("long"))
 
 
+def _sides(pairs: DataFrame, bits: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """Words of both functions of every pair, cut to its common range: p1, n1 and p2, n2."""
+    key = ["left_fn", "right_fn", "space_res", "time_res", "feature_type"]
+    b = bits.select(*FN, "region", "word", "pos", "neg")
+    head = pairs.select(*[c for c in (*key, "lo", "hi") if c in pairs.columns])
+    on = [c for c in ("space_res", "time_res", "feature_type") if c in head.columns]
+    both = lambda fn: head.join(b.withColumnRenamed("function_id", fn), [fn, *on]).withColumn("m", _mask())
+    x = both("left_fn").select(*key, "region", "word", F.expr("pos & m").alias("p1"), F.expr("neg & m").alias("n1"))
+    y = both("right_fn").select(*key, "region", "word", F.expr("pos & m").alias("p2"), F.expr("neg & m").alias("n2"))
+    return x, y
+
+
+def within_strength(pairs: DataFrame, bits: DataFrame, min_strength: float) -> DataFrame:
+    """Pairs and feature types whose sizes alone allow the strength: it is at most 2 min / (n1 + n2).
+
+    Only sizes are compared; the words of pairs that cannot reach the strength never meet.
+    """
+    key = ["left_fn", "right_fn", "space_res", "time_res", "feature_type"]
+    x, y = _sides(pairs, bits)
+    n = lambda d, a, b, c: d.groupBy(*key).agg(F.sum(F.expr(f"bit_count({a} | {b})")).alias(c))
+    sizes = n(x, "p1", "n1", "s1").join(n(y, "p2", "n2", "s2"), key)
+    fit = sizes.where(2 * F.least("s1", "s2") >= min_strength * (F.col("s1") + F.col("s2"))).select(*key)
+    return pairs.join(fit, key[:4])
+
+
 def pair_counts(pairs: DataFrame, bits: DataFrame) -> DataFrame:
     """Sizes and overlaps of the features of every pair, on its common range.
 
-    Columns beside those of ``pairs``: feature_type, n1, n2, n_common, n_pos, n_neg. Words of 64
-    steps meet by equality of (resolution, type, region, word).
+    Columns beside those of ``pairs``: feature_type (unless ``pairs`` names it), n1, n2, n_common,
+    n_pos, n_neg. Words of 64 steps meet by equality of (resolution, type, region, word).
     """
     key = ["left_fn", "right_fn", "space_res", "time_res", "feature_type"]
-    b = bits.select(*FN, "region", "word", "pos", "neg")
-    head = pairs.select("left_fn", "right_fn", "space_res", "time_res", "lo", "hi")
-    both = lambda side, fn: head.join(b.withColumnRenamed("function_id", fn), [fn, "space_res", "time_res"]).withColumn("m", _mask())
-    x = both("l", "left_fn").select(*key, "region", "word", F.expr("pos & m").alias("p1"), F.expr("neg & m").alias("n1"))
-    y = both("r", "right_fn").select(*key, "region", "word", F.expr("pos & m").alias("p2"), F.expr("neg & m").alias("n2"))
+    x, y = _sides(pairs, bits)
     zero = F.lit(0).cast("long")
     bits_of = lambda e: F.sum(F.bit_count(F.expr(e))).alias
     met = x.join(y, [*key, "region", "word"], "full")
@@ -68,7 +93,7 @@ def pair_counts(pairs: DataFrame, bits: DataFrame) -> DataFrame:
         bits_of("p1 | n1")("n1"), bits_of("p2 | n2")("n2"), bits_of("(p1 | n1) & (p2 | n2)")("n_common"),
         bits_of("(p1 & p2) | (n1 & n2)")("n_pos"), bits_of("(p1 & n2) | (n1 & p2)")("n_neg"),
     )
-    return pairs.join(counts, ["left_fn", "right_fn", "space_res", "time_res"])
+    return pairs.join(counts, [c for c in key if c in pairs.columns])
 
 
 def measures(counts: DataFrame) -> DataFrame:
@@ -133,12 +158,86 @@ def _test(hist: DataFrame, base: list[str], k: str, total: Column, statistic: st
 
 
 def rotation_test(pairs: DataFrame, points: DataFrame, statistic: str = "score", tail: str = "directional", estimator: str = "plain") -> DataFrame:
-    """p-value of each pair against all rotations in time but the identity."""
+    """p-value of each pair against all rotations in time but the identity, from joins of points.
+
+    Work is the product of the sizes of two feature sets: for sparse features, and as a check.
+    """
     base = ["left_fn", "right_fn", "space_res", "time_res", "feature_type", "lo", "hi"]
     out = _test(lag_histogram(pairs, points), base, "lag", F.col("hi") - F.col("lo"), statistic, tail, estimator)
     return out.drop("lo", "hi")
 
 
+#: Values (regions x steps) of one side that a task transforms at once.
+FFT_VALUES = 1 << 21
+
+
+def rotation_test_words(pairs: DataFrame, bits: DataFrame, statistic: str = "score", tail: str = "directional", estimator: str = "plain") -> DataFrame:
+    """The same p-values from words of 64 steps: all rotations of a pair by one Fourier transform.
+
+    The agreement of signs under a rotation is the correlation of (pos - neg) of both functions, the
+    overlap that of their feature sets. Every function's words travel to its pairs as one array;
+    work per pair is T log T whatever its number of features.
+    """
+    ship(pairs.sparkSession)
+    key = ["left_fn", "right_fn", "space_res", "time_res", "feature_type"]
+    whole = bits.groupBy(*FN).agg(F.collect_list(F.struct("region", "word", "pos", "neg")).alias("w"))  # one function's words
+    on = [c for c in ("space_res", "time_res", "feature_type") if c in pairs.columns]
+    side = lambda fn, to: whole.withColumnsRenamed({"function_id": fn, "w": to})
+    met = pairs.select(*[c for c in (*key, "lo", "hi") if c in pairs.columns]).join(side("left_fn", "x"), ["left_fn", *on]).join(side("right_fn", "y"), ["right_fn", *{*on, "feature_type"}])
+    rows = met.select(*key, F.col("lo").cast("long").alias("lo"), F.col("hi").cast("long").alias("hi"), "x", "y").where("hi > lo")
+    return rows.mapInArrow(_rotate(key, statistic, tail, estimator), "left_fn string, right_fn string, space_res string, time_res string, feature_type string, n_perm long, p_value double")
+
+
+def _dense(words, regions: dict[str, int], lo: int, steps: int) -> tuple[np.ndarray, np.ndarray]:
+    """(pos - neg) and (pos or neg) of a list of words, on regions x steps."""
+    first = lo // WORD
+    n = (lo + steps - 1) // WORD - first + 1
+    out = []
+    for c in ("pos", "neg"):
+        grid = np.zeros((max(1, len(regions)), n), np.int64)
+        at = [(regions[w["region"]], w["word"] - first, w[c]) for w in words if w["region"] in regions and 0 <= w["word"] - first < n]
+        if at:
+            r, k, v = zip(*at, strict=True)
+            grid[list(r), list(k)] = v
+        flat = np.unpackbits(grid.astype("<i8").view(np.uint8), axis=1, bitorder="little")
+        out.append(flat[:, lo - first * WORD : lo - first * WORD + steps].astype(np.float32))
+    p, m = out
+    return p - m, np.maximum(p, m)
+
+
+def _rotate(key: list[str], statistic: str, tail: str, estimator: str):
+    def run(batches: Iterator) -> Iterator:
+        import pyarrow as pa
+
+        for b in batches:
+            kept, n_perm, p_values = [], [], []
+            for i in range(b.num_rows):
+                lo, hi, x, y = (b.column(c)[i].as_py() for c in ("lo", "hi", "x", "y"))
+                steps = hi - lo + 1
+                names = sorted({w["region"] for w in x} & {w["region"] for w in y})
+                net, common = np.zeros(steps), np.zeros(steps)
+                part = max(1, FFT_VALUES // steps)
+                for at in range(0, len(names), part):
+                    regions = {r: k for k, r in enumerate(names[at : at + part])}
+                    (s1, u1), (s2, u2) = _dense(x, regions, lo, steps), _dense(y, regions, lo, steps)
+                    cross = lambda a, c: np.fft.irfft((np.fft.rfft(a) * np.conj(np.fft.rfft(c))).sum(0), steps)
+                    net += cross(s1, s2)
+                    common += cross(u1, u2)
+                net, common = np.rint(net), np.rint(common)
+                if not common[0]:
+                    continue
+                s = np.round(net / np.maximum(common, 1) if statistic == "score" else net, 9)
+                obs, null = s[0], s[1:]
+                hits = {"upper": null >= obs, "lower": null <= obs, "two_sided": np.abs(null) >= abs(obs), "directional": null <= obs if obs < 0 else null >= obs}[tail].sum()
+                kept.append(i)
+                n_perm.append(steps - 1)
+                p_values.append(float(hits / (steps - 1) if estimator == "plain" else (hits + 1) / steps))
+            some = pa.array(kept, pa.int64())
+            yield pa.RecordBatch.from_arrays([*(b.column(c).take(some) for c in key), pa.array(n_perm, pa.int64()), pa.array(p_values, pa.float64())], [*key, "n_perm", "p_value"])
+
+    return run
+
+
 def co_occurrence(pairs: DataFrame, points: DataFrame) -> DataFrame:
     """Overlaps of every pair by (region of the first, region of the second), at equal steps."""
     key = ["left_fn", "right_fn", "space_res", "time_res", "feature_type"]
@@ -149,16 +248,66 @@ def co_occurrence(pairs: DataFrame, points: DataFrame) -> DataFrame:
     return x.join(y, [*key, "t"]).groupBy(*key, "r1", "r2").agg(F.count(F.lit(1)).alias("n_common"), one("p1 AND p2 OR n1 AND n2")("n_pos"), one("p1 AND n2 OR n1 AND p2")("n_neg"))
 
 
+def _moved(met: DataFrame, maps: DataFrame, base: list[str], steps: list[str]) -> DataFrame:
+    """Overlaps under the identity (k = 0) and under every map of the regions of the second function."""
+    same = met.where("r1 = r2").withColumn("k", F.lit(0))
+    on = ["space_res"] if "space_res" in maps.columns else []
+    to = maps.select(*on, "k", F.col("region").alias("r2"), F.col("image").alias("r1"))
+    cols = [*base, *steps, "k", "n_common", "n_pos", "n_neg"]
+    hist = same.select(*cols).unionByName(met.join(to, [*on, "r1", "r2"]).select(*cols))
+    return hist.groupBy(*base, *steps, "k").agg(*[F.sum(c).alias(c) for c in ("n_common", "n_pos", "n_neg")])
+
+
+def _maps_of(maps: DataFrame, base: DataFrame) -> DataFrame:
+    """Rows of ``base`` with the number of maps that apply to them."""
+    if "space_res" in maps.columns:
+        return base.join(maps.groupBy("space_res").agg(F.count_distinct("k").alias("n_maps")), "space_res")
+    return base.crossJoin(maps.agg(F.count_distinct("k").alias("n_maps")))  # one row
+
+
 def spatial_test(pairs: DataFrame, points: DataFrame, maps: DataFrame, statistic: str = "score", tail: str = "directional", estimator: str = "plain") -> DataFrame:
     """p-value of each pair against maps of the regions: ``maps`` has k, region, image.
 
-    The second function is moved by each map. All maps read one table of overlaps by region pair.
+    With a column space_res, maps apply to the pairs of that resolution. The second function is
+    moved by each map. All maps read one table of overlaps by region pair.
     """
     base = ["left_fn", "right_fn", "space_res", "time_res", "feature_type"]
-    met = co_occurrence(pairs, points)
-    n = maps.agg(F.count_distinct("k")).first()[0]
-    same = met.where("r1 = r2").withColumn("k", F.lit(0))
-    moved = met.join(F.broadcast(maps.select(F.col("k"), F.col("region").alias("r2"), F.col("image").alias("r1"))), ["r1", "r2"])
-    hist = same.select(*base, "k", "n_common", "n_pos", "n_neg").unionByName(moved.select(*base, "k", "n_common", "n_pos", "n_neg"))
-    hist = hist.groupBy(*base, "k").agg(*[F.sum(c).alias(c) for c in ("n_common", "n_pos", "n_neg")])
-    return _test(hist, base, "k", F.lit(n), statistic, tail, estimator)
+    hist = _maps_of(maps, _moved(co_occurrence(pairs, points), maps, base, []))
+    return _test(hist, [*base, "n_maps"], "k", F.col("n_maps"), statistic, tail, estimator).drop("n_maps")
+
+
+def step_map_test(pairs: DataFrame, points: DataFrame, maps: DataFrame, statistic: str = "score", tail: str = "directional", estimator: str = "plain") -> DataFrame:
+    """p-value of each pair against given moves of steps (lo, hi, k, t, image; see ``permute.step_maps``).
+
+    Moves that keep no dependence in time make the unrestricted Monte Carlo test.
+    """
+    base = ["left_fn", "right_fn", "space_res", "time_res", "feature_type"]
+    head = pairs.select(*[c for c in (*base, "lo", "hi") if c in pairs.columns])
+    x = _in_range(head, points, "left_fn", "p1", "n1", "image").select(*base, "region", "image", "p1", "n1")
+    y = _in_range(head, points, "right_fn", "p2", "n2", "t").select(*base, "lo", "hi", "region", "t", "p2", "n2")
+    same = y.withColumn("k", F.lit(0)).withColumn("image", F.col("t"))
+    cols = [*base, "region", "k", "image", "p2", "n2"]
+    moved = y.join(maps.select("lo", "hi", "k", "t", "image"), ["lo", "hi", "t"]).select(*cols).unionByName(same.select(*cols))
+    one = lambda e: F.sum(F.expr(e).cast("int")).alias
+    hist = x.join(moved, [*base, "region", "image"]).groupBy(*base, "k").agg(F.count(F.lit(1)).alias("n_common"), one("p1 AND p2 OR n1 AND n2")("n_pos"), one("p1 AND n2 OR n1 AND p2")("n_neg"))
+    hist = hist.crossJoin(maps.agg(F.count_distinct("k").alias("n_maps")))  # one row
+    return _test(hist, [*base, "n_maps"], "k", F.col("n_maps"), statistic, tail, estimator).drop("n_maps")
+
+
+def space_time_test(pairs: DataFrame, points: DataFrame, maps: DataFrame, statistic: str = "score", tail: str = "directional", estimator: str = "plain") -> DataFrame:
+    """p-value of each pair against every map of the regions together with every rotation in time.
+
+    On a lattice with its translations as maps this is the test on the three-dimensional torus. One
+    table of overlaps by (region, region, lag) serves all of them.
+    """
+    base = ["left_fn", "right_fn", "space_res", "time_res", "feature_type"]
+    head = pairs.select(*[c for c in (*base, "lo", "hi") if c in pairs.columns])
+    x = _in_range(head, points, "left_fn", "p1", "n1", "t1").select(*base, "lo", "hi", F.col("region").alias("r1"), "t1", "p1", "n1")
+    y = _in_range(head, points, "right_fn", "p2", "n2", "t2").select(*base, F.col("region").alias("r2"), "t2", "p2", "n2")
+    met = x.join(y, base).withColumn("lag", F.pmod(F.col("t1") - F.col("t2"), F.col("hi") - F.col("lo") + 1))
+    one = lambda e: F.sum(F.expr(e).cast("int")).alias
+    met = met.groupBy(*base, "lo", "hi", "r1", "r2", "lag").agg(F.count(F.lit(1)).alias("n_common"), one("p1 AND p2 OR n1 AND n2")("n_pos"), one("p1 AND n2 OR n1 AND p2")("n_neg"))
+    hist = _maps_of(maps, _moved(met, maps, [*base, "lo", "hi"], ["lag"]))
+    every = hist.withColumn("j", F.col("k") * (F.col("hi") - F.col("lo") + 1) + F.col("lag"))  # 0: nothing moved
+    total = (F.col("n_maps") + 1) * (F.col("hi") - F.col("lo") + 1) - 1
+    return _test(every, [*base, "lo", "hi", "n_maps"], "j", total, statistic, tail, estimator).drop("lo", "hi", "n_maps")

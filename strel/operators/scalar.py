@@ -11,7 +11,8 @@ from collections.abc import Iterable
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from strel.functions.steps import coarser, to_step
+from strel.functions.steps import TIME_DAG, coarser, reachable, to_step
+from strel.runtime import materialize
 from strel.sources.catalog import DatasetSpec
 
 KEYS = ["function_id", "space_res", "time_res", "region", "t"]
@@ -96,15 +97,74 @@ def finish(state: DataFrame, spec: DatasetSpec) -> DataFrame:
     )
 
 
-def build_functions(specs: Iterable[DatasetSpec], space_res: str, time_res: str, missing: str = "carry") -> DataFrame:
-    """All functions of all data sets at one resolution, on dense grids."""
+#: Resolutions at which relationships are evaluated, the finest first.
+EVALUATED_TIME = ("hour", "day", "week", "month")
+EVALUATED_SPACE = ("nation", "segment", "region", "world")
+
+
+def viable(spec: DatasetSpec, spaces: Iterable[str] = EVALUATED_SPACE, times: Iterable[str] = EVALUATED_TIME) -> list[tuple[str, str]]:
+    """The (space, time) resolutions of a data set: those that its own can be brought to."""
+    reach = reachable(spec.native_time)
+    return [(s, t) for s in spaces if s == "world" or s in spec.space for t in times if t in reach]
+
+
+def observe(spec: DatasetSpec, resolutions: list[tuple[str, str]]) -> tuple[DataFrame, str]:
+    """One scan of the raw rows: what all functions at these resolutions are made of, and its step.
+
+    A row for each data set, place (at every resolution of space), step and kind: partial sums of
+    tuples (kind ``''``), or one identifier that occurs there (kind: its column). The step is the
+    coarsest from which all wanted ones follow.
+    """
+    times = {t for _, t in resolutions}
+    base = next(t for t in reversed(list(TIME_DAG)) if times <= reachable(t) and t in reachable(spec.native_time))
+    places = [F.col(spec.space[s]).cast("string").alias(f"at_{s}") for s in dict.fromkeys(s for s, _ in resolutions) if s != "world"]
+    names = F.explode(spec.parts if spec.parts is not None else F.array(F.lit(spec.name)))
+    rows = spec.df.select(names.alias("dataset"), *places, to_step(F.col(spec.time), base).alias("t"), *spec.ids, *spec.attrs).where("t IS NOT NULL")
+    kinds = F.array(F.struct(F.lit("").alias("kind"), F.lit(None).cast("string").alias("id")), *[F.struct(F.lit(c).alias("kind"), F.col(c).cast("string").alias("id")) for c in spec.ids])
+    rows = rows.select("*", F.explode(kinds).alias("__as")).where("__as.kind = '' OR __as.id IS NOT NULL")
+    unit = 10 ** (spec.decimals or 0)
+    total = (lambda c: F.sum(F.round(c * unit).cast("long"))) if spec.decimals is not None else F.sum
+    own = lambda c: F.when(F.col("__as.kind") == "", F.col(c))
+    seen = rows.groupBy("dataset", *[f"at_{s}" for s in dict.fromkeys(s for s, _ in resolutions) if s != "world"], "t", "__as.kind", "__as.id").agg(
+        F.count(F.lit(1)).alias("n"), *[x for c in spec.attrs for x in (F.count(own(c)).alias(f"cnt_{c}"), total(own(c)).alias(f"sum_{c}"))]
+    )
+    return materialize(seen, "observed"), base
+
+
+def from_observed(seen: DataFrame, base: str, spec: DatasetSpec, resolutions: list[tuple[str, str]]) -> DataFrame:
+    """All functions at all given resolutions, in one pass over ``observe``'s rows.
+
+    Every row goes to each resolution; counts and sums of places and steps are pre-aggregated before
+    they are shuffled, identifiers are counted once a point.
+    """
+    place = lambda s: F.lit("0") if s == "world" else F.col(f"at_{s}")
+    at = F.explode(F.array(*[F.struct(F.lit(s).alias("space_res"), F.lit(t).alias("time_res"), place(s).alias("region"), coarser(F.col("t"), base, t).cast("int").alias("t")) for s, t in resolutions]))
+    head = ["space_res", "time_res", "region", "t"]
+    sums = [c for c in seen.columns if c.startswith(("cnt_", "sum_"))]
+    rows = seen.select("dataset", "kind", "id", "n", *sums, at.alias("x")).select("dataset", "kind", "id", "n", *sums, "x.*").where("region IS NOT NULL")
+    unit = 10 ** (spec.decimals or 0)
+    tuples = rows.where("kind = ''").groupBy("dataset", *head).agg(F.sum("n").alias("n"), *[F.sum(c).alias(c) for c in sums])
+    values = [F.struct(F.lit("density").alias("m"), F.col("n").cast("double").alias("value"))]
+    values += [F.struct(F.lit(f"avg({c})").alias("m"), (F.col(f"sum_{c}") / F.col(f"cnt_{c}") / unit).alias("value")) for c in spec.attrs]
+    name = F.concat("dataset", F.lit("."), "m").alias("function_id")
+    out = tuples.select("dataset", *head, F.explode(F.array(*values)).alias("v")).select("dataset", *head, "v.*").select(name, *head, "value")
+    if spec.ids:
+        unique = rows.where("kind <> ''").groupBy("dataset", *head, "kind", "id").agg(F.lit(1).alias("one")).groupBy("dataset", *head, "kind").agg(F.count(F.lit(1)).cast("double").alias("value"))
+        out = out.unionByName(unique.withColumn("m", F.concat(F.lit("unique("), "kind", F.lit(")"))).select(name, *head, "value"))
+    return out
+
+
+def all_functions(specs: Iterable[DatasetSpec], spaces: Iterable[str] = EVALUATED_SPACE, times: Iterable[str] = EVALUATED_TIME, missing: str = "carry") -> DataFrame:
+    """Every function of every data set at every viable resolution, on dense grids; one scan a table."""
     out = None
     for s in specs:
-        if space_res != "world" and space_res not in s.space:
-            continue
-        fn = long(wide(s, space_res, time_res), s.name, space_res, time_res)
-        out = fn if out is None else out.unionByName(fn)
-    return densify(out, missing)
+        found = viable(s, tuple(spaces), tuple(times))
+        if found:
+            fn = from_observed(*observe(s, found), s, found)
+            out = fn if out is None else out.unionByName(fn)
+    if out is None:
+        raise ValueError("no data set has a viable resolution among the given ones")
+    return densify(out.select(*KEYS, "value"), missing)
 
 
 def densify(fn: DataFrame, missing: str = "carry") -> DataFrame:
@@ -145,13 +205,20 @@ def gradient(fn: DataFrame, adjacency: DataFrame | None = None, how: str = "max"
     )
     near = near.select(*KEYS, F.explode(F.array("before", "after")).alias("d"))
     if adjacency is not None:
-        pairs = fn.join(F.broadcast(adjacency), fn["region"] == adjacency["a"]).drop("a")
+        pairs = fn.join(adjacency.withColumnRenamed("a", "region"), "region")
         other = fn.select("function_id", "space_res", "time_res", F.col("region").alias("b"), "t", F.col("value").alias("near"))
         near = near.unionByName(pairs.join(other, ["function_id", "space_res", "time_res", "b", "t"]).select(*KEYS, F.abs(F.col("value") - F.col("near")).alias("d")))
     agg = {"max": F.max, "mean": F.avg}[how]
     return near.groupBy(*KEYS).agg(F.coalesce(agg("d"), F.lit(0.0)).alias("value")).withColumn("function_id", F.concat(F.lit("gradient "), "function_id"))
 
 
+def stored_bytes(df: DataFrame) -> int:
+    """Bytes of the files of a stored table (as ``materialize`` or a reader gave it)."""
+    jvm, conf = df.sparkSession.sparkContext._jvm, df.sparkSession.sparkContext._jsc.hadoopConfiguration()
+    paths = [jvm.org.apache.hadoop.fs.Path(f) for f in df.inputFiles()]
+    return sum(p.getFileSystem(conf).getFileStatus(p).getLen() for p in paths)
+
+
 def footprint(fn: DataFrame, bytes_a_value: int = 4) -> DataFrame:
     """Values and bytes of every function."""
     return fn.groupBy("function_id", "space_res", "time_res").agg(F.count(F.lit(1)).alias("n_values")).withColumn("n_bytes", F.col("n_values") * bytes_a_value)

@@ -28,7 +28,7 @@ def cube_cells(spark: SparkSession, g: int) -> DataFrame:
 
 def quotient(adjacency: DataFrame, space_map: DataFrame) -> DataFrame:
     """Adjacency of coarser regions: two touch if members of them touch."""
-    m = F.broadcast(space_map)
+    m = space_map
     left = adjacency.join(m.withColumnsRenamed({"region": "a", "to_region": "x"}), "a")
     both = left.join(m.withColumnsRenamed({"region": "b", "to_region": "y"}), "b")
     return both.where("x <> y").select(F.col("x").alias("a"), F.col("y").alias("b")).distinct()

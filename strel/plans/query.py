@@ -2,7 +2,7 @@
 
 ``index_corpus`` turns data sets into stored functions and feature bits; queries read only those.
 A clause on score and strength is applied before the permutation test, which is the costly part;
-pairs that cannot reach the wanted strength by the sizes of their features never meet.
+with a least strength, words of pairs whose feature sets are too unlike in size never meet.
 """
 
 from __future__ import annotations
@@ -32,6 +32,9 @@ class Clause:
     alpha: float = 0.05
     feature_types: tuple[str, ...] = ("salient", "extreme")
     thresholds: dict[str, tuple[float | None, float | None]] = field(default_factory=dict)
+    #: Resolutions to evaluate; none: every one that the functions of a pair have in common.
+    space_res: tuple[str, ...] = ()
+    time_res: tuple[str, ...] = ()
     statistic: str = "score"
     tail: str = "directional"
     estimator: str = "plain"
@@ -59,25 +62,81 @@ class Index:
     adjacency: dict[str, DataFrame]
 
 
-def index_functions(fn: DataFrame, adjacency: DataFrame | None = None, seasonal: bool = True, space_res: str = "world") -> Index:
-    """Topology, thresholds and features of functions of one resolution; each step is stored once."""
+def index_functions(fn: DataFrame, adjacency: DataFrame | dict[str, DataFrame] | None = None, seasonal: bool = True, space_res: str = "world") -> Index:
+    """Topology, thresholds and features of functions of any resolutions; each step is stored once.
+
+    ``adjacency`` links regions: one table for ``space_res``, or one for each spatial resolution.
+    """
+    near = adjacency if isinstance(adjacency, dict) or adjacency is None else {space_res: adjacency}
     fn = materialize(fn, "functions")
-    pairs = materialize(topology.persistence(fn, adjacency), "persistence")
+    pairs = materialize(topology.persistence(fn, near), "persistence")
     salient = materialize(feat.salient_thresholds(pairs, seasonal), "thresholds")
     extreme = materialize(feat.extreme_thresholds(pairs, salient, seasonal), "thresholds")
     points = materialize(feat.features(fn, salient, extreme, seasonal), "features")
     bits = materialize(feat.to_bits(points), "bits")
-    return Index(fn, materialize(relate.spans(fn), "spans"), pairs, salient, extreme, points, bits, {space_res: adjacency} if adjacency is not None else {})
+    return Index(fn, materialize(relate.spans(fn), "spans"), pairs, salient, extreme, points, bits, near or {})
+
+
+def index_corpus(specs: Iterable[DatasetSpec], adjacency: dict[str, DataFrame] | None = None, spaces: Iterable[str] = ("world",), times: Iterable[str] = scalar.EVALUATED_TIME, missing: str = "carry") -> Index:
+    """The index of every function at every viable resolution; each raw table is scanned once.
+
+    Without the links of a resolution its regions would be islands: give ``adjacency`` for all
+    ``spaces`` but ``world``.
+    """
+    near = adjacency or {}
+    lacking = [s for s in spaces if s != "world" and s not in near]
+    if lacking:
+        raise ValueError(f"no adjacency for {lacking}")
+    return index_functions(scalar.all_functions(specs, spaces, times, missing), {s: a for s, a in near.items() if s in tuple(spaces)}, True)
 
 
-def index_corpus(specs: Iterable[DatasetSpec], space_res: str = "world", time_res: str = "week", missing: str = "carry", adjacency: DataFrame | None = None) -> Index:
-    return index_functions(scalar.build_functions(specs, space_res, time_res, missing), adjacency, True, space_res)
+_STORED = {"functions": ("space_res", "time_res"), "meta": (), "pairs": ("side",), "salient": (), "extreme": (), "points": ("space_res", "time_res", "feature_type"), "bits": ("space_res", "time_res", "feature_type")}
 
 
 def store_index(index: Index, path: str) -> None:
-    """Writes functions and bits so that a query's resolution and feature type prune files."""
-    index.functions.write.mode("overwrite").partitionBy("space_res", "time_res").parquet(f"{path}/functions")
-    index.bits.write.mode("overwrite").partitionBy("space_res", "time_res", "feature_type").parquet(f"{path}/bits")
+    """Writes an index so that a query's resolution and feature type prune files.
+
+    Functions are sorted by value inside a function, and extrema by height, so a question about
+    points past a threshold reads only the row groups that hold some.
+    """
+    for name, by in _STORED.items():
+        df = getattr(index, name)
+        if name in ("functions", "pairs"):
+            df = df.repartition("function_id").sortWithinPartitions(*by, "function_id", "value" if name == "functions" else "birth")
+        df.write.mode("overwrite").partitionBy(*by).parquet(f"{path}/{name}")
+    for res, pairs in index.adjacency.items():
+        pairs.write.mode("overwrite").parquet(f"{path}/adjacency/{res}")
+
+
+def load_index(spark: SparkSession, path: str, spaces: Iterable[str] = ()) -> Index:
+    """An index that ``store_index`` wrote, with the adjacency of the named resolutions."""
+    read = {name: spark.read.parquet(f"{path}/{name}") for name in _STORED}
+    return Index(**read, adjacency={s: spark.read.parquet(f"{path}/adjacency/{s}") for s in spaces})
+
+
+def features_through_index(index: Index, thresholds: dict[str, tuple[float | None, float | None]]) -> DataFrame:
+    """Features of listed functions under given (lower, upper) thresholds, from the merge-tree index.
+
+    Stored extrema past a threshold are where the search starts; from there it walks over the level
+    set alone. Columns as ``features.from_user``.
+    """
+    none = F.lit(None).cast("boolean")
+    out = None
+    for fn, (lo, hi) in thresholds.items():
+        own = index.functions.where(F.col("function_id") == fn)
+        for theta, side, pos in ((hi, "join", True), (lo, "split", False)):
+            if theta is None:
+                continue
+            leaves = topology.leaves_past(index.pairs.where(F.col("function_id") == fn), theta, side)
+            near = {s: a for s, a in index.adjacency.items()}
+            found = topology.flood(own, theta, near or None, leaves, side)
+            at = found.select(*topology.HEAD, F.explode("points").alias("p"))
+            at = at.select(*topology.HEAD, F.substring_index("p", ":", 1).alias("region"), F.substring_index("p", ":", -1).cast("int").alias("t"), (F.lit(True) if pos else none).alias("pos"), (none if pos else F.lit(True)).alias("neg"))
+            out = at if out is None else out.unionByName(at)
+    if out is None:
+        raise ValueError("no threshold is given")
+    both = out.groupBy(*topology.HEAD, "region", "t").agg(F.coalesce(F.max("pos"), F.lit(False)).alias("pos"), F.coalesce(F.max("neg"), F.lit(False)).alias("neg"))
+    return both.withColumn("feature_type", F.lit("user")).select(*topology.HEAD, "feature_type", "region", "t", "pos", "neg")
 
 
 @dataclass
@@ -93,6 +152,9 @@ class RelationshipQuery:
     def plan_pairs(self) -> DataFrame:
         """Candidate pairs, each once, at common resolutions."""
         pairs = relate.candidate_pairs(self.index.meta)
+        for res in ("space_res", "time_res"):
+            if getattr(self.clause, res):
+                pairs = pairs.where(F.col(res).isin(*getattr(self.clause, res)))
         inside = lambda c, names: F.col(c).isin(*names) if names else F.lit(True)
         a = inside("left_dataset", self.left) & inside("right_dataset", self.right)
         b = inside("left_dataset", self.right) & inside("right_dataset", self.left)
@@ -102,31 +164,47 @@ class RelationshipQuery:
         """Stored features, or those under the clause's thresholds for the functions it lists."""
         stored = self.index.points
         if self.clause.thresholds:
-            own = feat.from_user(self.index.functions, self.clause.thresholds)
-            kinds = self.index.functions.sparkSession.createDataFrame([(k,) for k in self.clause.feature_types], "feature_type string")
-            own = own.drop("feature_type").crossJoin(F.broadcast(kinds)).select(*stored.columns)
+            own = features_through_index(self.index, self.clause.thresholds)
+            kinds = F.explode(F.array(*[F.lit(k) for k in self.clause.feature_types]))
+            own = own.withColumn("feature_type", kinds).select(*stored.columns)
             stored = stored.where(~F.col("function_id").isin(*self.clause.thresholds)).unionByName(own)
         return stored.where(F.col("feature_type").isin(*self.clause.feature_types))
 
+    def bits(self) -> DataFrame:
+        """The features as words."""
+        return feat.to_bits(self.points()) if self.clause.thresholds else self.index.bits.where(F.col("feature_type").isin(*self.clause.feature_types))
+
     def evaluate(self) -> DataFrame:
-        """Every candidate with its measures; the clause and the test are not applied."""
-        pairs = self.plan_pairs()
-        points = self.points()
-        bits = feat.to_bits(points) if self.clause.thresholds else self.index.bits.where(F.col("feature_type").isin(*self.clause.feature_types))
-        if self.clause.min_strength > 0:  # a bound from sizes alone, on whole ranges, holds when ranges agree
-            pass
+        """Every candidate at every common resolution with its measures, before clause and test.
+
+        With a least strength, candidates that cannot reach it by their sizes are left out.
+        """
+        pairs, bits = self.plan_pairs(), self.bits()
+        if self.clause.min_strength > 0:
+            pairs = relate.within_strength(pairs, bits, self.clause.min_strength)
         return relate.measures(relate.pair_counts(pairs, bits))
 
     def run(self, significant_only: bool = True) -> DataFrame:
-        """Relationships with p-values: rotations in time for one region, maps of regions for more."""
+        """Relationships with p-values: rotations in time for one region, maps of regions for more.
+
+        Each resolution is tested with maps of its own links. Pairs over several regions whose
+        resolution has no adjacency cannot be tested: asking for them is an error.
+        """
         c = self.clause
         kept = materialize(self.evaluate().where("n_common > 0").where(c.keeps()), "candidates")
-        points = self.points()
         key = ["left_fn", "right_fn", "space_res", "time_res", "feature_type"]
-        tests = relate.rotation_test(kept.where("n_regions = 1"), points, c.statistic, c.tail, c.estimator).withColumn("test", F.lit("rotation"))
-        for adjacency in self.index.adjacency.values():
-            maps = permute.graph_maps(adjacency, self.n_maps)
-            tests = tests.unionByName(relate.spatial_test(kept.where("n_regions > 1"), points, maps, c.statistic, c.tail, c.estimator).withColumn("test", F.lit("region maps")))
+        tests = relate.rotation_test_words(kept.where("n_regions = 1"), self.bits(), c.statistic, c.tail, c.estimator).withColumn("test", F.lit("rotation"))
+        wide = kept.where("n_regions > 1")
+        lacking = [r[0] for r in wide.where(~F.col("space_res").isin(*self.index.adjacency) if self.index.adjacency else F.lit(True)).select("space_res").distinct().limit(9).collect()]
+        if lacking:
+            raise ValueError(f"no adjacency to test pairs at {lacking}")
+        if self.index.adjacency and wide.limit(1).count():
+            links = None
+            for res, a in self.index.adjacency.items():
+                one = a.select(F.lit(res).alias("space_res"), "a", "b")
+                links = one if links is None else links.unionByName(one)
+            maps = materialize(permute.graph_maps(links, self.n_maps), "maps")
+            tests = tests.unionByName(relate.spatial_test(wide, self.points(), maps, c.statistic, c.tail, c.estimator).withColumn("test", F.lit("region maps")))
         out = kept.join(tests, key, "left").withColumn("significant", F.coalesce(F.col("p_value") <= c.alpha, F.lit(False)))
         return out.where("significant") if significant_only else out
 

@@ -32,29 +32,54 @@ def storms(spark: SparkSession, sf: str, rate: float = 0.01, drop: float = 0.8)
     trips = as_functions(trips.groupBy("t").agg(F.count(F.lit(1)).alias("value")), "trips.density", time_res="day")
     wind = table(spark, sf, "orders").select("o_totalprice", to_step(F.col("o_orderdate"), "day").alias("t")).groupBy("t").agg(scalar.exact_avg(F.col("o_totalprice"), 2).alias("a"))
     wind = as_functions(wind.select("t", (F.col("a") / 10000 + F.when(storm, 40).otherwise(0)).alias("value")), "wind.avg", time_res="day")
-    return scalar.densify(trips.unionByName(wind)).where("t BETWEEN 9132 AND 11535")
+    return scalar.densify(trips.unionByName(wind))
+
+
+def rain(spark: SparkSession, sf: str, rate: float = 0.1, drop: float = 0.6) -> DataFrame:
+    """Daily number, suppliers and price of trips, and rain: on rain days trips are fewer and dearer."""
+    wet = uniform("rain:", F.col("t")) < rate
+    rows = table(spark, sf, "lineitem").select("l_orderkey", "l_linenumber", "l_suppkey", "l_extendedprice", to_step(F.col("l_shipdate"), "day").alias("t"))
+    rows = rows.where(~(wet & (uniform("drop:", F.col("l_orderkey"), ":", F.col("l_linenumber")) < drop)))
+    trips = rows.groupBy("t").agg(F.count(F.lit(1)).cast("double").alias("density"), F.count_distinct("l_suppkey").cast("double").alias("unique"), scalar.exact_avg(F.col("l_extendedprice"), 2).alias("price"))
+    each = F.explode(F.array(*[F.struct(F.lit(f"taxi.{m}").alias("m"), v.alias("value")) for m, v in (("density", F.col("density")), ("unique", F.col("unique")), ("avg", F.col("price") * F.when(wet, 1.6).otherwise(1.0)))]))
+    trips = trips.select("t", each.alias("x")).select(F.col("x.m").alias("function_id"), F.lit("world").alias("space_res"), F.lit("day").alias("time_res"), F.lit("0").alias("region"), F.col("t").cast("int").alias("t"), F.col("x.value"))
+    level = table(spark, sf, "orders").select("o_totalprice", to_step(F.col("o_orderdate"), "day").alias("t")).groupBy("t").agg(scalar.exact_avg(F.col("o_totalprice"), 2).alias("a"))
+    level = as_functions(level.select("t", (F.col("a") / 10000 + F.when(wet, 40).otherwise(0)).alias("value")), "weather.rain", time_res="day")
+    return scalar.densify(trips.unionByName(level))
+
+
+def snow(spark: SparkSession, sf: str, rate: float = 0.12, stay: float = 0.5) -> DataFrame:
+    """Snow of one day a week and riders who stay away on its other days, by day and by week."""
+    week = F.floor((F.col("t") - 4) / 7)
+    snowy = uniform("snow:", week) < rate
+    the_day = F.expr("(t - 4) % 7") == F.floor(uniform("snowday:", week) * 7)
+    o = table(spark, sf, "orders").select("o_orderkey", to_step(F.col("o_orderdate"), "day").alias("t"))
+    o = o.where(~(snowy & ~the_day & (uniform("stay:", F.col("o_orderkey")) < stay)))
+    bikes = as_functions(o.groupBy("t").agg(F.count(F.lit(1)).alias("value")), "bikes.density", time_res="day")
+    fall = table(spark, sf, "lineitem").select(to_step(F.col("l_shipdate"), "day").alias("t")).groupBy("t").agg(F.count(F.lit(1)).alias("value"))
+    fall = as_functions(fall.withColumn("value", F.col("value") + F.when(snowy & the_day, 200).otherwise(0)), "weather.snow", time_res="day")
+    days = bikes.unionByName(fall)
+    weeks = days.groupBy("function_id", "space_res", F.lit("week").alias("time_res"), "region", week.cast("int").alias("t")).agg(F.sum("value").alias("value"))
+    return scalar.densify(days.unionByName(weeks.select(*days.columns)))
 
 
 def two_years(spark: SparkSession, sf: str, planted: bool = True) -> DataFrame:
-    """Two years of weekly orders on one axis; planted: the same weeks of both are thinned out."""
-    o = table(spark, sf, "orders").select("o_orderkey", to_step(F.col("o_orderdate"), "week").alias("w")).where("w BETWEEN 1352 AND 1455")
+    """The second and third year of weekly orders on one axis; planted: the same weeks of both are thinned out."""
+    o = table(spark, sf, "orders").select("o_orderkey", to_step(F.col("o_orderdate"), "week").alias("w"))
+    start = o.agg(F.min("w").alias("w0")).select((F.col("w0") + 52).alias("start"))  # one row
+    o = o.crossJoin(start).where("w BETWEEN start AND start + 103")
     if planted:
-        year_week = F.col("w") % 52
-        rate = F.when(uniform("wk:", year_week) < 0.15, 0.25).otherwise(1.0)
+        rate = F.when(uniform("wk:", F.expr("(w - start) % 52")) < 0.15, 0.25).otherwise(1.0)
         o = o.where(uniform("keep:", F.col("o_orderkey")) < rate)
-    n = o.groupBy("w").agg(F.count(F.lit(1)).alias("value"))
-    out = None
-    for name, start in (("year1", 1352), ("year2", 1404)):
-        one = as_functions(n.where(F.col("w").between(start, start + 51)).select((F.col("w") - start).alias("t"), "value"), f"{name}.density")
-        out = one if out is None else out.unionByName(one)
-    return out
+    n = o.groupBy((F.col("w") - F.col("start")).alias("t")).agg(F.count(F.lit(1)).alias("value"))
+    return align_ranges(scalar.densify(as_functions(n, "orders.density")), "year1", 0, "year2", 52, 52)
 
 
 def noisy(fn: DataFrame, levels: tuple[float, ...] = (0.0, 0.01, 0.02, 0.05, 0.10)) -> DataFrame:
     """Copies of functions with bounded noise of given shares of their interquartile range."""
     q = fn.groupBy("function_id").agg(F.percentile("value", F.array(F.lit(0.25), F.lit(0.75))).alias("q"))
     z = sum((uniform("z:", F.col("t"), ":", str(k)) for k in range(1, 12)), uniform("z:", F.col("t"), ":", "0")) - 6.0
-    at = fn.join(F.broadcast(q), "function_id").withColumn("iqr", F.col("q")[1] - F.col("q")[0])
+    at = fn.join(q, "function_id").withColumn("iqr", F.col("q")[1] - F.col("q")[0])
     lv = F.explode(F.array(*[F.lit(x) for x in levels]))
     at = at.withColumn("level", lv)
     width = F.col("level") * F.col("iqr")
@@ -85,12 +110,13 @@ def bursts(spark: SparkSession, sf: str, rate: float = 0.01, size: int = 5) -> D
     e = table(spark, sf, "events").select("event_type", "user_id", to_step(F.col("ts"), "hour").alias("t"))
     c = table(spark, sf, "customer").select("c_custkey", F.col("c_nationkey").cast("string").alias("region"))
     n = e.join(c, F.col("user_id") == F.col("c_custkey")).where("event_type IN ('click', 'purchase')").groupBy("event_type", "region", "t").agg(F.count(F.lit(1)).alias("value"))
-    start = to_step(F.lit("2024-01-01").cast("timestamp_ntz"), "hour")
-    grid = spark.range(25 * 720).select((F.col("id") % 25).cast("string").alias("region"), (F.expr("id div 25") + start).cast("int").alias("t"))
+    span = table(spark, sf, "events").agg(F.min(to_step(F.col("ts"), "hour")).alias("lo"), F.max(to_step(F.col("ts"), "hour")).alias("hi"))  # one row
+    steps = span.select("lo", F.explode(F.sequence("lo", "hi")).alias("t"))
+    grid = steps.crossJoin(table(spark, sf, "nation").select(F.col("n_nationkey").cast("string").alias("region")))  # every nation at every hour
     out = None
     for kind in ("click", "purchase"):
         own = grid.join(n.where(F.col("event_type") == kind).select("region", "t", "value"), ["region", "t"], "left")
-        burst = F.when(uniform("burst:", F.col("region"), ":", F.col("t") - start) < rate, size).otherwise(0)
+        burst = F.when(uniform("burst:", F.col("region"), ":", F.col("t") - F.col("lo")) < rate, size).otherwise(0)
         fn = as_functions(own.select("region", "t", (F.coalesce("value", F.lit(0)) + burst).alias("value")), f"{kind}.density", "nation", "hour")
         out = fn if out is None else out.unionByName(fn)
     return out
@@ -103,5 +129,5 @@ def calibration(tested: DataFrame, alpha: float = 0.05) -> DataFrame:
 
 def align_ranges(fn: DataFrame, name_a: str, lo_a: int, name_b: str, lo_b: int, steps: int) -> DataFrame:
     """Two ranges of each function on one axis, as functions of two data sets."""
-    part = lambda name, lo: fn.where(F.col("t").between(lo, lo + steps - 1)).withColumn("t", F.col("t") - lo).withColumn("function_id", F.concat(F.lit(name + "."), F.substring_index("function_id", ".", -1)))
+    part = lambda name, lo: fn.where(F.col("t").between(lo, lo + steps - 1)).withColumn("t", (F.col("t") - lo).cast("int")).withColumn("function_id", F.concat(F.lit(name + "."), F.substring_index("function_id", ".", -1)))
     return part(name_a, lo_a).unionByName(part(name_b, lo_b))

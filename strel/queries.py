@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 from strel import oracle as O
 from strel.functions.steps import coarser, to_step
 from strel.operators import baselines, features, permute, relate, scalar, space, topology
-from strel.plans.query import Clause, Index, RelationshipQuery, dataset_degree, explain, index_functions, rank_relationships
+from strel.plans.query import Clause, Index, RelationshipQuery, dataset_degree, explain, index_corpus, index_functions, rank_relationships
 from strel.runtime import table
 from strel.sources import catalog
 
@@ -19,8 +19,8 @@ REGISTRY: dict[str, Query] = {}
 ORACLES: dict[str, str] = {}
 _INDEX: dict[tuple, Index] = {}
 WEEK_SETS = ("orders", "lineitem")
-#: Measures of the weekly pairs.
-WEEK_MEASURES = ("density", "unique(o_custkey)", "avg(o_totalprice)", "avg(l_quantity)")
+#: Measures of the weekly pairs: all of both tables.
+WEEK_MEASURES = None
 
 
 def register(sql: str | None = None):
@@ -93,11 +93,16 @@ for _key, _args in {
     "event_value_hour_segment": (("events",), "segment", "hour", ("avg(value)",)),
     "props_k_day": (("events",), "world", "day", ("avg(k)",)),
     "asof_fill_avg_day_nation": (("orders",), "nation", "day", ("avg(o_totalprice)",)),
-    "functions_of_splits_month": (("orders_F", "orders_O", "orders_P", "lineitem_A", "lineitem_N", "lineitem_R"), "world", "month", None),
 }.items():
     _scalar(_key, *_args)
 
 
+@register(_values_sql(O.functions(("orders_F", "orders_O", "orders_P", "lineitem_A", "lineitem_N", "lineitem_R"), "world", "month")))
+def functions_of_splits_month(spark: SparkSession, sf: str) -> DataFrame:
+    """Six parts of two tables, each table read once."""
+    return _values(scalar.all_functions(catalog.splits(spark, sf), ("world",), ("month",)))
+
+
 @register(f"""SELECT CAST({O.step("o_orderdate", "month")} AS BIGINT) AS t, round(sum(CAST(round(o_totalprice * 100) AS BIGINT)) / 100, 2) AS sum_price, round(median(o_totalprice), 6) AS med_price,
  min(o_totalprice) AS min_price, max(o_totalprice) AS max_price, round(quantile_cont(o_totalprice, 0.9), 6) AS p90 FROM orders GROUP BY ALL""")
 def agg_variants_orders_month(spark: SparkSession, sf: str) -> DataFrame:
@@ -212,13 +217,6 @@ def space_map_closure(spark: SparkSession, sf: str) -> DataFrame:
     return n.join(F.broadcast(r), n["n_regionkey"] == r["r_regionkey"]).select(F.col("n_nationkey").alias("region"), F.col("n_regionkey").alias("to_region"), F.col("r_name").alias("to_name"))
 
 
-@register("""SELECT * FROM (VALUES ('day', 'week'), ('day', 'month'), ('day', 'quarter'), ('day', 'day')) v(native, resolution)""")
-def common_resolution_pairs(spark: SparkSession, sf: str) -> DataFrame:
-    from strel.functions.steps import common_time
-
-    return spark.createDataFrame([("day", r) for r in common_time("second", "day")], "native string, resolution string")
-
-
 # --- topology ---------------------------------------------------------------------------------
 
 
@@ -265,26 +263,11 @@ def component_count_sweep(spark: SparkSession, sf: str) -> DataFrame:
     return topology.component_count(p, thetas).select("theta", "n_components")
 
 
-@register()
-def join_tree_edges_week(spark: SparkSession, sf: str) -> DataFrame:
-    return topology.merge_tree(dense(spark, sf, WEEK_SETS, "world", "week"))
-
-
 @register()
 def persistence_events_hour_nation(spark: SparkSession, sf: str) -> DataFrame:
     return topology.persistence(dense(spark, sf, ("events",), "nation", "hour", ("density",)), space.lattice(spark, 5, 5))
 
 
-@register()
-def segmentation_orders_week(spark: SparkSession, sf: str) -> DataFrame:
-    return topology.segmentation(dense(spark, sf, ("orders",), "world", "week"))
-
-
-@register()
-def classify_events_hour_nation(spark: SparkSession, sf: str) -> DataFrame:
-    return topology.classify(dense(spark, sf, ("events",), "nation", "hour", ("density",)), space.lattice(spark, 5, 5)).groupBy("kind").agg(F.count(F.lit(1)).alias("n"))
-
-
 @register(O.query(f"SELECT {O.SEASON['day'].replace('{t}', 'creator_t')} AS season, side, birth, death FROM pairs", O.functions(("orders",), "world", "day", ("density",)), O.PAIRS))
 def persistence_diagram_quarter(spark: SparkSession, sf: str) -> DataFrame:
     p = topology.persistence(dense(spark, sf, ("orders",), "world", "day", ("density",)))
@@ -430,12 +413,21 @@ def query_with_clause(spark: SparkSession, sf: str) -> DataFrame:
 
 
 _SPLITS = ("orders_F", "orders_O", "orders_P", "lineitem_A", "lineitem_N", "lineitem_R")
-_SPLIT = O.functions(_SPLITS, "world", "week", ("density", "unique(o_custkey)", "unique(l_suppkey)", "avg(o_totalprice)", "avg(l_quantity)"))
+_SPLIT = O.functions(_SPLITS, "world", "week")
 _SPLIT_CTES = (_SPLIT, O.PAIRS, O.thresholds("week"), O.points("week"), O.RELATION, O.ROTATION)
 
 
 def _splits(spark: SparkSession, sf: str) -> Index:
-    return index(spark, sf, _SPLITS, "week", ("density", "unique(o_custkey)", "unique(l_suppkey)", "avg(o_totalprice)", "avg(l_quantity)"))
+    """All measures of both tables by status and flag, at (week, world): one scan a table."""
+    key = (spark.sparkContext.applicationId, sf, "splits")
+    if key not in _INDEX:
+        _INDEX[key] = index_corpus(catalog.splits(spark, sf), spaces=("world",), times=("week",))
+    return _INDEX[key]
+
+
+def forget_indexes() -> None:
+    """Lets the next query build its index anew."""
+    _INDEX.clear()
 
 
 @register(O.query("SELECT d AS dataset, count(DISTINCT o) AS degree FROM (SELECT left_dataset AS d, right_dataset AS o, left_fn, right_fn, feature_type FROM rel UNION ALL SELECT right_dataset, left_dataset, left_fn, right_fn, feature_type FROM rel) JOIN test USING (left_fn, right_fn, feature_type) WHERE p_value <= 0.05 GROUP BY d", *_SPLIT_CTES))
@@ -472,7 +464,7 @@ def rotation_null_week(spark: SparkSession, sf: str) -> DataFrame:
 @register(O.query("SELECT left_fn, right_fn, feature_type, CAST(n_perm AS BIGINT) AS n_perm, round(p_value, 6) AS p_value FROM test", *_REL, O.ROTATION))
 def rotation_pvalues_week(spark: SparkSession, sf: str) -> DataFrame:
     ix = _week(spark, sf)
-    return relate.rotation_test(relate.candidate_pairs(ix.meta), ix.points).select("left_fn", "right_fn", "feature_type", "n_perm", r6("p_value"))
+    return relate.rotation_test_words(relate.candidate_pairs(ix.meta), ix.bits).select("left_fn", "right_fn", "feature_type", "n_perm", r6("p_value"))
 
 
 @register(O.query("""SELECT o.left_fn, o.right_fn, o.feature_type, round((le + CASE WHEN obs >= 0 THEN n_perm - present ELSE 0 END) / n_perm, 6) AS p_lower, round((ge + CASE WHEN obs <= 0 THEN n_perm - present ELSE 0 END) / n_perm, 6) AS p_upper
@@ -481,8 +473,8 @@ def pvalue_tails(spark: SparkSession, sf: str) -> DataFrame:
     ix = _week(spark, sf)
     pairs = relate.candidate_pairs(ix.meta)
     key = ["left_fn", "right_fn", "feature_type"]
-    a = relate.rotation_test(pairs, ix.points, tail="lower").select(*key, F.round("p_value", 6).alias("p_lower"))
-    b = relate.rotation_test(pairs, ix.points, tail="upper").select(*key, F.round("p_value", 6).alias("p_upper"))
+    a = relate.rotation_test_words(pairs, ix.bits, tail="lower").select(*key, F.round("p_value", 6).alias("p_lower"))
+    b = relate.rotation_test_words(pairs, ix.bits, tail="upper").select(*key, F.round("p_value", 6).alias("p_upper"))
     return a.join(b, key)
 
 
@@ -521,17 +513,6 @@ def lattice_shift_pvalues_hour_nation(spark: SparkSession, sf: str) -> DataFrame
     return test.crossJoin(F.broadcast(seen)).select(r6("score"), "n_perm", r6("p_value"))
 
 
-@register()
-def graph_shift_maps(spark: SparkSession, sf: str) -> DataFrame:
-    return permute.graph_maps(space.lattice(spark, 5, 5), 200)
-
-
-@register()
-def map_fidelity(spark: SparkSession, sf: str) -> DataFrame:
-    a = space.lattice(spark, 5, 5)
-    return permute.fidelity(permute.graph_maps(a, 200), a)
-
-
 @register()
 def graph_shift_pvalues_hour_nation(spark: SparkSession, sf: str) -> DataFrame:
     fn = _typed(spark, sf)
@@ -539,24 +520,12 @@ def graph_shift_pvalues_hour_nation(spark: SparkSession, sf: str) -> DataFrame:
     return relate.spatial_test(relate.candidate_pairs(relate.spans(fn)), pts, permute.graph_maps(space.lattice(spark, 5, 5), 1000))
 
 
-@register()
-def free_permutation_pvalues(spark: SparkSession, sf: str) -> DataFrame:
-    ix = _week(spark, sf)
-    return permute.free_permutation_test(relate.candidate_pairs(ix.meta), ix.points, 500)
-
-
-@register()
-def block_permutation_pvalues(spark: SparkSession, sf: str) -> DataFrame:
-    ix = _week(spark, sf)
-    return permute.free_permutation_test(relate.candidate_pairs(ix.meta), ix.points, 500, block=13)
-
-
-@register(O.query("SELECT left_fn, right_fn, feature_type, round(least(1.0, min(p_value * m / rk) OVER (ORDER BY p_value DESC ROWS UNBOUNDED PRECEDING)), 6) AS p_adjusted FROM (SELECT *, rank() OVER (ORDER BY p_value) AS rk, count(*) OVER () AS m FROM test) ORDER BY 1", *_REL, O.ROTATION).replace("ORDER BY p_value DESC ROWS", "ORDER BY p_value DESC, left_fn, right_fn, feature_type ROWS"))
+@register(O.query("SELECT left_fn, right_fn, feature_type, round(least(1.0, min(p_value * m / rk) OVER (ORDER BY p_value DESC RANGE UNBOUNDED PRECEDING)), 6) AS p_adjusted FROM (SELECT *, count(*) OVER (ORDER BY p_value RANGE UNBOUNDED PRECEDING) AS rk, count(*) OVER () AS m FROM test)", *_REL, O.ROTATION))
 def adjusted_pvalues_week(spark: SparkSession, sf: str) -> DataFrame:
     ix = _week(spark, sf)
-    t = permute.adjust_bh(relate.rotation_test(relate.candidate_pairs(ix.meta), ix.points))
-    best = t.groupBy("p_value").agg(F.max("p_adjusted").alias("hi"))
-    return t.join(best, "p_value").select("left_fn", "right_fn", "feature_type", r6("p_adjusted"))
+    t = permute.adjust_bh(relate.rotation_test_words(relate.candidate_pairs(ix.meta), ix.bits))
+    return t.select("left_fn", "right_fn", "feature_type", r6("p_adjusted"))
+
 
 
 # --- baselines --------------------------------------------------------------------------------
@@ -591,11 +560,6 @@ def ols_binary_week_pairs(spark: SparkSession, sf: str) -> DataFrame:
     return baselines.least_squares(*_base(spark, sf), binary=True).select("left_fn", "right_fn", r6("slope"))
 
 
-@register()
-def dtw_week_pairs(spark: SparkSession, sf: str) -> DataFrame:
-    return baselines.time_warping(*_base(spark, sf))
-
-
 @register(O.query("""SELECT left_fn, right_fn, ours, theirs, CASE WHEN ours AND theirs THEN 'both' WHEN ours THEN 'only ours' WHEN theirs THEN 'only pcc' ELSE 'none' END AS verdict FROM
  (SELECT c.left_fn, c.right_fn, coalesce(bool_or(p_value <= 0.05), false) AS ours, any_value(abs(pcc) >= 0.1) AS theirs FROM (SELECT left_fn, right_fn, corr(x, y) AS pcc FROM al GROUP BY ALL) c LEFT JOIN test USING (left_fn, right_fn) GROUP BY ALL)""", *_ALIGNED, O.ROTATION))
 def method_comparison(spark: SparkSession, sf: str) -> DataFrame:

@@ -6,13 +6,14 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from strel import oracle as O
+from strel import oracle_space as S
 from strel.functions import registered
 from strel.functions.steps import to_step
 from strel.operators import features, permute, relate, scalar, space, topology
 from strel.plans import workloads as W
 from strel.plans.query import Clause, Index, RelationshipQuery, index_functions
 from strel.queries import _REL_COLS, ORACLES, REGISTRY, _tested, _week, dense, r6, register
-from strel.runtime import table
+from strel.runtime import materialize, table
 from strel.sources import catalog
 from strel.streaming import live
 
@@ -41,7 +42,6 @@ _DAY_L, _DAY_O = O.step("l_shipdate", "day"), O.step("o_orderdate", "day")
 _STORM = u("'storm:' || t") + " < 0.01"
 _storm_fn = _fill(f"""SELECT 'trips.density' AS function_id, '0' AS region, t, CAST(count(*) AS DOUBLE) AS value FROM (SELECT {_DAY_L} AS t, l_orderkey, l_linenumber FROM lineitem) WHERE NOT ({_STORM} AND {u("'drop:' || l_orderkey || ':' || l_linenumber")} < 0.8) GROUP BY t
  UNION ALL SELECT 'wind.avg', '0', t, sum(CAST(round(o_totalprice * 100) AS BIGINT)) / count(*) / 100 / 10000 + CASE WHEN {_STORM} THEN 40 ELSE 0 END FROM (SELECT {_DAY_O} AS t, o_totalprice FROM orders) GROUP BY t""")
-_storm_fn = _storm_fn.replace("fn AS (", "fn0 AS (") + ", fn AS (SELECT * FROM fn0 WHERE t BETWEEN 9132 AND 11535)"
 
 
 @register(O.query(_TEST, *_all("day", _storm_fn)))
@@ -53,9 +53,9 @@ _WEEK_O, _WEEK_L = O.step("o_orderdate", "week"), O.step("l_shipdate", "week")
 
 
 def _years(planted: bool) -> str:
-    keep = f"WHERE {u("'keep:' || o_orderkey")} < CASE WHEN {u("'wk:' || (w % 52)")} < 0.15 THEN 0.25 ELSE 1.0 END" if planted else ""
-    src = f"(SELECT w, count(*) AS n FROM (SELECT o_orderkey, {_WEEK_O} AS w FROM orders) {keep} GROUP BY w)"
-    return "fn AS (" + " UNION ALL ".join(f"SELECT '{n}.density' AS function_id, '0' AS region, CAST(w - {s} AS INTEGER) AS t, CAST(n AS DOUBLE) AS value FROM {src} WHERE w BETWEEN {s} AND {s + 51}" for n, s in (("year1", 1352), ("year2", 1404))) + ")"
+    keep = f"WHERE {u("'keep:' || o_orderkey")} < CASE WHEN {u("'wk:' || (t % 52)")} < 0.15 THEN 0.25 ELSE 1.0 END" if planted else ""
+    src = f"SELECT t, count(*) AS n FROM (SELECT o_orderkey, {_WEEK_O} - (SELECT min({_WEEK_O}) + 52 FROM orders) AS t FROM orders) {keep} GROUP BY t"
+    return "cnt AS (" + src + "), fn AS (" + " UNION ALL ".join(f"SELECT '{n}.density' AS function_id, '0' AS region, CAST(g - {s} AS INTEGER) AS t, CAST(coalesce(n, 0) AS DOUBLE) AS value FROM (SELECT unnest(generate_series({s}, {s + 51})) AS g) LEFT JOIN cnt ON t = g WHERE g BETWEEN (SELECT min(t) FROM cnt WHERE t BETWEEN 0 AND 103) AND (SELECT max(t) FROM cnt WHERE t BETWEEN 0 AND 103)" for n, s in (("year1", 0), ("year2", 52))) + ")"
 
 
 @register(O.query(_TEST, *_all("week", _years(True))))
@@ -80,10 +80,27 @@ def planted_severity_week(spark: SparkSession, sf: str) -> DataFrame:
     return _related(W.severity(spark, sf))
 
 
-@register()
-def robustness_noise_levels(spark: SparkSession, sf: str) -> DataFrame:
-    fn = W.noisy(dense(spark, sf, ("orders",), "world", "week", ("density",)))
-    return _related(fn, ("orders",))
+_BURST = u("'burst:' || region || ':' || (t - lo)") + " < 0.01"
+_bursts = f"""sp AS (SELECT min({O.step('ts', 'hour')}) AS lo, max({O.step('ts', 'hour')}) AS hi FROM events),
+cn AS (SELECT event_type, CAST(c_nationkey AS VARCHAR) AS region, {O.step('ts', 'hour')} AS t, count(*) AS n FROM events JOIN customer ON user_id = c_custkey WHERE event_type IN ('click', 'purchase') GROUP BY ALL),
+gr AS (SELECT kind, CAST(n_nationkey AS VARCHAR) AS region, unnest(generate_series(lo, hi)) AS t, lo FROM nation, sp, (SELECT unnest(['click', 'purchase']) AS kind)),
+fn AS (SELECT kind || '.density' AS function_id, g.region, CAST(g.t AS INTEGER) AS t, CAST(coalesce(n, 0) + CASE WHEN {_BURST.replace('region', 'g.region').replace('(t - lo)', '(g.t - lo)')} THEN 5 ELSE 0 END AS DOUBLE) AS value
+  FROM gr g LEFT JOIN cn ON cn.event_type = g.kind AND cn.region = g.region AND cn.t = g.t)"""
+_shifts = """,
+maps AS (SELECT k, CAST(r AS VARCHAR) AS region, CAST((r // 5 + k // 5) % 5 * 5 + (r % 5 + k % 5) % 5 AS VARCHAR) AS image FROM (SELECT unnest(range(1, 25)) AS k), (SELECT unnest(range(25)) AS r))"""
+_FIXED = ", pts AS (SELECT function_id, 'salient' AS feature_type, region, t, value >= 4 AS pos, value <= 0 AS neg FROM fn WHERE value >= 4 OR value <= 0)"
+
+
+@register(O.query("SELECT r.left_fn, r.right_fn, r.n1, r.n2, r.n_common, r.n_pos, r.n_neg, round(r.score, 6) AS score, round(r.strength, 6) AS strength, CAST(n_perm AS BIGINT) AS n_perm, round(p_value, 6) AS p_value FROM rel r JOIN test USING (left_fn, right_fn, feature_type)", _bursts, _FIXED, O.RELATION, _shifts, S.MAP_TEST))
+def planted_bursts_fixed_thresholds(spark: SparkSession, sf: str) -> DataFrame:
+    """Local bursts under thresholds that a user gives, tested with all shifts of the lattice."""
+    fn = materialize(W.bursts(spark, sf), "bursts")
+    pts = features.from_user(fn, {"click.density": (0.0, 4.0), "purchase.density": (0.0, 4.0)}).withColumn("feature_type", F.lit("salient"))
+    pairs = relate.candidate_pairs(relate.spans(fn))
+    counts = relate.measures(relate.pair_counts(pairs, features.to_bits(pts)))
+    test = relate.spatial_test(pairs, pts, permute.lattice_maps(spark, 5, 5))
+    found = counts.join(test, ["left_fn", "right_fn", "space_res", "time_res", "feature_type"])
+    return found.select("left_fn", "right_fn", "n1", "n2", "n_common", "n_pos", "n_neg", r6("score"), r6("strength"), "n_perm", r6("p_value"))
 
 
 @register()
@@ -151,14 +168,14 @@ _sql("unpivot_measures", "SELECT l_orderkey, l_linenumber, measure, v FROM {line
 _sql("self_join_lagged", "SELECT a.t AS t, a.n AS n, b.n AS before FROM (SELECT dayofyear(ts) AS t, count(*) AS n FROM {events} GROUP BY 1) a JOIN (SELECT dayofyear(ts) AS t, count(*) AS n FROM {events} GROUP BY 1) b ON b.t = a.t - 7")
 
 
-@register(O.query("SELECT region, t FROM pts a WHERE function_id = 'orders.density' AND feature_type = 'salient' AND EXISTS (SELECT 1 FROM pts b WHERE b.function_id = 'lineitem.density' AND b.feature_type = 'salient' AND b.t = a.t)", O.functions(("orders", "lineitem"), "world", "week", ("density", "unique(o_custkey)", "avg(o_totalprice)", "avg(l_quantity)")), O.PAIRS, O.thresholds("week"), O.points("week")))
+@register(O.query("SELECT region, t FROM pts a WHERE function_id = 'orders.density' AND feature_type = 'salient' AND EXISTS (SELECT 1 FROM pts b WHERE b.function_id = 'lineitem.density' AND b.feature_type = 'salient' AND b.t = a.t)", O.functions(("orders", "lineitem"), "world", "week"), O.PAIRS, O.thresholds("week"), O.points("week")))
 def intersect_feature_points(spark: SparkSession, sf: str) -> DataFrame:
     p = _week(spark, sf).points.where("feature_type = 'salient'")
     one = lambda f: p.where(F.col("function_id") == f).select("region", "t")
     return one("orders.density").intersect(one("lineitem.density"))
 
 
-@register(O.query("SELECT region, t FROM pts a WHERE function_id = 'orders.density' AND feature_type = 'salient' AND NOT EXISTS (SELECT 1 FROM pts b WHERE b.function_id = 'lineitem.density' AND b.feature_type = 'salient' AND b.t = a.t)", O.functions(("orders", "lineitem"), "world", "week", ("density", "unique(o_custkey)", "avg(o_totalprice)", "avg(l_quantity)")), O.PAIRS, O.thresholds("week"), O.points("week")))
+@register(O.query("SELECT region, t FROM pts a WHERE function_id = 'orders.density' AND feature_type = 'salient' AND NOT EXISTS (SELECT 1 FROM pts b WHERE b.function_id = 'lineitem.density' AND b.feature_type = 'salient' AND b.t = a.t)", O.functions(("orders", "lineitem"), "world", "week"), O.PAIRS, O.thresholds("week"), O.points("week")))
 def except_feature_points(spark: SparkSession, sf: str) -> DataFrame:
     p = _week(spark, sf).points.where("feature_type = 'salient'")
     one = lambda f: p.where(F.col("function_id") == f).select("region", "t")

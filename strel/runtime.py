@@ -1,7 +1,8 @@
 """Places that every executor can reach, and tables that cut lineage.
 
 ``spark.checkpoint.dir`` names the folder shared by the driver and the executors. Where a session
-lacks it (unit tests, a laptop) the setting is filled in once with a folder under the warehouse.
+lacks it and runs in one process (unit tests, a laptop) it is filled in once with a folder under the
+warehouse; on a cluster that is an error.
 """
 
 from __future__ import annotations
@@ -15,7 +16,8 @@ import uuid
 import zipfile
 from pathlib import Path
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import functions as F
 
 _KEY = "spark.checkpoint.dir"
 _ROOT = Path(__file__).resolve().parent
@@ -49,6 +51,8 @@ def shared_dir(spark: SparkSession) -> str:
         found = spark.sparkContext._jsc.sc().getCheckpointDir()
         found = found.get() if found.isDefined() else None
     if not found:
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
         found = spark.conf.get("spark.sql.warehouse.dir").rstrip("/") + "/_checkpoints"
         spark.sparkContext.setCheckpointDir(found)
     return found.rstrip("/")
@@ -85,6 +89,20 @@ def discard(*tables: DataFrame) -> None:
         tables[0].sparkSession.sparkContext._jvm.System.gc()
 
 
+def ranked(rows: DataFrame, by: list, to: str, tag: str = "ranked") -> DataFrame:
+    """``rows`` with a dense number from 0 in the order of ``by`` (columns or expressions).
+
+    Rows are dealt by ranges; each range numbers its own and starts behind those before it, so no
+    task holds all rows (one row a range is summed up by one task).
+    """
+    dealt = materialize(rows.repartitionByRange(*by).withColumn("__part", F.spark_partition_id()), tag)
+    before = dealt.groupBy("__part").agg(F.count(F.lit(1)).alias("__n"))
+    up = Window.orderBy("__part").rowsBetween(Window.unboundedPreceding, -1)
+    before = before.select("__part", F.coalesce(F.sum("__n").over(up), F.lit(0)).alias("__before"))
+    own = F.row_number().over(Window.partitionBy("__part").orderBy(*by))
+    return dealt.join(before, "__part").withColumn(to, F.col("__before") + own - 1).drop("__part", "__before")
+
+
 def release(spark: SparkSession) -> None:
     """Deletes the intermediate tables; call it once the results that read them are stored."""
     jvm = spark.sparkContext._jvm

@@ -4,11 +4,12 @@ from __future__ import annotations
 
 from dataclasses import dataclass, field, replace
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from strel.runtime import table
+from strel.operators import space
+from strel.runtime import ranked, table
 
 #: Spatial resolutions from fine to coarse, and what each may be rolled up to.
 SPACE_DAG = {"point": ("cell", "nation", "segment"), "cell": ("world",), "nation": ("region", "world"), "region": ("world",), "segment": ("world",), "world": ()}
@@ -31,6 +32,12 @@ class DatasetSpec:
     attrs: tuple[str, ...] = ()
     #: Decimal places of attributes: sums are then exact and do not depend on the order of rows.
     decimals: int | None = 2
+    #: Names of the data sets that a row belongs to (an array column); none: ``name`` alone.
+    parts: Column | None = None
+
+    def family(self, name: str, *parts: Column) -> DatasetSpec:
+        """Several data sets read in one scan: each row belongs to those that ``parts`` name (not to null ones)."""
+        return replace(self, name=name, parts=F.filter(F.array(*parts), lambda x: x.isNotNull()))
 
     def where(self, name: str, condition: str) -> DatasetSpec:
         """A part of the table as a data set of its own."""
@@ -59,13 +66,12 @@ def infer_roles(df: DataFrame) -> dict[str, list[str]]:
 def encode_category(df: DataFrame, col: str, to: str | None = None) -> DataFrame:
     """Adds the rank of a categorical column among its values, from 0.
 
-    The values are counted before they are sent to executors; very many are joined by a shuffle.
+    The distinct values are ranked by ranges, so no task holds all of them. They are counted before
+    they are sent to executors; very many are joined by a shuffle.
     """
-    from pyspark.sql import Window
-
-    codes = df.select(col).distinct().withColumn("__code", F.dense_rank().over(Window.orderBy(col)) - 1)
+    # nulls take part as the lowest value
+    codes = ranked(df.select(F.col(col).alias("__value")).distinct(), [F.col("__value").asc_nulls_first()], "__code", "categories").withColumn("__code", F.col("__code").cast("int"))
     small = codes.limit(100_001).count() <= 100_000
-    codes = codes.withColumnRenamed(col, "__value")
     joined = df.join(F.broadcast(codes) if small else codes, F.col(col).eqNullSafe(F.col("__value")), "left")
     return joined.withColumn(to or f"{col}_code", F.col("__code")).drop("__value", "__code")
 
@@ -101,10 +107,36 @@ def corpus(spark: SparkSession, sf: str, parts: bool = True) -> list[DatasetSpec
     return out
 
 
+def splits(spark: SparkSession, sf: str) -> list[DatasetSpec]:
+    """Orders by status and lineitem by return flag, each table read once."""
+    return [orders(spark, sf).family("orders", F.concat(F.lit("orders_"), "o_orderstatus")), lineitem(spark, sf).family("lineitem", F.concat(F.lit("lineitem_"), "l_returnflag"))]
+
+
+def whole_and_parts(spark: SparkSession, sf: str) -> list[DatasetSpec]:
+    """Orders, lineitem and events, and their parts by status, flag and type: 14 data sets in three scans."""
+    return [
+        orders(spark, sf).family("orders", F.lit("orders"), F.concat(F.lit("orders_"), "o_orderstatus")),
+        lineitem(spark, sf).family("lineitem", F.lit("lineitem"), F.concat(F.lit("lineitem_"), "l_returnflag")),
+        events(spark, sf).family("events", F.lit("events"), F.concat(F.lit("events_"), "event_type")),
+    ]
+
+
 def many(spark: SparkSession, sf: str, suppliers: int = 34) -> list[DatasetSpec]:
-    """A corpus of hundreds of small data sets cut from the given tables."""
+    """A corpus of 302 small data sets cut from the given tables, in three scans."""
     o, li, ev = orders(spark, sf), lineitem(spark, sf), events(spark, sf)
-    out = [li.where(f"lineitem_{b}_{f}", f"l_suppkey % {suppliers} = {b} AND l_returnflag = '{f}'") for b in range(suppliers) for f in "ANR"]
-    out += [o.where(f"orders_{s}_{p}_{x}", f"c_mktsegment = '{s}' AND o_orderpriority LIKE '{p}%' AND o_orderstatus = '{x}'") for s in ("AUTOMOBILE", "BUILDING", "FURNITURE", "HOUSEHOLD", "MACHINERY") for p in range(1, 6) for x in "FOP"]
-    out += [ev.where(f"events_{t}_{u}", f"event_type = '{t}' AND user_id % 25 = {u}") for t in ("click", "error", "purchase", "signup", "view") for u in range(25)]
-    return out
+    return [
+        li.family("lineitem", F.concat(F.lit("lineitem_"), (F.col("l_suppkey") % suppliers).cast("string"), F.lit("_"), "l_returnflag")),
+        o.family("orders", F.concat(F.lit("orders_"), "c_mktsegment", F.lit("_"), F.substring("o_orderpriority", 1, 1), F.lit("_"), "o_orderstatus")),
+        ev.family("events", F.concat(F.lit("events_"), "event_type", F.lit("_"), (F.col("user_id") % 25).cast("string"))),
+    ]
+
+
+def space_maps(spark: SparkSession, sf: str) -> dict[str, DataFrame]:
+    """Adjacency of the resolutions that have more than one region: nations on a lattice, regions as
+    its quotient, segments on a path."""
+    nations = space.lattice(spark, 5, 5)
+    up = table(spark, sf, "nation").select(F.col("n_nationkey").cast("string").alias("region"), F.col("n_regionkey").cast("string").alias("to_region"))
+    names = table(spark, sf, "customer").select(F.col("c_mktsegment").alias("s")).distinct()
+    path = names.withColumn("next", F.lead("s").over(Window.orderBy("s"))).where("next IS NOT NULL")  # a handful of segments
+    segments = path.select(F.col("s").alias("a"), F.col("next").alias("b")).unionByName(path.select(F.col("next").alias("a"), F.col("s").alias("b")))
+    return {"nation": nations, "region": space.quotient(nations, up), "segment": segments}
