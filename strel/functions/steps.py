@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 
 #: Temporal resolutions from fine to coarse, and what each may be rolled up to. A week lies in the
 #: month of its Monday, which loses the exact border: that edge is lossy.
-TIME_DAG = {"second": ("hour",), "hour": ("day",), "day": ("week", "month"), "week": (), "month": ("quarter",), "quarter": ()}
+TIME_DAG = {"second": ("hour",), "hour": ("day",), "day": ("week", "month"), "week": (), "month": ("quarter",), "quarter": (), "ordinal": ()}
 LOSSY = {("week", "month")}
 
 
@@ -20,6 +20,7 @@ def to_step(ts: Column, time_res: str) -> Column:
         "day": lambda: day,
         "week": lambda: F.floor((day - 4) / 7).cast("int"),
         "month": lambda: (F.year(ts) - 1970) * 12 + F.month(ts) - 1,
+        "ordinal": lambda: ts.cast("int"),  # a declared integer axis of a table without time
         "quarter": lambda: (F.year(ts) - 1970) * 4 + F.quarter(ts) - 1,
     }[time_res]()
 

@@ -123,49 +123,70 @@ def relation_user_thresholds(spark: SparkSession, sf: str) -> DataFrame:
     return RelationshipQuery(index_functions(fn), clause=c).evaluate().select("left_fn", "right_fn", "n_common", "n_pos", "n_neg")
 
 
-# --- relational operators around the methods ---------------------------------------------------
+# --- relational operators over functions, extrema and features -----------------------------------
 
+_CHAIN = (O.functions(("orders", "lineitem"), "world", "week"), O.PAIRS, O.thresholds("week"), O.points("week"))
 
-def _sql(key: str, text: str, oracle: str | None = None) -> None:
-    """A query that both engines read from the same text, over views of the given tables."""
-    names = [t for t in "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split() if t in text]
+
+def _over(key: str, text: str, oracle: str | None = None) -> None:
+    """A question in SQL about the stored weekly index: functions ``fn``, extrema ``pairs``, features ``pts``."""
 
     def run(spark: SparkSession, sf: str) -> DataFrame:
+        ix = _week(spark, sf)
+        for name, df in (("fn", ix.functions), ("pairs", ix.pairs), ("pts", ix.points)):
+            df.createOrReplaceTempView(f"strel_{name}")
         body = text
-        for t in names:
-            body = body.replace("{" + t + "}", "strel_" + t)
-            table(spark, sf, t).createOrReplaceTempView("strel_" + t)
+        for name in ("fn", "pairs", "pts"):
+            body = body.replace("{" + name + "}", f"strel_{name}")
         return spark.sql(body)
 
     run.__name__ = key
     plain = oracle or text
-    for t in names:
-        plain = plain.replace("{" + t + "}", t)
-    register(plain)(run)
-
-
-_sql("cube_events_type_segment", "SELECT event_type, c_mktsegment AS segment, count(*) AS n, round(sum(value), 2) AS total FROM {events} JOIN {customer} ON user_id = c_custkey GROUP BY CUBE (event_type, c_mktsegment)")
-_sql("rollup_region_nation_month", "SELECT n_regionkey AS region, c_nationkey AS nation, year(o_orderdate) * 12 + month(o_orderdate) AS m, count(*) AS n FROM {orders} JOIN {customer} ON o_custkey = c_custkey JOIN {nation} ON c_nationkey = n_nationkey GROUP BY ROLLUP (n_regionkey, c_nationkey, year(o_orderdate) * 12 + month(o_orderdate))")
-_sql("union_datasets_by_flag", "SELECT l_returnflag AS part, count(*) AS n FROM {lineitem} GROUP BY l_returnflag UNION ALL SELECT o_orderstatus, count(*) FROM {orders} GROUP BY o_orderstatus")
-_sql("semi_join_feature_orders", "SELECT c_custkey FROM {customer} WHERE c_custkey IN (SELECT o_custkey FROM {orders} WHERE o_totalprice > 450000)")
-_sql("anti_join_quiet_customers", "SELECT c_custkey FROM {customer} c WHERE NOT EXISTS (SELECT 1 FROM {orders} o WHERE o.o_custkey = c.c_custkey)")
-_sql("range_join_price_bands", "SELECT p_size AS band, count(*) AS n FROM {part} JOIN {lineitem} ON l_partkey = p_partkey AND l_quantity BETWEEN p_size AND p_size + 5 GROUP BY p_size")
-_sql("window_ranking_prices", "SELECT o_orderkey, row_number() OVER w AS rn, rank() OVER w AS rk, dense_rank() OVER w AS dr, ntile(4) OVER w AS q, round(percent_rank() OVER w, 6) AS pr, round(cume_dist() OVER w, 6) AS cd FROM {orders} WHERE o_custkey < 50 WINDOW w AS (PARTITION BY o_custkey ORDER BY o_totalprice DESC, o_orderkey)")
-_sql("window_lag_lead_events", "SELECT event_id, lag(value) OVER w AS before, lead(value) OVER w AS after, first_value(value) OVER w AS head FROM {events} WINDOW w AS (PARTITION BY user_id ORDER BY event_id)")
-_sql("window_running_sums", "SELECT o_orderkey, sum(CAST(round(o_totalprice * 100) AS BIGINT)) OVER (PARTITION BY o_custkey ORDER BY o_orderkey ROWS BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW) AS cents FROM {orders}", "SELECT o_orderkey, CAST(sum(CAST(round(o_totalprice * 100) AS BIGINT)) OVER (PARTITION BY o_custkey ORDER BY o_orderkey ROWS BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW) AS BIGINT) AS cents FROM {orders}")
-_sql("window_moving_count", "SELECT event_id, count(*) OVER (PARTITION BY user_id ORDER BY event_id ROWS BETWEEN 6 PRECEDING AND CURRENT ROW) AS n, max(value) OVER (PARTITION BY user_id ORDER BY event_id ROWS BETWEEN 6 PRECEDING AND CURRENT ROW) AS top FROM {events}")
-_sql("percentiles_box_plot", "SELECT o_orderpriority, round(percentile(o_totalprice, 0.25), 4) AS q1, round(percentile(o_totalprice, 0.5), 4) AS q2, round(percentile(o_totalprice, 0.75), 4) AS q3 FROM {orders} GROUP BY o_orderpriority", "SELECT o_orderpriority, round(quantile_cont(o_totalprice, 0.25), 4) AS q1, round(quantile_cont(o_totalprice, 0.5), 4) AS q2, round(quantile_cont(o_totalprice, 0.75), 4) AS q3 FROM {orders} GROUP BY o_orderpriority")
-_sql("distinct_ids_multi", "SELECT l_returnflag, count(DISTINCT l_suppkey) AS suppliers, count(DISTINCT l_partkey) AS parts, count(DISTINCT l_orderkey) AS orders FROM {lineitem} GROUP BY l_returnflag")
-_sql("ordinal_axis_documents", "SELECT doc_id DIV 50 AS t, lang, count(*) AS density, sum(n_chars) AS chars FROM {documents} GROUP BY doc_id DIV 50, lang", "SELECT doc_id // 50 AS t, lang, count(*) AS density, CAST(sum(n_chars) AS BIGINT) AS chars FROM {documents} GROUP BY ALL")
-_sql("ordinal_axis_conversations", "SELECT conv_id DIV 5 AS t, role, count(*) AS density, count(DISTINCT conv_id) AS convs, sum(length(text)) AS chars FROM {conversations} GROUP BY conv_id DIV 5, role", "SELECT conv_id // 5 AS t, role, count(*) AS density, count(DISTINCT conv_id) AS convs, CAST(sum(length(text)) AS BIGINT) AS chars FROM {conversations} GROUP BY ALL")
-_sql("ordinal_axis_pages", "SELECT page_id DIV 10 AS t, count(*) AS density, sum(length(html)) AS chars FROM {pages} GROUP BY page_id DIV 10", "SELECT page_id // 10 AS t, count(*) AS density, CAST(sum(length(html)) AS BIGINT) AS chars FROM {pages} GROUP BY ALL")
-_sql("string_url_hosts", "SELECT regexp_extract(url, '^https?://([^/:?#]+)', 1) AS host, count(*) AS n FROM {pages} GROUP BY 1")
-_sql("json_props_measure", "SELECT event_type, sum(CAST(get_json_object(props, '$.k') AS BIGINT)) AS k FROM {events} GROUP BY event_type", "SELECT event_type, CAST(sum(CAST(json_extract(props, '$.k') AS BIGINT)) AS BIGINT) AS k FROM {events} GROUP BY event_type")
-_sql("date_parts_orders", "SELECT year(o_orderdate) AS y, quarter(o_orderdate) AS q, month(o_orderdate) AS m, dayofyear(o_orderdate) AS d, count(*) AS n FROM {orders} GROUP BY 1, 2, 3, 4")
-_sql("bit_count_words", "SELECT o_custkey, bit_or(shiftleft(1L, CAST(o_orderkey % 63 AS INT))) AS word, bit_count(bit_or(shiftleft(1L, CAST(o_orderkey % 63 AS INT)))) AS n FROM {orders} GROUP BY o_custkey", "SELECT o_custkey, bit_or(CAST(1 AS BIGINT) << CAST(o_orderkey % 63 AS INT)) AS word, CAST(bit_count(bit_or(CAST(1 AS BIGINT) << CAST(o_orderkey % 63 AS INT))) AS INTEGER) AS n FROM {orders} GROUP BY o_custkey")
-_sql("pivot_types_by_day", "SELECT * FROM (SELECT dayofmonth(ts) AS d, event_type FROM {events}) PIVOT (count(*) FOR event_type IN ('click' AS click, 'error' AS error, 'purchase' AS purchase))", "SELECT dayofmonth(ts) AS d, count(*) FILTER (event_type = 'click') AS click, count(*) FILTER (event_type = 'error') AS error, count(*) FILTER (event_type = 'purchase') AS purchase FROM {events} GROUP BY d")
-_sql("unpivot_measures", "SELECT l_orderkey, l_linenumber, measure, v FROM {lineitem} LATERAL VIEW stack(2, 'quantity', l_quantity, 'discount', l_discount) AS measure, v WHERE l_orderkey < 100", "SELECT l_orderkey, l_linenumber, 'quantity' AS measure, l_quantity AS v FROM {lineitem} WHERE l_orderkey < 100 UNION ALL SELECT l_orderkey, l_linenumber, 'discount', l_discount FROM {lineitem} WHERE l_orderkey < 100")
-_sql("self_join_lagged", "SELECT a.t AS t, a.n AS n, b.n AS before FROM (SELECT dayofyear(ts) AS t, count(*) AS n FROM {events} GROUP BY 1) a JOIN (SELECT dayofyear(ts) AS t, count(*) AS n FROM {events} GROUP BY 1) b ON b.t = a.t - 7")
+    for name in ("fn", "pairs", "pts"):
+        plain = plain.replace("{" + name + "}", name)
+    register(O.query(f"SELECT * FROM ({plain}) q", *_CHAIN))(run)
+
+
+_over("cube_extrema", "SELECT function_id, side, count(*) AS n, round(max(persistence), 6) AS top FROM {pairs} GROUP BY CUBE (function_id, side)")
+_over("rollup_features", "SELECT function_id, feature_type, pos, count(*) AS n FROM {pts} GROUP BY ROLLUP (function_id, feature_type, pos)")
+_over("union_of_features_and_extrema", "SELECT function_id, CAST(t AS BIGINT) AS t FROM {pts} UNION SELECT function_id, CAST(creator_t AS BIGINT) FROM {pairs}")
+_over("semi_join_functions_with_extremes", "SELECT function_id, CAST(t AS BIGINT) AS t, round(value, 6) AS value FROM {fn} f WHERE EXISTS (SELECT 1 FROM {pts} p WHERE p.function_id = f.function_id AND p.t = f.t AND p.feature_type = 'salient')")
+_over("anti_join_steps_without_features", "SELECT function_id, CAST(t AS BIGINT) AS t, round(value, 6) AS value FROM {fn} f WHERE NOT EXISTS (SELECT 1 FROM {pts} p WHERE p.function_id = f.function_id AND p.t = f.t)")
+_over("range_join_features_near_peaks", "SELECT p.function_id, p.side, CAST(p.creator_t AS BIGINT) AS creator_t, count(*) AS n FROM {pairs} p JOIN {pts} f ON f.function_id = p.function_id AND f.t BETWEEN p.creator_t - 2 AND p.creator_t + 2 GROUP BY p.function_id, p.side, p.creator_t")
+_RUNS = "(SELECT function_id, min(t) AS lo, max(t) AS hi FROM (SELECT function_id, t, sum(CASE WHEN t - b = 1 THEN 0 ELSE 1 END) OVER (PARTITION BY function_id ORDER BY t) AS run FROM (SELECT function_id, t, lag(t) OVER (PARTITION BY function_id ORDER BY t) AS b FROM {pts} WHERE feature_type = 'salient' AND pos)) GROUP BY function_id, run)"
+_over("interval_join_feature_runs", f"SELECT a.function_id AS f, b.function_id AS g, count(*) AS n, CAST(sum(least(a.hi, b.hi) - greatest(a.lo, b.lo) + 1) AS BIGINT) AS steps FROM {_RUNS} a JOIN {_RUNS} b ON a.function_id < b.function_id AND a.lo <= b.hi AND b.lo <= a.hi GROUP BY a.function_id, b.function_id")
+_over("window_ranking_persistence", "SELECT function_id, side, CAST(creator_t AS BIGINT) AS creator_t, row_number() OVER w AS rn, rank() OVER w AS rk, dense_rank() OVER w AS dr, ntile(4) OVER w AS q, round(percent_rank() OVER w, 6) AS pr, round(cume_dist() OVER w, 6) AS cd FROM {pairs} WINDOW w AS (PARTITION BY function_id, side ORDER BY round(persistence, 6) DESC, creator_t)")
+_over("window_lag_lead_extrema", "SELECT function_id, side, CAST(creator_t AS BIGINT) AS creator_t, round(lag(birth) OVER w, 6) AS before, round(lead(birth) OVER w, 6) AS after, round(first_value(birth) OVER w, 6) AS head FROM {pairs} WINDOW w AS (PARTITION BY function_id, side ORDER BY creator_t)")
+_over("window_moving_average", "SELECT function_id, CAST(t AS BIGINT) AS t, round(avg(value) OVER w, 6) AS smooth, count(*) OVER w AS n FROM {fn} WINDOW w AS (PARTITION BY function_id ORDER BY t ROWS BETWEEN 6 PRECEDING AND CURRENT ROW)")
+_over("window_running_total", "SELECT function_id, CAST(t AS BIGINT) AS t, CAST(sum(value) OVER (PARTITION BY function_id ORDER BY t ROWS BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW) AS BIGINT) AS total FROM {fn} WHERE function_id LIKE '%.density'")
+_over("iqr_boxplot_minima", "SELECT function_id, round(percentile(birth, 0.25), 6) AS q1, round(percentile(birth, 0.5), 6) AS q2, round(percentile(birth, 0.75), 6) AS q3 FROM {pairs} WHERE side = 'split' GROUP BY function_id", "SELECT function_id, round(quantile_cont(birth, 0.25), 6) AS q1, round(quantile_cont(birth, 0.5), 6) AS q2, round(quantile_cont(birth, 0.75), 6) AS q3 FROM {pairs} WHERE side = 'split' GROUP BY function_id")
+_over("distinct_steps_of_features", "SELECT feature_type, count(DISTINCT function_id) AS functions, count(DISTINCT t) AS steps FROM {pts} GROUP BY feature_type")
+_over("pivot_signs", "SELECT * FROM (SELECT function_id, feature_type FROM {pts}) PIVOT (count(*) FOR feature_type IN ('salient' AS salient, 'extreme' AS extreme))", "SELECT function_id, nullif(count(*) FILTER (feature_type = 'salient'), 0) AS salient, nullif(count(*) FILTER (feature_type = 'extreme'), 0) AS extreme FROM {pts} GROUP BY function_id")
+_over("unpivot_birth_death", "SELECT function_id, side, CAST(creator_t AS BIGINT) AS creator_t, what, round(v, 6) AS v FROM {pairs} LATERAL VIEW stack(2, 'birth', birth, 'death', death) AS what, v", "SELECT function_id, side, CAST(creator_t AS BIGINT) AS creator_t, 'birth' AS what, round(birth, 6) AS v FROM {pairs} UNION ALL SELECT function_id, side, CAST(creator_t AS BIGINT), 'death', round(death, 6) FROM {pairs}")
+_over("self_join_year_before", "SELECT a.function_id, CAST(a.t AS BIGINT) AS t, round(a.value - b.value, 6) AS change FROM {fn} a JOIN {fn} b ON b.function_id = a.function_id AND b.t = a.t - 52")
+
+
+def _ordinal(key: str, name: str, axis: str, place: str, unique: tuple[str, ...], attr: str, space_res: str, src: str, sql_place: str, sql_attr: str) -> None:
+    """A table without time as a data set over an integer axis."""
+
+    def run(spark: SparkSession, sf: str) -> DataFrame:
+        rows = table(spark, sf, name).select(F.expr(axis).alias("axis"), F.expr(place).alias(space_res), *unique, F.expr(attr).alias("size"))
+        spec = catalog.DatasetSpec(name, rows, "axis", "ordinal", unique, {space_res: space_res}, ("size",), 0)
+        found = [("world", "ordinal"), (space_res, "ordinal")]
+        fn = scalar.from_observed(*scalar.observe(spec, found), spec, found)
+        return fn.select("function_id", "space_res", "region", F.col("t").cast("long").alias("t"), F.round("value", 6).alias("value"))
+
+    run.__name__ = key
+    parts = []
+    for res, region in (("world", "'0'"), (space_res, f"CAST({sql_place} AS VARCHAR)")):
+        for m, v in (("density", "count(*)"), ("avg(size)", f"sum(CAST({sql_attr} AS BIGINT)) / count({sql_attr})"), *((f"unique({c})", f"count(DISTINCT {c})") for c in unique)):
+            parts.append(f"SELECT '{name}.{m}' AS function_id, '{res}' AS space_res, {region} AS region, {src} AS t, round(CAST({v} AS DOUBLE), 6) AS value FROM {name} WHERE {region} IS NOT NULL GROUP BY 3, 4")
+    register(" UNION ALL ".join(parts))(run)
+
+
+_ordinal("ordinal_axis_documents", "documents", "doc_id div 50", "lang", (), "n_chars", "lang", "doc_id // 50", "lang", "n_chars")
+_ordinal("ordinal_axis_conversations", "conversations", "conv_id div 5", "role", ("conv_id",), "length(text)", "role", "conv_id // 5", "role", "length(text)")
+_ordinal("ordinal_axis_pages", "pages", "page_id div 10", "regexp_extract(url, '^https?://([^/:?#]+)', 1)", (), "length(html)", "host", "page_id // 10", "regexp_extract(url, '^https?://([^/:?#]+)', 1)", "length(html)")
 
 
 @register(O.query("SELECT region, t FROM pts a WHERE function_id = 'orders.density' AND feature_type = 'salient' AND EXISTS (SELECT 1 FROM pts b WHERE b.function_id = 'lineitem.density' AND b.feature_type = 'salient' AND b.t = a.t)", O.functions(("orders", "lineitem"), "world", "week"), O.PAIRS, O.thresholds("week"), O.points("week")))
@@ -229,13 +250,37 @@ def stream_session_users(spark: SparkSession, sf: str) -> DataFrame:
     return live.drain(live.sessions(live.source(spark, f"{sf}/events.parquet"))).select("user_id", "n")
 
 
-@register(f"SELECT t, value, value >= 20 AS pos, value <= 8 AS neg FROM (SELECT CAST({O.step('ts', 'hour')} AS BIGINT) AS t, count(*) AS value FROM events GROUP BY ALL) WHERE value >= 20 OR value <= 8")
+@register(f"SELECT t, value, value >= 20 AS pos, value <= 8 AS neg FROM (SELECT CAST({O.step('ts', 'hour')} AS BIGINT) AS t, count(*) AS value FROM events GROUP BY ALL) WHERE (value >= 20 OR value <= 8) AND t < (SELECT CAST(max({O.step('ts', 'hour')}) - 1 AS BIGINT) FROM events)")
 def stream_feature_flags(spark: SparkSession, sf: str) -> DataFrame:
+    """Flags of closed hours, joined with stored thresholds inside the stream."""
     th = spark.createDataFrame([(20.0, 8.0)], "up double, down double")
-    out = live.flags(live.drain(live.density(live.source(spark, f"{sf}/events.parquet"))), th)
+    out = live.drain(live.flags(live.density(live.source(spark, f"{sf}/events.parquet")), th), "append")
     return out.select((F.col("w.start").cast("long") / 3600).cast("long").alias("t"), "value", "pos", "neg")
 
 
+@register(f"""SELECT t, count(*) AS value FROM (SELECT CAST({O.step('ts', 'hour')} AS BIGINT) - 1 + unnest([0, 1]) AS t FROM events) GROUP BY t""")
+def stream_sliding_density(spark: SparkSession, sf: str) -> DataFrame:
+    """Windows of two hours that begin every hour."""
+    out = live.drain(live.density(live.source(spark, f"{sf}/events.parquet"), "2 hours", "1 hour"))
+    return out.select((F.col("w.start").cast("long") / 3600).cast("long").alias("t"), "value")
+
+
+_SIGNED = "SELECT DISTINCT CAST(epoch(date_trunc('minute', ts)) AS BIGINT) AS m, value >= 0 AS pos, value < 0 AS neg FROM events WHERE event_type = '{}'"
+
+
+@register(f"""SELECT count(*) AS n_common, CAST(sum(CAST(a.pos AND b.pos OR a.neg AND b.neg AS INT)) AS BIGINT) AS n_pos, CAST(sum(CAST(a.pos AND b.neg OR a.neg AND b.pos AS INT)) AS BIGINT) AS n_neg FROM ({_SIGNED.format('click')}) a JOIN ({_SIGNED.format('view')}) b USING (m)""".replace("value >= 0", "event_id % 2 = 0").replace("value < 0", "event_id % 2 = 1"))
+def stream_running_relation(spark: SparkSession, sf: str) -> DataFrame:
+    """Two live streams of signed features joined step by step, and their running counts."""
+
+    def signed(kind: str) -> DataFrame:
+        e = live.source(spark, f"{sf}/events.parquet").where(F.col("event_type") == kind)
+        e = e.select(F.date_trunc("minute", "ts").alias("ts"), (F.col("event_id") % 2 == 0).alias("pos"), (F.col("event_id") % 2 == 1).alias("neg"))
+        return e.withWatermark("ts", "1 hour").dropDuplicates(["ts", "pos", "neg"])
+
+    met = live.drain(live.met(signed("click"), signed("view")), "append")
+    return live.running_relation(met).select("n_common", "n_pos", "n_neg")
+
+
 @register("SELECT count(*) AS n, sum(v) AS total FROM (SELECT count(*) AS v FROM events GROUP BY event_id)")
 def stream_deduplicated(spark: SparkSession, sf: str) -> DataFrame:
     out = live.drain(live.deduplicated(live.source(spark, f"{sf}/events.parquet")), "append")

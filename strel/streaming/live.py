@@ -1,7 +1,7 @@
 """Live functions and features of a stream of events.
 
 Time of an event is its ``ts``; the source's timestamp without zone is read as UTC. Late rows are
-dropped by the watermark and counted by the query's progress.
+dropped by the watermark; ``drain`` says how many.
 """
 
 from __future__ import annotations
@@ -50,14 +50,22 @@ def sessions(events: DataFrame, gap: str = "6 hours", late: str = "1 hour") -> D
 
 
 def flags(counts: DataFrame, thresholds: DataFrame) -> DataFrame:
-    """Closed windows with the signs that stored thresholds (up, down: one row) give them."""
-    return counts.join(F.broadcast(thresholds)).select("w", "value", (F.col("value") >= F.col("up")).alias("pos"), (F.col("value") <= F.col("down")).alias("neg")).where("pos OR neg")
+    """Closed windows with the signs that stored thresholds (up, down: one row) give them.
+
+    ``counts`` may be a stream: the thresholds are the static side of the join.
+    """
+    return counts.crossJoin(F.broadcast(thresholds.limit(1))).select("w", "value", (F.col("value") >= F.col("up")).alias("pos"), (F.col("value") <= F.col("down")).alias("neg")).where("pos OR neg")
 
 
 def related(a: DataFrame, b: DataFrame, late: str = "1 hour") -> DataFrame:
     """Features of two live functions (ts, pos, neg) that meet at one step."""
-    x = a.withWatermark("ts", late).select(F.col("ts").alias("t1"), F.col("pos").alias("p1"), F.col("neg").alias("n1"))
-    y = b.withWatermark("ts", late).select(F.col("ts").alias("t2"), F.col("pos").alias("p2"), F.col("neg").alias("n2"))
+    return met(a.withWatermark("ts", late), b.withWatermark("ts", late))
+
+
+def met(a: DataFrame, b: DataFrame) -> DataFrame:
+    """The same for streams that have their watermark: both times bound the state of the join."""
+    x = a.select(F.col("ts").alias("t1"), F.col("pos").alias("p1"), F.col("neg").alias("n1"))
+    y = b.select(F.col("ts").alias("t2"), F.col("pos").alias("p2"), F.col("neg").alias("n2"))
     return x.join(y, F.expr("t1 = t2"))
 
 
@@ -104,7 +112,8 @@ def open_peaks(series: DataFrame) -> DataFrame:
 def drain(stream: DataFrame, mode: str = "complete") -> DataFrame:
     """Runs a stream over what its source holds now and returns the stored result.
 
-    In complete mode every batch replaces the result; in append mode batches add to it.
+    In complete mode every batch replaces the result; in append mode batches add to it: only then
+    are windows closed by the watermark, and rows behind it dropped.
     """
     spark = stream.sparkSession
     base = f"{shared_dir(spark)}/strel/stream-{uuid.uuid4().hex}"
@@ -114,5 +123,12 @@ def drain(stream: DataFrame, mode: str = "complete") -> DataFrame:
 
     q = stream.writeStream.outputMode(mode).foreachBatch(store).option("checkpointLocation", f"{base}/checkpoint").trigger(availableNow=True).start()
     q.awaitTermination()
-    out = spark.read.parquet(f"{base}/out")
-    return out.drop("epoch")
+    late = sum(op["numRowsDroppedByWatermark"] for p in q.recentProgress for op in p["stateOperators"])
+    out = spark.read.parquet(f"{base}/out").drop("epoch")
+    out._strel_late = late
+    return out
+
+
+def late_rows(drained: DataFrame) -> int:
+    """Rows that ``drain`` saw dropped for being late."""
+    return drained._strel_late
