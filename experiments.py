@@ -109,7 +109,7 @@ def main(args: list[str]) -> None:
         say(experiment="speed-up", cores=int(args[2]), **split_corpus(session(args[2]), args[1]))
         return
     plain = [a for a in args if not a.startswith("--")]
-    sf, cores = [*plain, "/root/testdata/sf0.1", "8"][len(plain[2:]) :][:2] if len(plain) != 1 else (plain[0], "8")
+    sf, cores = (plain + ["/root/testdata/sf0.1", "8"][len(plain) :])[:2]
     if "--speedup" in args:
         for k in ("1", "2", "4", "8"):
             subprocess.run([sys.executable, __file__, "--one", sf, k], check=True)
