@@ -14,9 +14,11 @@ from itertools import repeat
 import numpy as np
 
 #: Distinct chunks a worker remembers before it starts afresh.
-CACHE_CHUNKS = 800_000
+CACHE_CHUNKS = 200_000
 #: Bytes of text handled at once.
-BLOCK_BYTES = 2_000_000
+BLOCK_BYTES = 1 << 19
+#: Rows of an Arrow batch that are Python objects at once.
+SLICE_ROWS = 128
 
 
 def tokenizer_path(name: str = "word_bpe_49k.json") -> str:
@@ -169,6 +171,12 @@ def encoder(path: str) -> ChunkEncoder:
     return _ENCODERS[path]
 
 
+def each(column) -> Iterator:
+    """Values of an Arrow column; only some rows are Python objects at a time."""
+    for at in range(0, len(column), SLICE_ROWS):
+        yield from column.slice(at, SLICE_ROWS).to_pylist()
+
+
 def blocks(keys: Iterable, texts: Iterable[str | None], limit: int = BLOCK_BYTES) -> Iterator[tuple[list, list[bytes]]]:
     """Cuts rows into blocks of about ``limit`` bytes; a longer text is a block of its own."""
     ks: list = []

@@ -23,7 +23,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from strel.llm.encode import blocks, encoder, tokenizer_path
+from strel.llm.encode import blocks, each, encoder, tokenizer_path
 from strel.runtime import materialize, ship
 
 WINDOW = 4096
@@ -104,7 +104,7 @@ def _pack_task(path: str, window: int, open_windows: int, min_cut: int, end_id:
             return pa.RecordBatch.from_arrays(arrays, [*_COLS, "is_open", "task"])
 
         for b in batches:
-            for keys, texts in blocks(b.column("doc_id").to_pylist(), b.column("text").to_pylist()):
+            for keys, texts in blocks(each(b.column("doc_id")), each(b.column("text"))):
                 flat, counts = enc.ids(texts)
                 at = 0
                 for k, c in zip(keys, counts.tolist(), strict=True):

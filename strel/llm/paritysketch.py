@@ -15,11 +15,16 @@ which frees more keys. So sets that only have a common passage drop out before a
 
 Links within a group of near copies need not all be looked at to know its class: each set is first
 compared with one smaller set, that with which it shares most keys, then each class with one other
-class in the same way, for some rounds. Sets that still lie in different classes and share a key
-are then compared with each other, all of them. Before sets are compared, a 512-bit parity sketch of each gives a lower bound of their
-difference (its Hamming distance).
+class in the same way, as long as that links many. Of the sets of a key that still lie in different
+classes, those outside the key's largest class are then compared with all others.
 
-Equal sets (exact copies) are one set from the start. Nothing is sampled or capped.
+Before two sets are compared, Hamming distances of their parity sketches (every element flips one
+bit) bound their difference from below: first of narrow ones, then of wide ones. Widths are those of
+the size band, 8 bits for each element in which two of its sets may differ (4 and at most 4,096 in
+all for the narrow sketch, which travels with keys), so nearly every pair that is not similar goes.
+
+Equal sets (exact copies) are one set from the start; a set is known by 63 bits of a hash, so the
+chance that two of 10^9 sets are taken for one is below 0.06. Nothing is sampled or capped.
 """
 
 from __future__ import annotations
@@ -31,21 +36,26 @@ import numpy as np
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from strel.llm.encode import blocks
+from strel.llm.encode import blocks, each
 from strel.llm.shingles import mix, shingle_hashes
-from strel.runtime import discard, materialize, ship
+from strel.runtime import discard, materialize, ranked, ship
 
 _U = np.uint64
 #: Ratio of the bounds of a size band.
 BAND_RATIO = 4
-#: Words of 64 bits of the Hamming sketch.
-SKETCH_WORDS = 8
-#: Keys that one task joins.
-KEYS_PER_TASK = 1_500_000
+#: Bits of a band's sketch for each element in which two of its sets may differ; and of the narrow
+#: one, that travels with keys, and its width at most.
+BITS_AN_ELEMENT, NARROW_BITS, NARROWEST = 8, 4, 4_096
+#: Keys that one task joins, bytes of text that give one key, and how many times its share a bucket
+#: may hold before it is joined by rows.
+KEYS_PER_TASK, BYTES_A_KEY, HOT_FACTOR = 1_000_000, 12, 4
+#: Sets of a key beyond which its pairs are joined by rows; pairs that a task holds before it folds
+#: them; and words of sketches that it compares at once.
+HOT_KEY, PAIRS_HELD, PAIRS_AT_ONCE = 3_000, 500_000, 1_000_000
 #: Distinct sets whose keys a task remembers having emitted.
-SEEN_SETS = 200_000
-#: Rounds of comparing each class with one other, before all that is left is compared.
-STAR_ROUNDS = 3
+SEEN_SETS = 100_000
+#: Rounds of comparing each class with one other go on while they link one set in so many.
+FEW_LINKS = 200
 #: Ids that may be sent to every executor (8 bytes each); more are joined by a shuffle.
 BROADCAST_IDS = 2_000_000
 
@@ -76,6 +86,14 @@ class Bands:
                 out.append((band, most + most // 2 + 64, min(most, self.differ(n + larger))))
         return out
 
+    def bits(self, band: int, each: int = BITS_AN_ELEMENT) -> int:
+        """Width of the Hamming sketch of a band: wide enough that its bound is close."""
+        top = BAND_RATIO ** (band + 1) - 1
+        return 1 << max(6, (each * self.differ(top + top * self.den // self.num) - 1).bit_length())
+
+    def narrow(self, band: int) -> int:
+        return min(NARROWEST, self.bits(band, NARROW_BITS))
+
     def keys(self, s: np.ndarray, band: int, parts: int, differ: int) -> tuple[np.ndarray, int]:
         """The emitted keys of a set and the number of them that any partner shares."""
         part = ((s >> _U(32)) * _U(parts)) >> _U(32)
@@ -104,61 +122,60 @@ def _sets(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
     return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
 
 
-def _describe(width: int, bands: Bands):
-    def run(batches: Iterator) -> Iterator:
-        import pyarrow as pa
-
-        for b in batches:
-            for ids, texts in blocks(b.column("doc_id").to_pylist(), b.column("text").to_pylist()):
-                rows = []
-                for i, s in zip(ids, shingle_hashes(texts, width), strict=True):
-                    n = len(s)
-                    if not n:
-                        rows.append((i, 0, None, None, None, None, None))
-                        continue
-                    a = int(np.bitwise_xor.reduce(mix(s + _U(7)))) & ~1
-                    with np.errstate(over="ignore"):
-                        c = int(mix(s + _U(11)).sum(dtype=_U))
-                    need = []
-                    for _, parts, differ in bands.of(n):
-                        part = ((s >> _U(32)) * _U(parts)) >> _U(32)
-                        need.append(need_of(1 + int(np.count_nonzero(part[1:] != part[:-1])), differ))
-                    bits = np.bincount((s & _U(64 * SKETCH_WORDS - 1)).astype(np.int64), minlength=64 * SKETCH_WORDS) & 1
-                    rows.append((i, n, _signed(a), _signed(c), need[0], need[1] if len(need) > 1 else None, np.packbits(bits.astype(np.uint8)).tobytes()))
-                cols = list(zip(*rows, strict=True))
-                kinds = [pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.int32(), pa.int32(), pa.binary()]
-                yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(cols, kinds, strict=True)], ["doc_id", "n", "set_a", "set_b", "need_own", "need_low", "sketch"])
-
-    return run
+def _identity(s: np.ndarray) -> tuple[int, int]:
+    """Two hashes of a set; the last bit of the first is free."""
+    with np.errstate(over="ignore"):
+        return int(np.bitwise_xor.reduce(mix(s + _U(7)))) & ~1, int(mix(s + _U(11)).sum(dtype=_U))
 
 
 def _signed(x: int) -> int:
     return x - (1 << 64) if x >= 1 << 63 else x
 
 
-def _emit(width: int, bands: Bands, buckets: int):
-    """Per block of texts and bucket of keys, the packed (32 bits of the key, set) pairs."""
+#: Rows of documents, and rows of keys, of one pass over the texts.
+_READ = "doc_id long, n long, set_a long, set_b long, need_own int, need_low int, bucket long, keys binary, sets binary"
+
+
+def _read(width: int, bands: Bands, buckets: int):
+    """One pass over the texts: a row for each document, and for each block of texts and bucket of
+    keys the packed (32 bits of the key, set) pairs. A set that the task has met lately emits none."""
 
     def run(batches: Iterator) -> Iterator:
         import pyarrow as pa
 
+        kinds = [pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.int32(), pa.int32(), pa.int64(), pa.binary(), pa.binary()]
+        names = [c.split()[0] for c in _READ.split(", ")]
+
+        def table(cols: list, first: int) -> pa.RecordBatch:
+            n = len(cols[0])
+            at = range(first, first + len(cols))
+            return pa.RecordBatch.from_arrays([pa.array(cols[k - first], t) if k in at else pa.nulls(n, t) for k, t in enumerate(kinds)], names)
+
         seen: set[int] = set()
         for b in batches:
-            for _, texts in blocks(b.column("doc_id").to_pylist(), b.column("text").to_pylist(), 4_000_000):
-                keys, sets = [], []
-                for s in shingle_hashes(texts, width):
+            for ids, texts in blocks(each(b.column("doc_id")), each(b.column("text"))):
+                rows, keys, sets = [], [], []
+                for i, s in zip(ids, shingle_hashes(texts, width), strict=True):
                     if not len(s):
+                        rows.append((i, 0, None, None, None, None))
                         continue
-                    a = int(np.bitwise_xor.reduce(mix(s + _U(7)))) & ~1
-                    if a in seen:
-                        continue
-                    if len(seen) >= SEEN_SETS:
-                        seen.clear()
-                    seen.add(a)
+                    a, c = _identity(s)
+                    emit = a not in seen
+                    if emit:
+                        if len(seen) >= SEEN_SETS:
+                            seen.clear()
+                        seen.add(a)
+                    need = []
                     for low, (band, parts, differ) in enumerate(bands.of(len(s))):
-                        k, _ = bands.keys(s, band, parts, differ)
-                        keys.append(k)
-                        sets.append(np.full(len(k), a | low, _U))
+                        if emit:
+                            k, least = bands.keys(s, band, parts, differ)
+                            keys.append(k)
+                            sets.append(np.full(len(k), a | low, _U))
+                        else:
+                            least = need_of(_filled(s, parts), differ)
+                        need.append(least)
+                    rows.append((i, len(s), _signed(a), _signed(c), need[0], need[1] if len(need) > 1 else None))
+                yield table(list(zip(*rows, strict=True)), 0)
                 if not keys:
                     continue
                 key, own = np.concatenate(keys), np.concatenate(sets)
@@ -166,19 +183,17 @@ def _emit(width: int, bands: Bands, buckets: int):
                 order = np.argsort(bucket, kind="stable")
                 bucket, key, own = bucket[order].astype(np.int64), (key[order] & _U(0xFFFFFFFF)).astype("<u4"), own[order].astype("<u8")
                 first = np.flatnonzero(np.concatenate([[True], bucket[1:] != bucket[:-1]]))
-                stop = [*first[1:].tolist(), len(bucket)]
-                yield pa.RecordBatch.from_arrays(
-                    [
-                        pa.array(bucket[first], pa.int64()),
-                        pa.array([key[i:j].tobytes() for i, j in zip(first.tolist(), stop, strict=True)], pa.binary()),
-                        pa.array([own[i:j].tobytes() for i, j in zip(first.tolist(), stop, strict=True)], pa.binary()),
-                    ],
-                    ["bucket", "keys", "sets"],
-                )
+                ends = list(zip(first.tolist(), [*first[1:].tolist(), len(bucket)], strict=True))
+                yield table([bucket[first], [key[i:j].tobytes() for i, j in ends], [own[i:j].tobytes() for i, j in ends]], 6)
 
     return run
 
 
+def _filled(s: np.ndarray, parts: int) -> int:
+    part = ((s >> _U(32)) * _U(parts)) >> _U(32)
+    return 1 + int(np.count_nonzero(part[1:] != part[:-1]))
+
+
 def _meet(tbl):
     """Keys of a bucket that at least two sets have, each with its sets."""
     import pyarrow as pa
@@ -202,13 +217,42 @@ def _meet(tbl):
     return pa.table({"key": pa.array(key.astype(np.int64) + (bucket << 32), pa.int64()), "reg": pa.array(own.view(np.int64), pa.int64())})
 
 
-def _stored_sets(width: int):
+def _unpack(batches: Iterator) -> Iterator:
+    """Packed keys as rows."""
+    import pyarrow as pa
+
+    for b in batches:
+        for at in range(b.num_rows):
+            key, own = (np.frombuffer(b.column(c)[at].as_py(), t) for c, t in (("keys", "<u4"), ("sets", "<u8")))
+            yield pa.RecordBatch.from_arrays([pa.array(key.astype(np.int64) + (b.column("bucket")[at].as_py() << 32), pa.int64()), pa.array(own.view(np.int64), pa.int64())], ["key", "reg"])
+
+
+def parity_bits(s: np.ndarray, bits: int) -> np.ndarray:
+    """A sketch of ``bits`` (a power of two) parities as words: each element flips one of them."""
+    odd = np.bincount((mix(s) & _U(bits - 1)).astype(np.int64), minlength=bits) & 1
+    return np.packbits(odd.astype(np.uint8)).view("<i8")
+
+
+_SETS = "id long, n long, elements binary, narrow array<long>, wide array<long>, narrow_low array<long>, wide_low array<long>"
+
+
+def _stored_sets(width: int, bands: Bands):
+    """Sets with their sketches: a narrow one, and those of the size bands that they take part in."""
+
     def run(batches: Iterator) -> Iterator:
         import pyarrow as pa
 
         for b in batches:
-            for ids, texts in blocks(b.column("doc_id").to_pylist(), b.column("text").to_pylist()):
-                yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array([s.astype("<u8").tobytes() for s in shingle_hashes(texts, width)], pa.binary())], ["id", "elements"])
+            for _, texts in blocks(each(b.column("doc_id")), each(b.column("text"))):
+                rows = []
+                for s in shingle_hashes(texts, width):
+                    if len(s):
+                        of = [(parity_bits(s, bands.narrow(band)), parity_bits(s, bands.bits(band))) for band, _, _ in bands.of(len(s))]
+                        rows.append((_signed(_identity(s)[0]), len(s), s.astype("<u8").tobytes(), *of[0], *(of[1] if len(of) > 1 else (None, None))))
+                cols = list(zip(*rows, strict=True)) or [[]] * 7
+                longs = pa.list_(pa.int64())
+                kinds = [pa.int64(), pa.int64(), pa.binary(), longs, longs, longs, longs]
+                yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(cols, kinds, strict=True)], _SETS.replace(" array<long>", "").replace(" long", "").replace(" binary", "").split(", "))
 
     return run
 
@@ -265,10 +309,76 @@ def components(edges: DataFrame, tag: str = "classes") -> DataFrame:
     return low.select(F.col("u").alias("id"), "component").unionByName(low.select(F.col("component").alias("id"), "component").distinct())
 
 
-def _enough(met: DataFrame) -> DataFrame:
-    """Rows of sets that have at least as many keys as they share with any partner."""
-    have = met.groupBy("reg", "need").agg(F.count(F.lit(1)).alias("have")).where("have >= need").select("reg")
-    return met.join(have, "reg", "left_semi")
+def _candidates(num: int, den: int):
+    """Distinct pairs of sets of different classes that share a key of a bucket and that sizes and
+    narrow sketches allow."""
+
+    def run(tbl):
+        import pyarrow as pa
+
+        tbl = tbl.combine_chunks()
+        key, reg, c, n = (np.asarray(tbl.column(x), np.int64) for x in ("key", "reg", "c", "n"))
+        order = np.lexsort((n, key))
+        key = key[order]
+        sketch = tbl.column("narrow").combine_chunks()
+        begin, words = np.asarray(sketch.offsets), np.asarray(sketch.values).view(_U)
+        first = np.flatnonzero(np.concatenate([[True], key[1:] != key[:-1]]))
+        found: list[np.ndarray] = []
+        held = 0
+
+        def fold() -> np.ndarray:
+            both = np.concatenate(found) if found else np.zeros((0, 2), np.int64)
+            both = both[np.lexsort((both[:, 1], both[:, 0]))]
+            return both[np.concatenate([[True], (both[1:] != both[:-1]).any(1)])] if len(both) else both
+
+        for i, j in zip(first.tolist(), [*first[1:].tolist(), len(key)], strict=True):
+            at = order[i:j]
+            k = c[at]
+            if j - i < 2 or (k == k[0]).all():
+                continue
+            r, m = reg[at], n[at]
+            width = begin[at + 1] - begin[at]
+            for w in np.unique(width).tolist():  # sets of one band, but for collisions of keys
+                own = np.flatnonzero(width == w)
+                bits = words[begin[at[own]][:, None] + np.arange(w)[None, :]]
+                rows = max(1, PAIRS_AT_ONCE // max(1, len(own) * w))
+                for top in range(0, len(own), rows):
+                    x, y = np.nonzero(np.arange(len(own))[None, :] > np.arange(top, min(top + rows, len(own)))[:, None])
+                    x += top
+                    p, q = own[x], own[y]
+                    fit = (k[p] != k[q]) & ((r[p] & r[q] & 1) == 0) & (m[p] * den >= m[q] * num)
+                    x, y, p, q = x[fit], y[fit], p[fit], q[fit]
+                    apart = np.bitwise_count(bits[x] ^ bits[y]).sum(1, dtype=np.int64)
+                    fit = apart * (den + num) <= (m[p] + m[q]) * (den - num)
+                    if fit.any():
+                        u, v = r[p[fit]], r[q[fit]]
+                        found.append(np.column_stack([np.minimum(u, v), np.maximum(u, v)]))
+                        held += len(u)
+            if held > PAIRS_HELD:
+                found[:] = [fold()]
+                held = len(found[0]) // 2
+        both = fold()
+        return pa.table({"ra": pa.array(both[:, 0]), "rb": pa.array(both[:, 1])})
+
+    return run
+
+
+def _shared_keys(read: DataFrame, keys_per_task: int) -> DataFrame:
+    """key and reg of the keys that at least two sets have.
+
+    A bucket is one task's work. One that holds far more than its share (a key of very many sets)
+    is taken apart into rows, and its keys are counted by a pre-aggregated shuffle instead.
+    """
+    packed = read.where("bucket IS NOT NULL").select("bucket", "keys", "sets")
+    hot = packed.groupBy("bucket").agg(F.sum(F.length("keys")).alias("size")).where(F.col("size") > 4 * HOT_FACTOR * keys_per_task).select("bucket")
+    hot = materialize(hot, "hot-buckets")
+    if not hot.limit(1).count():
+        return packed.groupBy("bucket").applyInArrow(_meet, "key long, reg long")
+    hot = F.broadcast(hot)  # at most one in HOT_FACTOR of the buckets
+    usual = packed.join(hot, "bucket", "left_anti").groupBy("bucket").applyInArrow(_meet, "key long, reg long")
+    rows = packed.join(hot, "bucket", "left_semi").mapInArrow(_unpack, "key long, reg long").distinct()
+    often = rows.groupBy("key").agg(F.count(F.lit(1)).alias("c")).where("c > 1").select("key")
+    return usual.unionByName(rows.join(often, "key", "left_semi"))
 
 
 def _jump(pointers: DataFrame) -> DataFrame:
@@ -284,102 +394,128 @@ def _jump(pointers: DataFrame) -> DataFrame:
         before = total
 
 
-def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = 5, num: int = 75, den: int = 100) -> DataFrame:
+def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = 5, num: int = 75, den: int = 100, keys_per_task: int = KEYS_PER_TASK) -> DataFrame:
     """Classes of documents linked by similar sets of word shingles.
 
     Two documents are linked if den * |A and B| >= num * |A or B| over their distinct shingles of
     ``width`` words. Columns: doc_id, n_shingles, component_id (the smallest doc_id that links
     lead to). A text without words, or null, has no shingle and is linked with nothing. Rows with
-    the same doc_id count as one document for each different text. An empty table gives no row.
+    the same doc_id count as one document for each different text; equal texts are linked whatever
+    their ids, and null ids are left out of the smallest. An empty table gives no row. Other columns
+    are not read.
     """
     g = math.gcd(num, den)
     bands = Bands(num // g, den // g)
-    spark, rows = docs.sparkSession, _sets(docs, id_col, text_col)
-    doc = materialize(
-        rows.mapInArrow(_describe(width, bands), "doc_id long, n long, set_a long, set_b long, need_own int, need_low int, sketch binary"),
-        "sets",
-    )
-    one = materialize(
-        doc.where("n > 0")
-        .groupBy("set_a", "set_b", "n", "need_own", "need_low", "sketch")
-        .agg(F.min("doc_id").alias("id")),
-        "distinct-sets",
-    )
-    total = one.agg(F.sum("n")).first()[0] or 0
-    buckets = max(16, math.ceil(total / 2 / KEYS_PER_TASK))
-    met = materialize(
-        rows.mapInArrow(_emit(width, bands, buckets), "bucket long, keys binary, sets binary").groupBy("bucket").applyInArrow(_meet, "key long, reg long"),
-        "keys",
-    )
+    rows = _sets(docs, id_col, text_col)
+    size = rows.agg(F.sum(F.octet_length("text"))).first()[0] or 0
+    buckets = max(16, math.ceil(size / BYTES_A_KEY / keys_per_task))
+    read = materialize(rows.mapInArrow(_read(width, bands, buckets), _READ), "read")
+    doc = materialize(read.where("bucket IS NULL").select("doc_id", "n", "set_a", "set_b"), "sets")
+    # a set is known by its first hash from here on
+    one = materialize(read.where("set_a IS NOT NULL").groupBy("set_a", "set_b", "need_own", "need_low").agg(F.min("doc_id").alias("doc_id")), "distinct-sets")
+    met = materialize(_shared_keys(read, keys_per_task), "keys", read)
     # every set once for each band that it takes part in, with the number of keys a partner shares
-    regs = one.selectExpr("id", "stack(2, set_a, need_own, set_a | 1L, need_low) AS (reg, need)").where("need IS NOT NULL")
-    met = materialize(_enough(met.join(regs, "reg").select("key", "reg", "need", "id")), "keys", met)
-    for _ in range(2):  # each step frees keys of other sets
-        again = met.groupBy("key").agg(F.min("id").alias("lo"), F.max("id").alias("hi")).where("lo < hi").select("key")
-        met = materialize(_enough(met.join(again, "key", "left_semi")), "keys", met)
-    need = materialize(met.select(F.col("id").alias("doc_id")).distinct(), "with-partners")
-    found = by_ids(rows, need, "doc_id").dropDuplicates(["doc_id"]).mapInArrow(_stored_sets(width), "id long, elements binary")
-    packed = materialize(found.join(F.broadcast(need) if need.count() <= BROADCAST_IDS else need, F.col("id") == F.col("doc_id"), "left_semi"), "elements")
-    words = [F.expr(f"conv(hex(substring(sketch, {8 * i + 1}, 8)), 16, -10)").cast("long") for i in range(SKETCH_WORDS)]
-    small = materialize(one.join(need, F.col("id") == F.col("doc_id"), "left_semi").select("id", "n", F.array(*words).alias("sk")), "sketches")
+    regs = one.selectExpr("stack(2, set_a, need_own, set_a | 1L, need_low) AS (reg, need)").where("need IS NOT NULL")
+    live = met.groupBy("reg").agg(F.count(F.lit(1)).alias("have")).join(regs, "reg").where("have >= need")
+    live = materialize(live.groupBy("reg").agg(F.min("need").alias("need")), "live")
+
+    def enough(rows: DataFrame) -> DataFrame:
+        """Rows of sets that still have at least as many keys as they share with any partner."""
+        have = rows.groupBy("reg").agg(F.count(F.lit(1)).alias("have")).join(live, "reg").where("have >= need")
+        return by_ids(rows, materialize(have.select("reg"), "enough"), "reg")
+
+    met = materialize(by_ids(met, live.select("reg"), "reg"), "keys", met)
+    # keys of sets that are gone leave others alone; two sets from the band above meet there
+    again = met.groupBy("key").agg(F.min("reg").alias("lo"), F.max("reg").alias("hi"), F.bit_and(F.col("reg").bitwiseAND(1)).alias("low")).where("lo < hi AND low = 0").select("key")
+    met = materialize(met.join(again, "key", "left_semi"), "keys", met)
+    met = materialize(enough(met), "keys", met)
+    need = materialize(met.select(F.expr("reg & -2L").alias("id")).distinct(), "with-partners")
+    few = need.count() <= BROADCAST_IDS
+    wanted = F.broadcast(need) if few else need
+    first = one.join(wanted.withColumnRenamed("id", "set_a"), "set_a", "left_semi").select(F.col("doc_id").alias("__id")).distinct()
+    found = rows.join(F.broadcast(first) if few else first, F.col("doc_id").eqNullSafe(F.col("__id")), "left_semi")
+    found = found.mapInArrow(_stored_sets(width, bands), _SETS)
+    packed = materialize(found.join(wanted, "id", "left_semi").dropDuplicates(["id"]), "elements")
+    own = packed.select(F.col("id").alias("reg"), "n", "narrow", "wide")
+    small = own.unionByName(packed.where("wide_low IS NOT NULL").select(F.expr("id | 1L").alias("reg"), "n", F.col("narrow_low").alias("narrow"), F.col("wide_low").alias("wide")))
+    small = materialize(small, "sketches")
+    apart = lambda c: f"aggregate(zip_with(p.{c}, q.{c}, (x, y) -> bit_count(x ^ y)), 0, (s, x) -> s + x) * {bands.den + bands.num} <= (p.n + q.n) * {bands.den - bands.num}"
+    # bounds by sizes, then by the narrow sketch, then by that of the band
+    likely = f"least(p.n, q.n) * {bands.den} >= greatest(p.n, q.n) * {bands.num} AND {apart('narrow')} AND {apart('wide')}"
+
+    def bounded(pairs: DataFrame) -> DataFrame:
+        """Pairs ra, rb (with a, b) that the bounds allow."""
+        p, q = small.alias("p"), small.alias("q")
+        return pairs.join(p, pairs["ra"] == F.col("p.reg")).join(q, (pairs["rb"] == F.col("q.reg")) & F.expr(likely)).select("a", "b")
 
     def similar(pairs: DataFrame) -> DataFrame:
-        a = small.select(F.col("id").alias("a"), F.col("n").alias("na"), F.col("sk").alias("sa"))
-        b = small.select(F.col("id").alias("b"), F.col("n").alias("nb"), F.col("sk").alias("sb"))
-        apart = F.aggregate(F.zip_with("sa", "sb", lambda x, y: F.bit_count(x.bitwiseXOR(y))), F.lit(0), lambda s, x: s + x)
-        most = (F.col("na") + F.col("nb")) * (bands.den - bands.num)
-        lengths = F.least("na", "nb") * bands.den >= F.greatest("na", "nb") * bands.num
-        likely = materialize(pairs.join(a, "a").join(b, "b").where(lengths & (apart * (bands.den + bands.num) <= most)).select("a", "b"), "pairs")
-        few = likely.count() <= BROADCAST_IDS
-        x = packed.select(F.col("id").alias("a"), F.col("elements").alias("x")).join(F.broadcast(likely) if few else likely, "a")
-        involved = likely.select(F.col("b").alias("id")).distinct()
-        y = packed.join(F.broadcast(involved) if few else involved, "id", "left_semi").select(F.col("id").alias("b"), F.col("elements").alias("y"))
-        return x.join(y, "b").select("a", "b", "x", "y").mapInArrow(_compare(bands), "a long, b long")
-
-    comp = materialize(need.select(F.col("doc_id").alias("id"), F.col("doc_id").alias("c")), "classes")
+        """Pairs a, b of sets that are similar by their elements."""
+        some = materialize(pairs, "pairs")
+        light = some.count() <= BROADCAST_IDS
+        sized = F.broadcast(some) if light else some
+        x = packed.select(F.col("id").alias("a"), F.col("elements").alias("x")).join(sized, "a")
+        involved = some.select(F.col("b").alias("id")).distinct()
+        y = packed.join(F.broadcast(involved) if light else involved, "id", "left_semi").select(F.col("id").alias("b"), F.col("elements").alias("y"))
+        return materialize(x.join(y, "b").select("a", "b", "x", "y").mapInArrow(_compare(bands), "a long, b long"), "links", some)
+
+    # classes are numbered in the order of documents: an original mostly comes before what is made of it
+    sets = one.join(wanted.withColumnRenamed("id", "set_a"), "set_a", "left_semi").groupBy(F.col("set_a").alias("id")).agg(F.min("doc_id").alias("d"))
+    comp = materialize(ranked(sets, [F.col("d").asc_nulls_last(), F.col("id")], "c", "numbered").select("id", "c"), "classes")
+    classes = comp.count()
+    sent = F.broadcast if classes <= BROADCAST_IDS else lambda d: d
     tested, open_ = None, met
-    for _ in range(STAR_ROUNDS):
-        # each class against the one smaller class with which one of its sets shares most keys
-        known = open_.join(comp, "id")
-        low = known.groupBy("key").agg(F.min(F.struct("c", "id")).alias("low"), F.max("c").alias("hi")).where("low.c < hi").select("key", F.col("low.c").alias("hub_c"), F.col("low.id").alias("hub"))
-        ends = known.join(low, "key").where("c > hub_c").groupBy("id", "c", "hub", "hub_c").agg(F.count(F.lit(1)).alias("shared"))
-        ends = ends.select("c", "hub_c", "shared", F.least("id", "hub").alias("a"), F.greatest("id", "hub").alias("b"))
+    with_class = lambda rows: rows.withColumn("id", F.expr("reg & -2L")).join(sent(comp), "id").drop("id")
+    while classes:
+        # each class against the one smaller class with which one of its sets shares most keys; of
+        # the keys only those that classes still share are kept
+        known = with_class(open_)
+        low = known.groupBy("key").agg(F.min(F.struct("c", "reg")).alias("low"), F.max("c").alias("hi")).where("low.c < hi").select("key", F.col("low.c").alias("hub_c"), F.col("low.reg").alias("hub"))
+        joined = materialize(known.join(low, "key"), "split-keys")
+        joined = materialize(enough(joined), "open-keys", joined)
+        ends = joined.where("c > hub_c AND reg & hub & 1 = 0").groupBy("reg", "c", "hub", "hub_c").agg(F.count(F.lit(1)).alias("shared"))
+        ends = ends.withColumn("a", F.expr("least(reg & -2L, hub & -2L)")).withColumn("b", F.expr("greatest(reg & -2L, hub & -2L)"))
         if tested is not None:
             ends = ends.join(tested, ["a", "b"], "left_anti")
-        best = materialize(ends.groupBy("c").agg(F.max(F.struct("shared", "hub_c", "a", "b")).alias("x")).select("c", "x.hub_c", "x.a", "x.b"), "best")
-        good = materialize(similar(best.select("a", "b")), "links")
+        best = materialize(ends.groupBy("c").agg(F.max(F.struct("shared", "hub_c", "a", "b", "reg", "hub")).alias("x")).select("c", "x.hub_c", "x.a", "x.b", F.col("x.reg").alias("ra"), F.col("x.hub").alias("rb")), "best")
+        good = similar(bounded(best))
         links = good.count()
         tested = materialize(best.select("a", "b") if tested is None else tested.unionByName(best.select("a", "b")), "tested", tested)
         if links:
             ups = _jump(best.join(good, ["a", "b"], "left_semi").select("c", F.col("hub_c").alias("up")))
             comp = materialize(comp.join(ups, "c", "left").select("id", F.coalesce("up", "c").alias("c")), "classes", comp, ups)
-        # a set's links to other classes need as many keys as ever, now among keys that classes share
-        known = open_.join(comp, "id")
-        split = known.groupBy("key").agg(F.min("c").alias("lo"), F.max("c").alias("hi")).where("lo < hi").select("key")
-        open_ = materialize(_enough(known.join(split, "key").select("key", "reg", "need", "id")), "open-keys", open_)
+        open_ = materialize(joined.select("key", "reg"), "open-keys", open_, joined)
         discard(good, best)
-        if not links:
+        if links * FEW_LINKS < classes:
             break
     # what still lies in different classes and shares enough keys: every pair of it. Of all keys of
     # a set but need-1 at least one is shared, so the rarest ones do
-    often = open_.groupBy("key").agg(F.count(F.lit(1)).alias("often"))
-    have = open_.groupBy("reg").agg(F.count(F.lit(1)).alias("have"))
+    known = with_class(open_)
+    often = known.groupBy("key").agg(F.count(F.lit(1)).alias("often"), F.min("c").alias("lo"), F.max("c").alias("hi")).where("lo < hi").select("key", "often")
+    known = materialize(known.join(often, "key"), "split-keys", open_)
+    have = materialize(known.groupBy("reg").agg(F.count(F.lit(1)).alias("have")).join(live, "reg").where("have >= need"), "have")
     place = F.row_number().over(Window.partitionBy("reg").orderBy("often", "key"))
-    rare = open_.join(often, "key").join(have, "reg").withColumn("place", place).where("place <= have - need + 1")
-    flat = small.select("id", "n", *[F.col("sk")[i].alias(f"s{i}") for i in range(SKETCH_WORDS)])
-    known = materialize(rare.select("key", "id").join(comp, "id").join(flat, "id"), "rare-keys", open_)
-    # the bounds by sizes and sketches are part of the join: pairs that they rule out never exist
-    apart = " + ".join(f"bit_count(p.s{i} ^ q.s{i})" for i in range(SKETCH_WORDS))
-    likely = F.expr(
-        f"p.key = q.key AND p.c < q.c AND least(p.n, q.n) * {bands.den} >= greatest(p.n, q.n) * {bands.num}"
-        f" AND ({apart}) * {bands.den + bands.num} <= (p.n + q.n) * {bands.den - bands.num}"
-    )
-    pairs = known.alias("p").join(known.alias("q"), likely)
-    pairs = pairs.select(F.least("p.id", "q.id").alias("a"), F.greatest("p.id", "q.id").alias("b")).distinct().join(tested, ["a", "b"], "left_anti")
-    good = similar(pairs)
+    rare = known.join(F.broadcast(have) if have.count() <= BROADCAST_IDS else have, "reg").withColumn("place", place).where("place <= have - need + 1")
+    rare = materialize(rare.join(small.select("reg", "n", "narrow"), "reg").select("key", "reg", "c", "n", "often", "narrow"), "rare-keys", known)
+    total = rare.count()
+    # a bucket of keys gives each of its pairs once. Keys of very many sets are joined by rows: of a
+    # key's sets those outside its largest class meet all others, so a large class does not meet
+    # itself, and the bounds are part of the join
+    usual = rare.where(F.col("often") <= HOT_KEY).drop("often").withColumn("bucket", F.expr(f"pmod(xxhash64(key), {max(8, math.ceil(4 * total / keys_per_task))})"))
+    pairs = usual.groupBy("bucket").applyInArrow(_candidates(bands.num, bands.den), "ra long, rb long")
+    hot = rare.where(F.col("often") > HOT_KEY)
+    if hot.limit(1).count():
+        largest = hot.groupBy("key", "c").agg(F.count(F.lit(1)).alias("m")).groupBy("key").agg(F.max(F.struct("m", "c"))["c"].alias("main"))
+        full = hot.select("key", "reg", "c").join(small, "reg")
+        rest = full.join(largest, "key").where("c <> main")
+        crossed = rest.alias("p").join(full.alias("q"), F.expr(f"p.key = q.key AND p.c <> q.c AND (q.c = p.main OR p.c < q.c) AND p.reg & q.reg & 1 = 0 AND {likely}"))
+        pairs = pairs.unionByName(crossed.select(F.least("p.reg", "q.reg").alias("ra"), F.greatest("p.reg", "q.reg").alias("rb")))
+    pairs = materialize(pairs.distinct(), "met-pairs").withColumn("a", F.expr("least(ra & -2L, rb & -2L)")).withColumn("b", F.expr("greatest(ra & -2L, rb & -2L)"))
+    good = similar(bounded(pairs if tested is None else pairs.join(tested, ["a", "b"], "left_anti")).distinct())
     side = lambda x, y: comp.select(F.col("id").alias(x), F.col("c").alias(y))
     merged = components(good.join(side("a", "ca"), "a").join(side("b", "cb"), "b").select(F.col("ca").alias("a"), F.col("cb").alias("b")))
-    comp = materialize(comp.join(merged.withColumnRenamed("id", "c"), "c", "left").select("id", F.coalesce("component", "c").alias("component")), "classes")
-    discard(known, need, packed, small, tested)
-    own = one.select("set_a", "set_b", "id").join(comp, "id", "left").select("set_a", "set_b", F.coalesce("component", "id").alias("component_id"))
-    return doc.join(own, ["set_a", "set_b"], "left").select("doc_id", F.col("n").alias("n_shingles"), F.coalesce("component_id", "doc_id").alias("component_id"))
+    comp = materialize(comp.join(merged.withColumnRenamed("id", "c"), "c", "left").select(F.col("id").alias("set_a"), F.coalesce("component", "c").alias("component")), "classes")
+    least = one.join(comp, "set_a").groupBy("component").agg(F.min("doc_id").alias("component_id"))
+    named = comp.join(least, "component").select("set_a", "component_id")
+    named = materialize(one.join(named, "set_a", "left").select("set_a", "set_b", F.coalesce("component_id", "doc_id").alias("component_id")), "classes")
+    discard(need, packed, small, good, rare, *([tested] if tested is not None else []))
+    return doc.join(named, ["set_a", "set_b"], "left").select("doc_id", F.col("n").alias("n_shingles"), F.coalesce("component_id", "doc_id").alias("component_id"))

@@ -20,6 +20,7 @@ from collections.abc import Iterator
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from strel.llm.encode import each
 from strel.runtime import ship
 
 KINDS = ("email", "ip", "card", "phone")
@@ -287,7 +288,7 @@ def _task(batches: Iterator) -> Iterator:
 
     for b in batches:
         cols: list[list] = [[] for _ in range(8)]
-        for i, t in zip(b.column("doc_id").to_pylist(), b.column("text").to_pylist(), strict=True):
+        for i, t in zip(each(b.column("doc_id")), each(b.column("text")), strict=True):
             t = t or ""
             base = find_base(t)
             more = find_disguised(t, base)

@@ -23,7 +23,7 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from strel.llm.encode import blocks
+from strel.llm.encode import blocks, each
 from strel.runtime import ship
 
 FIT_GOOD, FIT_ALL = 8_000, 12_000
@@ -133,7 +133,7 @@ def _feature_task(batches: Iterator) -> Iterator:
     import pyarrow as pa
 
     for b in batches:
-        for ks, ts in blocks(b.column("kind").to_pylist(), b.column("text").to_pylist()):
+        for ks, ts in blocks(each(b.column("kind")), each(b.column("text"))):
             x = [features(t) for t in ts]
             yield pa.RecordBatch.from_arrays([pa.array(ks, pa.int32()), pa.array(x, pa.list_(pa.float64()))], ["kind", "x"])
 
@@ -162,7 +162,7 @@ def _score_task(model: Scorer | None):
         import pyarrow as pa
 
         for b in batches:
-            for ks, ts in blocks(b.column("doc_id").to_pylist(), b.column("text").to_pylist()):
+            for ks, ts in blocks(each(b.column("doc_id")), each(b.column("text"))):
                 s = model.score(np.array([features(t) for t in ts])) if model is not None else np.full(len(ts), 0.5)
                 yield pa.RecordBatch.from_arrays([pa.array(ks, pa.int64()), pa.array(s)], ["doc_id", "score"])
 
