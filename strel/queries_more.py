@@ -150,20 +150,20 @@ def _over(key: str, text: str, oracle: str | None = None) -> None:
 _over("cube_extrema", "SELECT function_id, side, count(*) AS n, round(max(persistence), 6) AS top FROM {pairs} GROUP BY CUBE (function_id, side)")
 _over("rollup_features", "SELECT function_id, feature_type, pos, count(*) AS n FROM {pts} GROUP BY ROLLUP (function_id, feature_type, pos)")
 _over("union_of_features_and_extrema", "SELECT function_id, CAST(t AS BIGINT) AS t FROM {pts} UNION SELECT function_id, CAST(creator_t AS BIGINT) FROM {pairs}")
-_over("semi_join_functions_with_extremes", "SELECT function_id, CAST(t AS BIGINT) AS t, round(value, 6) AS value FROM {fn} f WHERE EXISTS (SELECT 1 FROM {pts} p WHERE p.function_id = f.function_id AND p.t = f.t AND p.feature_type = 'salient')")
-_over("anti_join_steps_without_features", "SELECT function_id, CAST(t AS BIGINT) AS t, round(value, 6) AS value FROM {fn} f WHERE NOT EXISTS (SELECT 1 FROM {pts} p WHERE p.function_id = f.function_id AND p.t = f.t)")
+_over("semi_join_functions_with_extremes", "SELECT function_id, CAST(t AS BIGINT) AS t, value FROM {fn} f WHERE EXISTS (SELECT 1 FROM {pts} p WHERE p.function_id = f.function_id AND p.t = f.t AND p.feature_type = 'salient')")
+_over("anti_join_steps_without_features", "SELECT function_id, CAST(t AS BIGINT) AS t, value FROM {fn} f WHERE NOT EXISTS (SELECT 1 FROM {pts} p WHERE p.function_id = f.function_id AND p.t = f.t)")
 _over("range_join_features_near_peaks", "SELECT p.function_id, p.side, CAST(p.creator_t AS BIGINT) AS creator_t, count(*) AS n FROM {pairs} p JOIN {pts} f ON f.function_id = p.function_id AND f.t BETWEEN p.creator_t - 2 AND p.creator_t + 2 GROUP BY p.function_id, p.side, p.creator_t")
 _RUNS = "(SELECT function_id, min(t) AS lo, max(t) AS hi FROM (SELECT function_id, t, sum(CASE WHEN t - b = 1 THEN 0 ELSE 1 END) OVER (PARTITION BY function_id ORDER BY t) AS run FROM (SELECT function_id, t, lag(t) OVER (PARTITION BY function_id ORDER BY t) AS b FROM {pts} WHERE feature_type = 'salient' AND pos)) GROUP BY function_id, run)"
 _over("interval_join_feature_runs", f"SELECT a.function_id AS f, b.function_id AS g, count(*) AS n, CAST(sum(least(a.hi, b.hi) - greatest(a.lo, b.lo) + 1) AS BIGINT) AS steps FROM {_RUNS} a JOIN {_RUNS} b ON a.function_id < b.function_id AND a.lo <= b.hi AND b.lo <= a.hi GROUP BY a.function_id, b.function_id")
 _over("window_ranking_persistence", "SELECT function_id, side, CAST(creator_t AS BIGINT) AS creator_t, row_number() OVER w AS rn, rank() OVER w AS rk, dense_rank() OVER w AS dr, ntile(4) OVER w AS q, round(percent_rank() OVER w, 6) AS pr, round(cume_dist() OVER w, 6) AS cd FROM {pairs} WINDOW w AS (PARTITION BY function_id, side ORDER BY round(persistence, 6) DESC, creator_t)")
-_over("window_lag_lead_extrema", "SELECT function_id, side, CAST(creator_t AS BIGINT) AS creator_t, round(lag(birth) OVER w, 6) AS before, round(lead(birth) OVER w, 6) AS after, round(first_value(birth) OVER w, 6) AS head FROM {pairs} WINDOW w AS (PARTITION BY function_id, side ORDER BY creator_t)")
+_over("window_lag_lead_extrema", "SELECT function_id, side, CAST(creator_t AS BIGINT) AS creator_t, lag(birth) OVER w AS before, lead(birth) OVER w AS after, first_value(birth) OVER w AS head FROM {pairs} WINDOW w AS (PARTITION BY function_id, side ORDER BY creator_t)")
 _over("window_moving_average", "SELECT function_id, CAST(t AS BIGINT) AS t, round(avg(value) OVER w, 6) AS smooth, count(*) OVER w AS n FROM {fn} WINDOW w AS (PARTITION BY function_id ORDER BY t ROWS BETWEEN 6 PRECEDING AND CURRENT ROW)")
 _over("window_running_total", "SELECT function_id, CAST(t AS BIGINT) AS t, CAST(sum(value) OVER (PARTITION BY function_id ORDER BY t ROWS BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW) AS BIGINT) AS total FROM {fn} WHERE function_id LIKE '%.density'")
 _over("iqr_boxplot_minima", "SELECT function_id, round(percentile(birth, 0.25), 6) AS q1, round(percentile(birth, 0.5), 6) AS q2, round(percentile(birth, 0.75), 6) AS q3 FROM {pairs} WHERE side = 'split' GROUP BY function_id", "SELECT function_id, round(quantile_cont(birth, 0.25), 6) AS q1, round(quantile_cont(birth, 0.5), 6) AS q2, round(quantile_cont(birth, 0.75), 6) AS q3 FROM {pairs} WHERE side = 'split' GROUP BY function_id")
 _over("distinct_steps_of_features", "SELECT feature_type, count(DISTINCT function_id) AS functions, count(DISTINCT t) AS steps FROM {pts} GROUP BY feature_type")
 _over("pivot_signs", "SELECT * FROM (SELECT function_id, feature_type FROM {pts}) PIVOT (count(*) FOR feature_type IN ('salient' AS salient, 'extreme' AS extreme))", "SELECT function_id, nullif(count(*) FILTER (feature_type = 'salient'), 0) AS salient, nullif(count(*) FILTER (feature_type = 'extreme'), 0) AS extreme FROM {pts} GROUP BY function_id")
-_over("unpivot_birth_death", "SELECT function_id, side, CAST(creator_t AS BIGINT) AS creator_t, what, round(v, 6) AS v FROM {pairs} LATERAL VIEW stack(2, 'birth', birth, 'death', death) AS what, v", "SELECT function_id, side, CAST(creator_t AS BIGINT) AS creator_t, 'birth' AS what, round(birth, 6) AS v FROM {pairs} UNION ALL SELECT function_id, side, CAST(creator_t AS BIGINT), 'death', round(death, 6) FROM {pairs}")
-_over("self_join_year_before", "SELECT a.function_id, CAST(a.t AS BIGINT) AS t, round(a.value - b.value, 6) AS change FROM {fn} a JOIN {fn} b ON b.function_id = a.function_id AND b.t = a.t - 52")
+_over("unpivot_birth_death", "SELECT function_id, side, CAST(creator_t AS BIGINT) AS creator_t, what, v FROM {pairs} LATERAL VIEW stack(2, 'birth', birth, 'death', death) AS what, v", "SELECT function_id, side, CAST(creator_t AS BIGINT) AS creator_t, 'birth' AS what, birth AS v FROM {pairs} UNION ALL SELECT function_id, side, CAST(creator_t AS BIGINT), 'death', death FROM {pairs}")
+_over("self_join_year_before", "SELECT a.function_id, CAST(a.t AS BIGINT) AS t, a.value - b.value AS change FROM {fn} a JOIN {fn} b ON b.function_id = a.function_id AND b.t = a.t - 52")
 
 
 def _ordinal(key: str, name: str, axis: str, place: str, unique: tuple[str, ...], attr: str, space_res: str, src: str, sql_place: str, sql_attr: str) -> None:
