@@ -66,7 +66,8 @@ class Sweep:
 
     ``links``: pairs of adjacent regions, by name. Attributes: ``pairs`` (creator, destroyer,
     essential), ``edges`` of the tree (upper, lower), ``leaf`` (of each point the peak whose
-    component it joins), all as positions in the given arrays.
+    component it joins), ``part`` (of each point the highest one of its connected part), all as
+    positions in the given arrays.
     """
 
     def __init__(self, value: np.ndarray, t: np.ndarray, region: np.ndarray, links: tuple[np.ndarray, np.ndarray] | None = None):
@@ -152,8 +153,9 @@ class Sweep:
         root = np.array([find(p) for p in peaks.tolist()], dtype=np.int64)
         of = np.zeros(n, np.int64)
         of[peaks] = root
+        self.part = of[basin]
         last = np.zeros(n, np.int64)
-        np.maximum.at(last, of[basin], rank)
+        np.maximum.at(last, self.part, rank)
         for r in np.unique(root).tolist():
             k = int(order[last[r]])
             self.pairs.append((r, k, True))
@@ -244,6 +246,16 @@ def segmentation(fn: DataFrame, adjacency: Adjacency = None) -> DataFrame:
     return _per_function(fn, adjacency, LEAF, make, (("join", 1),))
 
 
+def level_components(fn: DataFrame, theta: float, adjacency: Adjacency = None, side: str = "join") -> DataFrame:
+    """Points of a level set with the extremum that names their component. Columns as ``segmentation``."""
+
+    def make(pdf: pd.DataFrame, s: Sweep, _side: str) -> pd.DataFrame:
+        t, r = pdf["t"].to_numpy(), pdf["region"].to_numpy()
+        return pd.DataFrame({"region": r, "t": t, "value": pdf["value"].to_numpy(), "leaf_region": r[s.part], "leaf_t": t[s.part]})
+
+    return _per_function(level_set(fn, theta, side), adjacency, LEAF, make, ((side, 1 if side == "join" else -1),))
+
+
 def persistence_1d(fn: DataFrame) -> DataFrame:
     """The same pairs for functions of time alone, in joins and aggregates only.
 

@@ -18,6 +18,11 @@ def uniform(*parts) -> Column:
     return F.conv(F.substring(F.md5(key), 1, 8), 16, 10).cast("long") / F.lit(4294967296)
 
 
+def sampled(df: DataFrame, key: str, rate: float) -> DataFrame:
+    """A share of the rows, chosen by a key: the same ones in every run and engine. For previews."""
+    return df.where(uniform("sample:", F.col(key)) < rate)
+
+
 def as_functions(df: DataFrame, name: str, space_res: str = "world", time_res: str = "week") -> DataFrame:
     """Points (t, value and maybe region) as one function."""
     region = F.col("region").cast("string") if "region" in df.columns else F.lit("0")

@@ -138,6 +138,18 @@ def features_through_index_month_region(spark: SparkSession, sf: str) -> DataFra
     return features_through_index(ix, {"orders.density": (30.0, 45.0)}).select("function_id", "region", *_LONG("t"), "pos", "neg")
 
 
+_LEVEL = """, lv AS (SELECT function_id, k FROM px WHERE side = 'join' AND value >= 42),
+cl AS (WITH RECURSIVE r AS (SELECT function_id, k, k AS w FROM lv UNION SELECT r.function_id, r.k, n.u FROM r JOIN touch n ON n.function_id = r.function_id AND n.side = 'join' AND n.k = r.w JOIN lv ON lv.function_id = r.function_id AND lv.k = n.u) SELECT * FROM r)"""
+
+
+@register(O.query("""SELECT c.function_id, p.region AS leaf_region, CAST(p.t AS BIGINT) AS leaf_t, count(*) AS n_points FROM (SELECT function_id, k, min(w) AS top FROM cl GROUP BY ALL) c
+ JOIN px p ON p.function_id = c.function_id AND p.side = 'join' AND p.k = c.top GROUP BY ALL""", _graph_of_touch(_OMD, S.REGIONS), _LEVEL))
+def level_components_month_region(spark: SparkSession, sf: str) -> DataFrame:
+    """Components of a super-level set over regions and months, by size."""
+    found = topology.level_components(dense(spark, sf, ("orders",), "region", "month", ("density",)), 42.0, _regions(spark, sf))
+    return found.groupBy("function_id", "leaf_region", F.col("leaf_t").cast("long").alias("leaf_t")).agg(F.count(F.lit(1)).alias("n_points"))
+
+
 # --- thresholds, features and relations over regions ------------------------------------------
 
 _RM = O.functions(WEEK_SETS, "region", "month")
@@ -287,6 +299,70 @@ def common_resolution_pairs(spark: SparkSession, sf: str) -> DataFrame:
     return pairs.groupBy("time_res").agg(F.count(F.lit(1)).alias("n"))
 
 
+@register(f"SELECT space_res, time_res, feature_type, count(*) AS tested, round(avg(CAST(p_value <= 0.05 AS INT)), 6) AS share FROM ({_parts_sql(_TEST)}) WHERE p_value IS NOT NULL GROUP BY ALL")
+def calibration_by_resolution(spark: SparkSession, sf: str) -> DataFrame:
+    """Share of accepted pairs of unrelated tables, by resolution and feature type."""
+    r = RelationshipQuery(_every(spark, sf), ("orders",), ("lineitem",), n_maps=40).run(False).where("p_value IS NOT NULL")
+    return r.groupBy("space_res", "time_res", "feature_type").agg(F.count(F.lit(1)).alias("tested"), F.round(F.avg((F.col("p_value") <= 0.05).cast("int")), 6).alias("share"))
+
+
+@register(S.both(*[_at("world", t, "SELECT f.function_id, n_values, n_pairs FROM (SELECT function_id, count(*) AS n_values FROM fn GROUP BY ALL) f JOIN (SELECT function_id, count(*) AS n_pairs FROM pairs GROUP BY ALL) p USING (function_id)", O.functions(WEEK_SETS, "world", t), O.PAIRS) for t in ("day", "week", "month")]))
+def extrema_against_points(spark: SparkSession, sf: str) -> DataFrame:
+    """Size of the index beside that of its function: extrema and points."""
+    ix = _every(spark, sf)
+    n = ix.pairs.where("space_res = 'world'").groupBy("function_id", "space_res", "time_res").agg(F.count(F.lit(1)).alias("n_pairs"))
+    return n.join(ix.meta.select("function_id", "space_res", "time_res", "n_values"), ["function_id", "space_res", "time_res"])
+
+
+@register(O.query("SELECT function_id, season, side, round(theta, 6) AS theta FROM salient", O.functions(("orders",), "world", "day", ("density",)), O.PAIRS, O.thresholds("day", False)))
+def salient_thresholds_whole_range(spark: SparkSession, sf: str) -> DataFrame:
+    """Thresholds of daily functions without seasons."""
+    ix = index(spark, sf, ("orders",), "day", ("density",), False)
+    return ix.salient.select("function_id", "season", "side", r6("theta"))
+
+
+_HALVES = O.functions(("orders",), "region", "month").replace("fn AS (", "fn0 AS (") + """, z AS (SELECT min(t) AS lo FROM fn0),
+fn AS (SELECT h || '.' || split_part(function_id, '.', 2) AS function_id, region, CAST(t - lo - s AS INTEGER) AS t, value FROM fn0, z, (VALUES ('first', 0), ('second', 36)) v(h, s) WHERE t BETWEEN lo + s AND lo + s + 35)"""
+
+
+@register(O.query(_TEST, *S.related(_HALVES, "month", S.REGIONS, S.grown_maps(S.lattice_links(1, 5), 40) + S.MAP_TEST)))
+def relation_two_ranges_month_region(spark: SparkSession, sf: str) -> DataFrame:
+    """A table against itself: three years and the three after them, by region."""
+    fn = dense(spark, sf, ("orders",), "region", "month")
+    lo = fn.agg(F.min("t")).first()[0]
+    near = {"region": _regions(spark, sf)}
+    return _tested(RelationshipQuery(index_functions(W.align_ranges(fn, "first", lo, "second", lo + 36, 36), near), n_maps=40).run(False))
+
+
+_SAMPLE = u("'sample:' || o_orderkey") + " < 0.25"
+
+
+@register(f"SELECT CAST({O.step('o_orderdate', 'month')} AS BIGINT) AS t, count(*) AS n FROM orders WHERE {_SAMPLE} GROUP BY 1")
+def density_of_sample(spark: SparkSession, sf: str) -> DataFrame:
+    """A quarter of the rows, chosen by key, for a preview of a function."""
+    rows = W.sampled(table(spark, sf, "orders"), "o_orderkey", 0.25)
+    spec = catalog.DatasetSpec("sample", rows, "o_orderdate", "day")
+    return scalar.wide(spec, "world", "month").select(F.col("t").cast("long").alias("t"), F.col("density").cast("long").alias("n"))
+
+
+@register("SELECT kind, count(*) AS n, count(DISTINCT o_custkey) AS customers, CAST(sum(CAST(round(o_totalprice * 100) AS BIGINT)) AS BIGINT) AS cents, max(CAST(o_orderdate AS DATE)) AS last FROM orders, (SELECT unnest(['csv', 'json', 'orc', 'parquet']) AS kind) GROUP BY kind")
+def tables_in_every_format(spark: SparkSession, sf: str) -> DataFrame:
+    """One table written and read again in every format of the library."""
+    from strel.runtime import shared_dir
+    from strel.sources import files
+
+    rows = table(spark, sf, "orders").select("o_orderkey", "o_custkey", "o_totalprice", "o_orderdate", "o_orderstatus")
+    out = None
+    for kind in files.FORMATS:
+        path = f"{shared_dir(spark)}/strel/orders-{kind}"
+        files.write(rows, path, kind, ("o_orderstatus",))
+        d = files.read(spark, path, kind, rows.schema if kind in ("csv", "json") else None)
+        one = d.agg(F.count(F.lit(1)).alias("n"), F.count_distinct("o_custkey").alias("customers"), F.sum(F.round(F.col("o_totalprice") * 100).cast("long")).alias("cents"), F.max(F.to_date("o_orderdate")).alias("last"))
+        one = one.select(F.lit(kind).alias("kind"), "*")
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
 # --- permutations that are given --------------------------------------------------------------
 
 

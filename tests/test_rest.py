@@ -156,3 +156,18 @@ def test_entry(spark):
 
     assert set(e.oracle_sql()) <= set(e.queries())
     assert e.entry(spark).count() > 0
+
+
+def test_files_of_every_format(spark, tmp_path):
+    from strel.sources import files
+
+    rows = spark.createDataFrame([(1, "a", 2.5), (2, None, None), (3, "b", -1.0)], "i long, s string, x double")
+    for kind in files.FORMATS:
+        files.write(rows, str(tmp_path / kind), kind)
+        assert sorted(map(tuple, files.read(spark, str(tmp_path / kind), kind, rows.schema).collect()), key=str) == sorted(map(tuple, rows.collect()), key=str)
+    files.write(rows, str(tmp_path / "parts"), by=("i",))
+    assert files.read(spark, str(tmp_path / "parts")).where("i = 3").first()["s"] == "b"
+    with pytest.raises(ValueError, match="schema"):
+        files.read(spark, str(tmp_path / "csv"), "csv")
+    with pytest.raises(ValueError, match="none of"):
+        files.read(spark, str(tmp_path / "csv"), "xls")

@@ -239,3 +239,22 @@ def test_index_is_stored_and_read_again(spark, tmp_path):
     assert cache.get(q) is None and cache.answer(q).count() == cache.answer(q).count() and cache.get(q) is not None
     with pytest.raises(ValueError, match="no adjacency"):
         RelationshipQuery(index_functions(fn, None)).run(False)
+
+
+def test_components_of_a_level_set(spark):
+    fn = grid(spark, np.random.default_rng(7), 4, 12)
+    inside = {(int(r["region"]), r["t"]) for r in fn.where("value >= 3").collect()}
+    got: dict = {}
+    for r in topology.level_components(fn, 3.0, path(spark)).collect():
+        got.setdefault((r["leaf_region"], r["leaf_t"]), set()).add((int(r["region"]), r["t"]))
+    assert set().union(*got.values()) == inside
+    near = lambda p: {(p[0] - 1, p[1]), (p[0] + 1, p[1]), (p[0], p[1] - 1), (p[0], p[1] + 1)}
+    for name, part in got.items():
+        assert (int(name[0]), name[1]) in part and not set().union(*map(near, part)) & (inside - part)
+        seen, stack = set(), [next(iter(part))]
+        while stack:
+            p = stack.pop()
+            if p not in seen:
+                seen.add(p)
+                stack += near(p) & part
+        assert seen == part
