@@ -1,18 +1,21 @@
 """Licence scans by a positional index of rare words.
 
 Every template is a short licence text with mandatory key phrases. Its words are posted with their
-positions; words too common to tell licences apart are left out. Of every template whose key phrases
-all stand in a file, each posted word is looked up there; a posting votes for the place where the
-template would begin in the file, and places where enough different words agree count. No template
-hides another. Everything is DataFrame expressions; only words of the index leave a file's row.
+positions and weighted by their rarity among templates (IDF); words too common to tell licences
+apart are left out. Of every template whose key phrases all stand in a file, each posted word is
+looked up there; a posting votes with its weight for the place where the template would begin in the
+file, and places where enough different words agree count. No template hides another. Everything is
+DataFrame expressions; only words of the index leave a file's row.
 
 Null and empty texts have no words and no label. Rows are scored one by one, so repeated rows give
-repeated results. An empty table gives no row.
+repeated results. An empty table gives no row. Columns but doc_id and text are not read.
 """
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame, Window
+import math
+
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from strel.llm.words import SEPARATORS_ANY_CASE
@@ -37,6 +40,15 @@ TEMPLATES = [
     ("cc-by-nd", "licensed under cc by nd 4 0", ["cc by nd"]),
     ("cc0", "dedicated to the public domain under cc0 1 0 universal", ["cc0"]),
     ("reserved", "copyright all rights reserved", ["all rights reserved"]),
+    ("apache-2.0", "you may not use this file except in compliance with the license you may obtain a copy of the license at", ["compliance with the license"]),
+    ("mit", "the above copyright notice and this permission notice shall be included in all copies or substantial portions of the software", ["permission notice shall be included"]),
+    ("bsd", "neither the name of the copyright holder nor the names of its contributors may be used to endorse or promote products", ["endorse or promote products"]),
+    ("isc", "permission to use copy modify and or distribute this software for any purpose with or without fee is hereby granted", ["permission to use copy modify"]),
+    ("zlib", "provided as is without any express or implied warranty in no event will the authors be held liable for any damages", ["authors be held liable for any damages"]),
+    ("unlicense", "this is free and unencumbered software released into the public domain", ["unencumbered software"]),
+    ("bsl-1.0", "distributed under the boost software license version 1 0", ["boost software license"]),
+    ("epl-2.0", "made available under the terms of the eclipse public license v 2 0", ["eclipse public license"]),
+    ("gpl", "this program is distributed in the hope that it will be useful but without any warranty without even the implied warranty", ["hope that it will be useful"]),
 ]
 # Words too common to be posted.
 _COMMON = set("the a an and or of to in is it this that with under any you can be are for at as on from by 0 1 2 3 4 v".split())
@@ -48,6 +60,12 @@ def _postings() -> list[tuple[str, int, int]]:
     return [(w, t, i) for t, (_, text, _) in enumerate(TEMPLATES) for i, w in enumerate(text.split()) if w not in _COMMON]
 
 
+def _rarity() -> dict[str, float]:
+    """IDF of the posted words over the templates."""
+    kinds = [{w for w, u, _ in _postings() if u == t} for t in range(len(TEMPLATES))]
+    return {w: round(math.log(1 + len(TEMPLATES) / sum(w in k for k in kinds)), 6) for w in set().union(*kinds)}
+
+
 def _runs(low: Column, phrase: str) -> Column:
     """Positions at which the words of a phrase stand one after the other."""
     first, *rest = phrase.split()
@@ -69,15 +87,15 @@ def scan(docs: DataFrame) -> DataFrame:
     """Licences of every whole text of ``docs`` (doc_id, text).
 
     Columns: doc_id, n_words, n_base, first_word, last_word, base_labels, labels, score, and
-    matches (label, first word of the place, share of the template's words that agreed).
+    matches (label, first word of the place).
     """
     posted = _postings()
     vocab = sorted({w for w, _, _ in posted})
     phrases = sorted({p for _, _, ps in TEMPLATES for p in ps} | set(BASE))
-    starts = sorted({p.split()[0] for p in phrases} | set(vocab))
+    starts = sorted({p.split()[0] for p in phrases})
     text = F.coalesce(F.col("text").cast("string"), F.lit(""))
     rows = docs.select(F.monotonically_increasing_id().alias("row"), F.col("doc_id").cast("long").alias("doc_id"), text.alias("text"))
-    # a row without a first word of a phrase or a word of the index has nothing to find; words end where ``ws`` is split
+    # a row without a first word of a phrase has nothing to find; words end where ``ws`` is split
     apart = SEPARATORS_ANY_CASE.removesuffix("+")
     hint = F.col("text").rlike(f"(?i)(?:^|{apart})(?:" + "|".join(starts) + f")(?:\\z|{apart})")
     ws = F.filter(F.split("text", SEPARATORS_ANY_CASE), lambda w: w != "")
@@ -100,15 +118,17 @@ def scan(docs: DataFrame) -> DataFrame:
         "licence-words",
     )
     spark = docs.sparkSession
-    index = spark.createDataFrame(posted, "w string, t int, p int")
-    per = spark.createDataFrame([(t, lab, sum(1 << phrases.index(p) for p in ps), len({w for w, u, _ in posted if u == t})) for t, (lab, _, ps) in enumerate(TEMPLATES)], "t int, label string, need long, posted int")
+    idf = _rarity()
+    index = spark.createDataFrame([(w, t, i, idf[w]) for w, t, i in posted], "w string, t int, p int, idf double")
+    per = spark.createDataFrame([(t, lab, sum(1 << phrases.index(p) for p in ps), len(ws_ := {w for w, u, _ in posted if u == t}), sum(idf[w] for w in ws_)) for t, (lab, _, ps) in enumerate(TEMPLATES)], "t int, label string, need long, posted int, weight double")
     # only templates whose key phrases all stand in the file can count
     held = F.broadcast(index.join(F.broadcast(per), "t"))
     words = flat.where("phrases <> 0").select("row", "phrases", F.explode("seen").alias("x")).select("row", "phrases", "x.w", "x.i")
     hits = words.join(held, "w").where(F.col("phrases").bitwiseAND(F.col("need")) == F.col("need")).withColumn("at", F.col("i") - F.col("p"))
-    votes = hits.groupBy("row", "t", "at", "label", "posted").agg(F.count_distinct("w").alias("votes"))
+    each = hits.groupBy("row", "t", "at", "label", "posted", "weight", "w").agg(F.max("idf").alias("idf"))
+    votes = each.groupBy("row", "t", "at", "label", "posted", "weight").agg(F.count(F.lit(1)).alias("votes"), F.sum("idf").alias("idf"))
     good = votes.where(F.col("votes") >= F.least(F.lit(MIN_VOTES), F.col("posted")))
-    good = good.withColumn("share", F.col("votes") / F.col("posted"))
+    good = good.withColumn("share", F.least(F.lit(1.0), F.round(F.col("idf") / F.col("weight"), 6)))
     found = good.groupBy("row").agg(F.sort_array(F.collect_set(F.struct("label", F.col("at").cast("long").alias("at"), "share"))).alias("matches"))
     out = flat.select("row", "doc_id", "n_words", "base").join(found, "row", "left")
     own = F.array_sort(F.array_distinct(F.transform("base", lambda b: b["label"])))
