@@ -8,7 +8,8 @@ is dropped from every page of the host if count / total exceeds ``ratio`` and co
 Lines are compared without surrounding blanks; empty lines always stay. Null texts stay null and
 are no page. A null host is a host of its own. Counts are pre-aggregated before they are shuffled,
 and a host has at most (lines a page) / ratio boilerplate lines, whatever its number of pages.
-Columns other than text (and n_chars) pass unchanged. An empty table gives no row.
+Columns other than text pass unchanged, but an input's own n_lines and n_dropped are replaced. Rows
+that repeat lose the same lines. An empty table gives no row.
 """
 
 from __future__ import annotations
@@ -19,9 +20,11 @@ from pyspark.sql import functions as F
 from strel.runtime import materialize
 
 RATIO = 0.05
-MIN_PAGES = 5
+MIN_PAGES = 3
 #: Boilerplate lines (8 bytes each) that may be sent to every executor; more are shuffled.
 BROADCAST_LINES = 2_000_000
+#: Pages of a host that meet its lines in one task, where both are shuffled.
+PAGES_A_TASK = 100_000
 
 
 def _key(line: Column) -> Column:
@@ -39,7 +42,7 @@ def boilerplate(docs: DataFrame, host_col: str = "source", text_col: str = "text
         .groupBy("host", "line").agg(F.count(F.lit(1)).alias("n"))
         .where(F.col("n") >= min_pages)
     )
-    often = counts.join(F.broadcast(totals), counts["host"].eqNullSafe(totals["host"])).where(F.col("n") > ratio * F.col("total"))
+    often = counts.join(totals, counts["host"].eqNullSafe(totals["host"])).where(F.col("n") > ratio * F.col("total"))
     return often.groupBy(counts["host"].alias("host")).agg(F.collect_list("line").alias("lines"))
 
 
@@ -47,7 +50,16 @@ def drop_boilerplate(docs: DataFrame, host_col: str = "source", text_col: str =
     """``docs`` with boilerplate lines removed from the text; adds n_lines and n_dropped."""
     bad = materialize(boilerplate(docs, host_col, text_col, ratio, min_pages).select(F.col("host").alias("__host"), F.col("lines").alias("__lines")), "boilerplate")
     size = bad.agg(F.coalesce(F.sum(F.size("__lines")), F.lit(0))).first()[0]
-    joined = docs.join(F.broadcast(bad) if size <= BROADCAST_LINES else bad, docs[host_col].cast("string").eqNullSafe(bad["__host"]), "left")
+    host = docs[host_col].cast("string")
+    if size <= BROADCAST_LINES:
+        joined = docs.join(F.broadcast(bad), host.eqNullSafe(bad["__host"]), "left")
+    else:  # the pages of a large host are dealt to several tasks, each with a copy of its lines
+        parts = docs.groupBy(host.alias("__of")).agg(F.ceil(F.count(F.lit(1)) / PAGES_A_TASK).cast("int").alias("__parts")).where("__parts > 1")
+        parts = materialize(parts, "large-hosts")  # at most one for PAGES_A_TASK rows
+        n = F.coalesce("__parts", F.lit(1))
+        spread = docs.join(F.broadcast(parts), host.eqNullSafe(parts["__of"]), "left").withColumn("__part", F.pmod(F.xxhash64(text_col), n)).drop("__of", "__parts")
+        copies = bad.join(F.broadcast(parts), bad["__host"].eqNullSafe(parts["__of"]), "left").withColumn("__copy", F.explode(F.sequence(F.lit(0), n - 1))).drop("__of", "__parts")
+        joined = spread.join(copies, spread[host_col].cast("string").eqNullSafe(copies["__host"]) & (spread["__part"] == copies["__copy"]), "left").drop("__part", "__copy")
     ls = F.split(F.col(text_col), "\n")
     kept = F.when(F.col("__lines").isNull(), ls).otherwise(F.filter(ls, lambda x: (_key(x) == "") | ~F.array_contains(F.col("__lines"), F.xxhash64(_key(x)))))
     out = joined.withColumn("__kept", kept).withColumn("n_lines", F.coalesce(F.size(F.when(F.col(text_col).isNotNull(), ls)), F.lit(0)))
@@ -60,7 +72,7 @@ WITH p AS (SELECT doc_id, source, text, string_split(text, chr(10)) AS ls FROM d
 t AS (SELECT source, count(DISTINCT text) AS total FROM p GROUP BY source),
 l AS (SELECT source, text, trim(unnest(ls), ' ' || chr(9) || chr(13)) AS line FROM p),
 c AS (SELECT source, line, count(DISTINCT text) AS n FROM l WHERE line <> '' GROUP BY ALL),
-b AS (SELECT c.source, list(c.line) AS bad FROM c JOIN t ON c.source IS NOT DISTINCT FROM t.source WHERE n >= 5 AND n > 0.05 * total GROUP BY c.source),
+b AS (SELECT c.source, list(c.line) AS bad FROM c JOIN t ON c.source IS NOT DISTINCT FROM t.source WHERE n >= 3 AND n > 0.05 * total GROUP BY c.source),
 k AS (SELECT p.doc_id, p.source, p.text, p.ls, list_filter(p.ls, lambda x: NOT list_contains(coalesce(b.bad, []), trim(x, ' ' || chr(9) || chr(13)))) AS kept
       FROM p LEFT JOIN b ON p.source IS NOT DISTINCT FROM b.source)
 SELECT doc_id, source, CASE WHEN text IS NOT NULL THEN array_to_string(kept, chr(10)) END AS text,
