@@ -28,7 +28,7 @@ def op2_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op3_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
-    docs = table(spark, sf_dir, "documents").select("doc_id", "text")
+    docs = quality.describe(table(spark, sf_dir, "documents").select("doc_id", "text"))
     model = quality.fit(docs, table(spark, sf_dir, "labels").where(_fold(3) != 1))
     scored = quality.score(docs, model)
     return scored.select("doc_id", (_fold(3) == 1).alias("held_out"), "score", (F.col("score") >= 0.5).cast("int").alias("predicted"))
