@@ -9,7 +9,8 @@ for t are dropped; the rest is verified by exact containment of the shingles the
 
 Shingles are of five words; an item of fewer words is one shingle of its length, looked for among
 the runs of that length. Items without words are never found; null texts hold nothing. Rows with
-one doc_id are one document, items with one item_id one item. Empty tables give no row.
+one doc_id (null included) are one document, items with one item_id one item. Empty tables give no
+row. Columns but ids and texts are not read.
 """
 
 from __future__ import annotations
@@ -74,9 +75,10 @@ def contained(docs: DataFrame, items: DataFrame, num: int = 75, den: int = 100,
 
 
 def clean(docs: DataFrame, items: DataFrame) -> DataFrame:
-    """``docs`` without those that hold an item."""
-    bad = materialize(contained(docs, items).select("doc_id").distinct(), "contaminated")
-    return docs.join(_sized(bad, bad.count()), docs["doc_id"].cast("long") == bad["doc_id"], "left_anti")
+    """``docs`` without the rows that hold an item, each judged by its own text, whatever its id."""
+    row = F.xxhash64(F.col("doc_id"), F.col("text"))
+    bad = materialize(contained(docs.select(row.alias("doc_id"), "text"), items).select(F.col("doc_id").alias("__row")).distinct(), "contaminated")
+    return docs.withColumn("__key", row).join(_sized(bad, bad.count()), F.col("__key") == bad["__row"], "left_anti").drop("__key")
 
 
 ORACLE = r"""

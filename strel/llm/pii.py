@@ -8,7 +8,8 @@ the rewritten text is mapped back to source spans. Such a span is added if it ho
 character and each base span of its kind that it overlaps is a part of it and shorter.
 
 Offsets are code points, ends exclusive. Null and empty texts hold nothing. Rows are searched one
-by one, so repeated rows give repeated results. An empty table gives no row.
+by one, so repeated rows give repeated results. An empty table gives no row. Columns but doc_id and
+text are not read.
 """
 
 from __future__ import annotations
