@@ -1,7 +1,9 @@
 """A corpus pipeline of five stages of ``strel.llm``.
 
 Every stage takes (spark, docs, sf_dir) and works on all its predecessor kept; all but the last
-return the columns of ``documents``.
+return the columns of ``documents`` (others are dropped). No stage needs ids: rows with null or
+repeated ids are judged by their own text. Null and empty texts are clean and pass, each as its own
+document; rows that repeat a text are one group of near duplicates. Empty tables give empty results.
 """
 
 from __future__ import annotations
@@ -22,7 +24,7 @@ COLUMNS = ["doc_id", "text", "lang", "source", "n_chars"]
 def reject_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that the toxicity grammar scores 0.5 or more go; the grammar learns from all labels."""
     grammar = toxicity.fit(docs, table(spark, sf_dir, "labels"))
-    return toxicity.score(docs, grammar, tuple(COLUMNS[:1] + COLUMNS[2:]), with_text=True).where("score < 0.5").select(*COLUMNS)
+    return toxicity.score(docs, grammar, tuple(COLUMNS)).where("score < 0.5").select(*COLUMNS)
 
 
 def drop_site_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -67,7 +69,9 @@ def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     base = f"{shared_dir(spark)}/strel/pipeline-{uuid.uuid4().hex}"
     for k, (name, stage) in enumerate(STAGES):
         out = stage(spark, docs, sf_dir)
-        if k == len(STAGES) - 1:
+        if k == len(STAGES) - 1:  # it has read its input: what it returns is stored
+            path = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(base)
+            path.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(path, True)
             return out
         out.write.mode("overwrite").parquet(f"{base}/{k}-{name}")
         docs = spark.read.parquet(f"{base}/{k}-{name}")
