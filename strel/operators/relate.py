@@ -188,52 +188,72 @@ def rotation_test_words(pairs: DataFrame, bits: DataFrame, statistic: str = "sco
     return rows.mapInArrow(_rotate(key, statistic, tail, estimator), "left_fn string, right_fn string, space_res string, time_res string, feature_type string, n_perm long, p_value double")
 
 
-def _dense(words, regions: dict[str, int], lo: int, steps: int) -> tuple[np.ndarray, np.ndarray]:
-    """(pos - neg) and (pos or neg) of a list of words, on regions x steps."""
+def _signs(words, place: np.ndarray, n: int, lo: int, steps: int) -> tuple[np.ndarray, np.ndarray]:
+    """(pos - neg) and (pos or neg) of words (word, pos, neg) put on ``n`` rows of steps."""
     first = lo // WORD
-    n = (lo + steps - 1) // WORD - first + 1
+    width = (lo + steps - 1) // WORD - first + 1
+    word, pos, neg = words
+    ok = (word >= first) & (word < first + width) & (place >= 0)
     out = []
-    for c in ("pos", "neg"):
-        grid = np.zeros((max(1, len(regions)), n), np.int64)
-        at = [(regions[w["region"]], w["word"] - first, w[c]) for w in words if w["region"] in regions and 0 <= w["word"] - first < n]
-        if at:
-            r, k, v = zip(*at, strict=True)
-            grid[list(r), list(k)] = v
-        flat = np.unpackbits(grid.astype("<i8").view(np.uint8), axis=1, bitorder="little")
-        out.append(flat[:, lo - first * WORD : lo - first * WORD + steps].astype(np.float32))
+    for bits in (pos, neg):
+        grid = np.zeros((n, width), "<i8")
+        grid[place[ok], word[ok] - first] = bits[ok]
+        flat = np.unpackbits(grid.view(np.uint8), axis=1, bitorder="little")
+        out.append(flat[:, lo - first * WORD : lo - first * WORD + steps].astype(np.float64))
     p, m = out
     return p - m, np.maximum(p, m)
 
 
+def _correlate(x, y, lo: int, steps: int) -> tuple[np.ndarray, np.ndarray]:
+    """Agreement of signs and overlap under every rotation, for rows of two word lists."""
+    import pyarrow as pa
+
+    rows, sides = len(x), []
+    regions = pa.concat_arrays([v.flatten().field("region") for v in (x, y)]).dictionary_encode()
+    codes, kinds = np.asarray(regions.indices), max(1, len(regions.dictionary))
+    at = 0
+    for v in (x, y):
+        flat = v.flatten()
+        row = np.repeat(np.arange(rows), np.asarray(v.value_lengths()))
+        sides.append((row * kinds + codes[at : at + len(flat)], tuple(np.asarray(flat.field(c), np.int64) for c in ("word", "pos", "neg"))))
+        at += len(flat)
+    both = np.intersect1d(sides[0][0], sides[1][0])  # (row, region) of both functions
+    net, common = np.zeros((rows, steps)), np.zeros((rows, steps))
+    part = max(1, FFT_VALUES // steps)
+    for begin in range(0, len(both), part):
+        some = both[begin : begin + part]
+        dense = []
+        for where, words in sides:
+            place = np.searchsorted(some, where)
+            place = np.where(some[np.minimum(place, len(some) - 1)] == where, np.minimum(place, len(some) - 1), -1)
+            dense.append(_signs(words, place, len(some), lo, steps))
+        for out, (u, v) in zip((net, common), zip(*dense, strict=True), strict=True):
+            np.add.at(out, some // kinds, np.fft.irfft(np.fft.rfft(u) * np.conj(np.fft.rfft(v)), steps))
+    return np.rint(net), np.rint(common)
+
+
 def _rotate(key: list[str], statistic: str, tail: str, estimator: str):
     def run(batches: Iterator) -> Iterator:
         import pyarrow as pa
 
         for b in batches:
-            kept, n_perm, p_values = [], [], []
-            for i in range(b.num_rows):
-                lo, hi, x, y = (b.column(c)[i].as_py() for c in ("lo", "hi", "x", "y"))
-                steps = hi - lo + 1
-                names = sorted({w["region"] for w in x} & {w["region"] for w in y})
-                net, common = np.zeros(steps), np.zeros(steps)
-                part = max(1, FFT_VALUES // steps)
-                for at in range(0, len(names), part):
-                    regions = {r: k for k, r in enumerate(names[at : at + part])}
-                    (s1, u1), (s2, u2) = _dense(x, regions, lo, steps), _dense(y, regions, lo, steps)
-                    cross = lambda a, c: np.fft.irfft((np.fft.rfft(a) * np.conj(np.fft.rfft(c))).sum(0), steps)
-                    net += cross(s1, s2)
-                    common += cross(u1, u2)
-                net, common = np.rint(net), np.rint(common)
-                if not common[0]:
-                    continue
-                s = np.round(net / np.maximum(common, 1) if statistic == "score" else net, 9)
-                obs, null = s[0], s[1:]
-                hits = {"upper": null >= obs, "lower": null <= obs, "two_sided": np.abs(null) >= abs(obs), "directional": null <= obs if obs < 0 else null >= obs}[tail].sum()
-                kept.append(i)
-                n_perm.append(steps - 1)
-                p_values.append(float(hits / (steps - 1) if estimator == "plain" else (hits + 1) / steps))
-            some = pa.array(kept, pa.int64())
-            yield pa.RecordBatch.from_arrays([*(b.column(c).take(some) for c in key), pa.array(n_perm, pa.int64()), pa.array(p_values, pa.float64())], [*key, "n_perm", "p_value"])
+            lo, hi = (np.asarray(b.column(c)) for c in ("lo", "hi"))
+            ranges, of = np.unique(np.column_stack([lo, hi]), axis=0, return_inverse=True)
+            for k, (first, last) in enumerate(ranges.tolist()):
+                steps = last - first + 1
+                rows = np.flatnonzero(of.ravel() == k)
+                for some in np.array_split(rows, -(-len(rows) * steps // FFT_VALUES)):
+                    if not len(some):
+                        continue
+                    sub = b.take(pa.array(some))
+                    net, common = _correlate(sub.column("x"), sub.column("y"), first, steps)
+                    s = np.round(net / np.maximum(common, 1) if statistic == "score" else net, 9)
+                    obs, null = s[:, :1], s[:, 1:]
+                    above, below = (null >= obs).sum(1), (null <= obs).sum(1)
+                    hits = {"upper": above, "lower": below, "two_sided": (np.abs(null) >= np.abs(obs)).sum(1), "directional": np.where(obs[:, 0] < 0, below, above)}[tail]
+                    p = hits / (steps - 1) if estimator == "plain" else (hits + 1) / steps
+                    met = pa.array(np.flatnonzero(common[:, 0] > 0))
+                    yield pa.RecordBatch.from_arrays([*(sub.column(c).take(met) for c in key), pa.array(np.full(len(met), steps - 1)), pa.array(p).take(met)], [*key, "n_perm", "p_value"])
 
     return run
 
