@@ -68,17 +68,18 @@ def snow(spark: SparkSession, sf: str, rate: float = 0.12, stay: float = 0.5) ->
     return scalar.densify(days.unionByName(weeks.select(*days.columns)))
 
 
-def signs(spark: SparkSession, sf: str, local: float = 0.25, common: float = 0.06) -> DataFrame:
-    """Fares and speeds by region and month, and over the world: both rise together in places, but in
-    some months fares rise everywhere while speeds fall. Factors are whole numbers, so sums are exact."""
-    burst = F.when(uniform("burst:", F.col("region"), ":", F.col("t")) < local, 2).otherwise(1)
+def signs(spark: SparkSession, sf: str, common: float = 0.06) -> DataFrame:
+    """Fares and speeds by region and month, and over the world: every month both rise in one of the
+    regions, but in some months fares rise everywhere while speeds fall. Factors are whole numbers, so
+    sums are exact."""
+    burst = F.when(F.col("region") == F.floor(uniform("burst:", F.col("t")) * 5).cast("string"), 4).otherwise(1)
     flood = uniform("flood:", F.col("t")) < common
     o = table(spark, sf, "orders").join(table(spark, sf, "customer"), F.col("o_custkey") == F.col("c_custkey"))
     o = o.groupBy((F.col("c_nationkey") % 5).cast("string").alias("region"), to_step(F.col("o_orderdate"), "month").alias("t")).agg(F.count(F.lit(1)).alias("n"))
     li = table(spark, sf, "lineitem").join(table(spark, sf, "supplier"), F.col("l_suppkey") == F.col("s_suppkey"))
     li = li.groupBy((F.col("s_nationkey") % 5).cast("string").alias("region"), to_step(F.col("l_shipdate"), "month").alias("t")).agg(F.count(F.lit(1)).alias("n"))
-    fares = as_functions(o.where("region IS NOT NULL").select("region", "t", (F.col("n") * burst * F.when(flood, 3).otherwise(1)).alias("value")), "fares.density", "region", "month")
-    speed = as_functions(li.where("region IS NOT NULL").select("region", "t", (F.col("n") * burst * F.when(flood, 1).otherwise(3)).alias("value")), "speed.density", "region", "month")
+    fares = as_functions(o.where("region IS NOT NULL").select("region", "t", (F.col("n") * burst * F.when(flood, 2).otherwise(1)).alias("value")), "fares.density", "region", "month")
+    speed = as_functions(li.where("region IS NOT NULL").select("region", "t", (F.col("n") * burst * F.when(flood, 1).otherwise(2)).alias("value")), "speed.density", "region", "month")
     places = fares.unionByName(speed)
     world = places.groupBy("function_id", F.lit("world").alias("space_res"), "time_res", F.lit("0").alias("region"), "t").agg(F.sum("value").alias("value"))
     return scalar.densify(places.unionByName(world.select(*places.columns)))

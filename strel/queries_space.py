@@ -480,9 +480,9 @@ def planted_snow_day_and_week(spark: SparkSession, sf: str) -> DataFrame:
     return _resolved(RelationshipQuery(index_functions(W.snow(spark, sf))).run(False))
 
 
-_BURST, _FLOOD = u("'burst:' || region || ':' || t") + " < 0.25", u("'flood:' || t") + " < 0.06"
-_signs = f"""SELECT 'fares.density' AS function_id, region, t, CAST(n * CASE WHEN {_BURST} THEN 2 ELSE 1 END * CASE WHEN {_FLOOD} THEN 3 ELSE 1 END AS DOUBLE) AS value FROM (SELECT CAST(c_nationkey % 5 AS VARCHAR) AS region, {O.step("o_orderdate", "month")} AS t, count(*) AS n FROM orders JOIN customer ON o_custkey = c_custkey WHERE c_nationkey IS NOT NULL GROUP BY ALL)
- UNION ALL SELECT 'speed.density', region, t, CAST(n * CASE WHEN {_BURST} THEN 2 ELSE 1 END * CASE WHEN {_FLOOD} THEN 1 ELSE 3 END AS DOUBLE) FROM (SELECT CAST(s_nationkey % 5 AS VARCHAR) AS region, {O.step("l_shipdate", "month")} AS t, count(*) AS n FROM lineitem JOIN supplier ON l_suppkey = s_suppkey WHERE s_nationkey IS NOT NULL GROUP BY ALL)"""
+_BURST, _FLOOD = "region = CAST(CAST(floor(" + u("'burst:' || t") + " * 5) AS INTEGER) AS VARCHAR)", u("'flood:' || t") + " < 0.06"
+_signs = f"""SELECT 'fares.density' AS function_id, region, t, CAST(n * CASE WHEN {_BURST} THEN 4 ELSE 1 END * CASE WHEN {_FLOOD} THEN 2 ELSE 1 END AS DOUBLE) AS value FROM (SELECT CAST(c_nationkey % 5 AS VARCHAR) AS region, {O.step("o_orderdate", "month")} AS t, count(*) AS n FROM orders JOIN customer ON o_custkey = c_custkey WHERE c_nationkey IS NOT NULL GROUP BY ALL)
+ UNION ALL SELECT 'speed.density', region, t, CAST(n * CASE WHEN {_BURST} THEN 4 ELSE 1 END * CASE WHEN {_FLOOD} THEN 1 ELSE 2 END AS DOUBLE) FROM (SELECT CAST(s_nationkey % 5 AS VARCHAR) AS region, {O.step("l_shipdate", "month")} AS t, count(*) AS n FROM lineitem JOIN supplier ON l_suppkey = s_suppkey WHERE s_nationkey IS NOT NULL GROUP BY ALL)"""
 
 
 @register(S.both(
