@@ -8,15 +8,21 @@ about new ones, many at a time. Everything else is NumPy gathers over a batch of
 
 from __future__ import annotations
 
+import contextlib
+import ctypes
+import gc
 from collections.abc import Iterable, Iterator
 from itertools import repeat
 
 import numpy as np
 
-#: Distinct chunks a worker remembers before it starts afresh.
-CACHE_CHUNKS = 200_000
+#: Distinct chunks a worker remembers at most, in two generations: when the young one is full it
+#: becomes the old one, and chunks that recur come back from there.
+CACHE_CHUNKS = 500_000
+#: Distinct parts of chunks that it remembers before it starts afresh.
+CACHE_PARTS = 500_000
 #: Bytes of text handled at once.
-BLOCK_BYTES = 1 << 19
+BLOCK_BYTES = 1 << 20
 #: Rows of an Arrow batch that are Python objects at once.
 SLICE_ROWS = 128
 
@@ -61,6 +67,7 @@ class _Runs:
 
 #: Punctuation that may end a chunk: as a run, it is a pre-token of its own.
 _TAIL = "".join(c for c in map(chr, range(33, 127)) if not c.isalnum() and c not in "'<>|")
+_TAIL_BYTES = _TAIL.encode()
 
 
 class ChunkEncoder:
@@ -74,11 +81,11 @@ class ChunkEncoder:
         from tokenizers import Tokenizer
 
         self._tok = Tokenizer.from_file(path)
-        self._limit = cache_chunks
+        self._limit = cache_chunks // 2
         vocab = self._tok.get_vocab(with_added_tokens=True)
         self._last = np.zeros(max(vocab.values()) + 1, bool)
         self._last[[i for t, i in vocab.items() if t.endswith("</w>")]] = True
-        self._chunks, self._parts = _Runs(), _Runs()
+        self._chunks, self._older, self._parts = _Runs(), _Runs(), _Runs()
 
     def _learn_parts(self, parts: list[str]) -> None:
         for at in range(0, len(parts), 8192):
@@ -103,6 +110,12 @@ class ChunkEncoder:
     def _learn(self, chunks: list[bytes]) -> None:
         whole, split, cores, tails = [], [], [], []
         for c in chunks:
+            plain = c.rstrip(_TAIL_BYTES)
+            if plain.isalpha():  # ASCII letters
+                split.append(c)
+                cores.append(plain.lower().decode())
+                tails.append(c[len(plain) :].decode())
+                continue
             s = c.decode("utf-8", "replace")
             core = s.rstrip(_TAIL)
             if core.isalpha() and (core.isascii() or (max(core) < "\u0250" and "\u0130" not in core)):
@@ -134,14 +147,20 @@ class ChunkEncoder:
             sizes[i] = len(own)
             chunks += own
         if len(self._chunks.index) > self._limit:
-            self._chunks = _Runs()
-        if len(self._parts.index) > self._limit:
+            self._chunks, self._older = _Runs(), self._chunks
+        if len(self._parts.index) > CACHE_PARTS:
             self._parts = _Runs()
         index = self._chunks.index
         place = np.fromiter(map(index.get, chunks, repeat(-1)), np.int64, len(chunks))
         new = np.flatnonzero(place < 0).tolist()
         if new:
-            self._learn(list(dict.fromkeys([chunks[i] for i in new])))
+            unknown = list(dict.fromkeys([chunks[i] for i in new]))
+            if self._older.index:
+                back = [c for c in unknown if c in self._older.index]
+                if back:
+                    self._chunks.add(back, *self._older.take(np.fromiter(map(self._older.index.get, back), np.int64, len(back))))
+                    unknown = [c for c in unknown if c not in self._older.index]
+            self._learn(unknown)
             place[new] = [index[chunks[i]] for i in new]
         return place, sizes
 
@@ -177,6 +196,16 @@ def each(column) -> Iterator:
         yield from column.slice(at, SLICE_ROWS).to_pylist()
 
 
+def tidy() -> None:
+    """Gives memory that a task has freed back to the system, as its worker lives on."""
+    import pyarrow as pa
+
+    gc.collect()
+    pa.default_memory_pool().release_unused()
+    with contextlib.suppress(OSError, AttributeError):  # not on every libc
+        ctypes.CDLL("libc.so.6").malloc_trim(0)
+
+
 def blocks(keys: Iterable, texts: Iterable[str | None], limit: int = BLOCK_BYTES) -> Iterator[tuple[list, list[bytes]]]:
     """Cuts rows into blocks of about ``limit`` bytes; a longer text is a block of its own."""
     ks: list = []

@@ -18,12 +18,11 @@ import zlib
 from collections.abc import Iterator
 
 import numpy as np
-import pandas as pd
 from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from strel.llm.encode import blocks, each, encoder, tokenizer_path
+from strel.llm.encode import blocks, each, encoder, tidy, tokenizer_path
 from strel.runtime import materialize, ship
 
 WINDOW = 4096
@@ -115,12 +114,13 @@ def _pack_task(path: str, window: int, open_windows: int, min_cut: int, end_id:
                     packer.out = []
         yield table(packer.out, False)
         yield table(packer.left(), True)
+        tidy()
 
     return run
 
 
 def _merge_group(window: int):
-    def run(pdf: pd.DataFrame) -> pd.DataFrame:
+    def run(pdf):
         """Best fit in falling size: each piece keeps its ids and gets a window of the group."""
         pdf = pdf.sort_values(["length", "doc_id", "start"], ascending=[False, True, True], kind="stable").reset_index(drop=True)
         base = (1 << 62) | (int(pdf["grp"].iloc[0]) << 33)
