@@ -15,6 +15,7 @@ from collections.abc import Iterable, Iterator
 from itertools import repeat
 
 import numpy as np
+from pyspark.sql import SparkSession
 
 #: Distinct chunks a worker remembers at most, in two generations: when the young one is full it
 #: becomes the old one, and chunks that recur come back from there.
@@ -23,6 +24,8 @@ CACHE_CHUNKS = 500_000
 CACHE_PARTS = 500_000
 #: Bytes of text handled at once.
 BLOCK_BYTES = 1 << 20
+#: Rows of an Arrow batch of whole texts, where an operator runs its own job.
+BATCH_ROWS = 1_000
 #: Rows of an Arrow batch that are Python objects at once.
 SLICE_ROWS = 128
 
@@ -206,6 +209,20 @@ def tidy() -> None:
         ctypes.CDLL("libc.so.6").malloc_trim(0)
 
 
+@contextlib.contextmanager
+def small_batches(spark: SparkSession, rows: int = BATCH_ROWS) -> Iterator[None]:
+    """What runs inside sends whole texts to Python in batches of few rows, so that neither side
+    holds thousands of them; the session's own setting is back afterwards."""
+    key = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    before = spark.conf.get(key)
+    if not 0 < int(before) <= rows:
+        spark.conf.set(key, str(rows))
+    try:
+        yield
+    finally:
+        spark.conf.set(key, before)
+
+
 def blocks(keys: Iterable, texts: Iterable[str | None], limit: int = BLOCK_BYTES) -> Iterator[tuple[list, list[bytes]]]:
     """Cuts rows into blocks of about ``limit`` bytes; a longer text is a block of its own."""
     ks: list = []

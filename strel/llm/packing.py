@@ -22,7 +22,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from strel.llm.encode import blocks, each, encoder, tidy, tokenizer_path
+from strel.llm.encode import blocks, each, encoder, small_batches, tidy, tokenizer_path
 from strel.runtime import materialize, ship
 
 WINDOW = 4096
@@ -160,10 +160,11 @@ def pack(
     """
     ship(docs.sparkSession)
     rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
-    packed = materialize(
-        rows.mapInArrow(_pack_task(tokenizer or tokenizer_path(), window, open_windows, min_cut, end_id), f"{_PIECE}, is_open boolean, task long"),
-        "packing",
-    )
+    with small_batches(docs.sparkSession):
+        packed = materialize(
+            rows.mapInArrow(_pack_task(tokenizer or tokenizer_path(), window, open_windows, min_cut, end_id), f"{_PIECE}, is_open boolean, task long"),
+            "packing",
+        )
     merged = (
         packed.where("is_open")
         .withColumn("grp", F.expr(f"task div {MERGE_TASKS}"))

@@ -36,8 +36,8 @@ import numpy as np
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from strel.llm.encode import blocks, each
-from strel.llm.shingles import mix, shingle_hashes
+from strel.llm.encode import blocks, each, small_batches, tidy
+from strel.llm.shingles import WINDOW, mix, shingle_hashes
 from strel.runtime import discard, materialize, ranked, ship
 
 _U = np.uint64
@@ -52,6 +52,8 @@ KEYS_PER_TASK, BYTES_A_KEY, HOT_FACTOR = 1_000_000, 12, 4
 #: Sets of a key beyond which its pairs are joined by rows; pairs that a task holds before it folds
 #: them; and words of sketches that it compares at once.
 HOT_KEY, PAIRS_HELD, PAIRS_AT_ONCE = 3_000, 500_000, 1_000_000
+#: Rows (of a key, a set and its narrow sketch, some 300 bytes) of a bucket in which pairs are looked for.
+CANDIDATE_ROWS = 40_000
 #: Distinct sets whose keys a task remembers having emitted.
 SEEN_SETS = 100_000
 #: Rounds of comparing each class with one other go on while they link one set in so many.
@@ -153,7 +155,7 @@ def _read(width: int, bands: Bands, buckets: int):
 
         seen: set[int] = set()
         for b in batches:
-            for ids, texts in blocks(each(b.column("doc_id")), each(b.column("text"))):
+            for ids, texts in blocks(each(b.column("doc_id")), each(b.column("text")), WINDOW):
                 rows, keys, sets = [], [], []
                 for i, s in zip(ids, shingle_hashes(texts, width), strict=True):
                     if not len(s):
@@ -185,6 +187,7 @@ def _read(width: int, bands: Bands, buckets: int):
                 first = np.flatnonzero(np.concatenate([[True], bucket[1:] != bucket[:-1]]))
                 ends = list(zip(first.tolist(), [*first[1:].tolist(), len(bucket)], strict=True))
                 yield table([bucket[first], [key[i:j].tobytes() for i, j in ends], [own[i:j].tobytes() for i, j in ends]], 6)
+        tidy()
 
     return run
 
@@ -194,6 +197,17 @@ def _filled(s: np.ndarray, parts: int) -> int:
     return 1 + int(np.count_nonzero(part[1:] != part[:-1]))
 
 
+def _tidied(work):
+    """A task's work on one group, after which its memory goes back to the system."""
+
+    def run(tbl):
+        out = work(tbl)
+        tidy()
+        return out
+
+    return run
+
+
 def _meet(tbl):
     """Keys of a bucket that at least two sets have, each with its sets."""
     import pyarrow as pa
@@ -233,7 +247,7 @@ def parity_bits(s: np.ndarray, bits: int) -> np.ndarray:
     return np.packbits(odd.astype(np.uint8)).view("<i8")
 
 
-_SETS = "id long, n long, elements binary, narrow array<long>, wide array<long>, narrow_low array<long>, wide_low array<long>"
+_SETS = "id long, n long, elements array<long>, narrow array<long>, wide array<long>, narrow_low array<long>, wide_low array<long>"
 
 
 def _stored_sets(width: int, bands: Bands):
@@ -243,35 +257,17 @@ def _stored_sets(width: int, bands: Bands):
         import pyarrow as pa
 
         for b in batches:
-            for _, texts in blocks(each(b.column("doc_id")), each(b.column("text"))):
+            for _, texts in blocks(each(b.column("doc_id")), each(b.column("text")), WINDOW):
                 rows = []
                 for s in shingle_hashes(texts, width):
                     if len(s):
                         of = [(parity_bits(s, bands.narrow(band)), parity_bits(s, bands.bits(band))) for band, _, _ in bands.of(len(s))]
-                        rows.append((_signed(_identity(s)[0]), len(s), s.astype("<u8").tobytes(), *of[0], *(of[1] if len(of) > 1 else (None, None))))
+                        rows.append((_signed(_identity(s)[0]), len(s), s.view(np.int64), *of[0], *(of[1] if len(of) > 1 else (None, None))))
                 cols = list(zip(*rows, strict=True)) or [[]] * 7
                 longs = pa.list_(pa.int64())
-                kinds = [pa.int64(), pa.int64(), pa.binary(), longs, longs, longs, longs]
-                yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(cols, kinds, strict=True)], _SETS.replace(" array<long>", "").replace(" long", "").replace(" binary", "").split(", "))
-
-    return run
-
-
-def _compare(bands: Bands):
-    """Keeps the pairs that are similar; batches of pairs with both sets."""
-
-    def run(batches: Iterator) -> Iterator:
-        import pyarrow as pa
-
-        for b in batches:
-            keep = []
-            for x, y in zip(b.column("x"), b.column("y"), strict=True):
-                x, y = np.frombuffer(x.as_buffer(), "<u8"), np.frombuffer(y.as_buffer(), "<u8")
-                at = np.minimum(np.searchsorted(y, x), len(y) - 1)
-                common = int(np.count_nonzero(y[at] == x))
-                keep.append(bands.den * common >= bands.num * (len(x) + len(y) - common))
-            mask = pa.array(keep, pa.bool_())
-            yield pa.RecordBatch.from_arrays([b.column("a").filter(mask), b.column("b").filter(mask)], ["a", "b"])
+                kinds = [pa.int64(), pa.int64(), longs, longs, longs, longs, longs]
+                yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(cols, kinds, strict=True)], [c.split()[0] for c in _SETS.split(", ")])
+        tidy()
 
     return run
 
@@ -373,9 +369,9 @@ def _shared_keys(read: DataFrame, keys_per_task: int) -> DataFrame:
     hot = packed.groupBy("bucket").agg(F.sum(F.length("keys")).alias("size")).where(F.col("size") > 4 * HOT_FACTOR * keys_per_task).select("bucket")
     hot = materialize(hot, "hot-buckets")
     if not hot.limit(1).count():
-        return packed.groupBy("bucket").applyInArrow(_meet, "key long, reg long")
+        return packed.groupBy("bucket").applyInArrow(_tidied(_meet), "key long, reg long")
     hot = F.broadcast(hot)  # at most one in HOT_FACTOR of the buckets
-    usual = packed.join(hot, "bucket", "left_anti").groupBy("bucket").applyInArrow(_meet, "key long, reg long")
+    usual = packed.join(hot, "bucket", "left_anti").groupBy("bucket").applyInArrow(_tidied(_meet), "key long, reg long")
     rows = packed.join(hot, "bucket", "left_semi").mapInArrow(_unpack, "key long, reg long").distinct()
     often = rows.groupBy("key").agg(F.count(F.lit(1)).alias("c")).where("c > 1").select("key")
     return usual.unionByName(rows.join(often, "key", "left_semi"))
@@ -404,6 +400,11 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     their ids, and null ids are left out of the smallest. An empty table gives no row. Other columns
     are not read.
     """
+    with small_batches(docs.sparkSession):
+        return _classes(docs, id_col, text_col, width, num, den, keys_per_task)
+
+
+def _classes(docs: DataFrame, id_col: str, text_col: str, width: int, num: int, den: int, keys_per_task: int) -> DataFrame:
     g = math.gcd(num, den)
     bands = Bands(num // g, den // g)
     rows = _sets(docs, id_col, text_col)
@@ -456,7 +457,9 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
         x = packed.select(F.col("id").alias("a"), F.col("elements").alias("x")).join(sized, "a")
         involved = some.select(F.col("b").alias("id")).distinct()
         y = packed.join(F.broadcast(involved) if light else involved, "id", "left_semi").select(F.col("id").alias("b"), F.col("elements").alias("y"))
-        return materialize(x.join(y, "b").select("a", "b", "x", "y").mapInArrow(_compare(bands), "a long, b long"), "links", some)
+        common = F.size(F.array_intersect("x", "y")).cast("long")
+        enough_common = common * (bands.den + bands.num) >= bands.num * (F.size("x") + F.size("y")).cast("long")
+        return materialize(x.join(y, "b").where(enough_common).select("a", "b"), "links", some)
 
     # classes are numbered in the order of documents: an original mostly comes before what is made of it
     sets = one.join(wanted.withColumnRenamed("id", "set_a"), "set_a", "left_semi").groupBy(F.col("set_a").alias("id")).agg(F.min("doc_id").alias("d"))
@@ -500,8 +503,8 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     # a bucket of keys gives each of its pairs once. Keys of very many sets are joined by rows: of a
     # key's sets those outside its largest class meet all others, so a large class does not meet
     # itself, and the bounds are part of the join
-    usual = rare.where(F.col("often") <= HOT_KEY).drop("often").withColumn("bucket", F.expr(f"pmod(xxhash64(key), {max(8, math.ceil(4 * total / keys_per_task))})"))
-    pairs = usual.groupBy("bucket").applyInArrow(_candidates(bands.num, bands.den), "ra long, rb long")
+    usual = rare.where(F.col("often") <= HOT_KEY).drop("often").withColumn("bucket", F.expr(f"pmod(xxhash64(key), {max(8, math.ceil(total / CANDIDATE_ROWS))})"))
+    pairs = usual.groupBy("bucket").applyInArrow(_tidied(_candidates(bands.num, bands.den)), "ra long, rb long")
     hot = rare.where(F.col("often") > HOT_KEY)
     if hot.limit(1).count():
         largest = hot.groupBy("key", "c").agg(F.count(F.lit(1)).alias("m")).groupBy("key").agg(F.max(F.struct("m", "c"))["c"].alias("main"))

@@ -37,7 +37,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from strel.llm.encode import blocks, each
+from strel.llm.encode import blocks, each, tidy
 from strel.runtime import materialize, ship
 
 #: Labelled texts the lexicon and the curve are fitted on, at most (those of smallest hash).
@@ -353,6 +353,8 @@ def _scores(grammar: Grammar):
         reader = _Reader(grammar)
         for b in batches:
             yield pa.array([x for _, ts in blocks(range(len(b)), each(b)) for x in grammar.score(reader.features(ts)).tolist()], pa.float64())
+        del reader
+        tidy()
 
     return scores
 
