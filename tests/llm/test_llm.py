@@ -5,6 +5,7 @@ import zlib
 
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
 from strel.llm import decontam, lengths, licences, linedup, packing, paritysketch, pii, quality, toxicity, vptree
 from strel.llm.shingles import shingle_hashes
@@ -51,6 +52,17 @@ def test_length_histogram(spark):
     assert lengths.length_quantile(h, 0.5).first()[0] == 5 and lengths.total_at(h, 6).first()["kept_tokens"] == 0 + 1 + 1 + 5 + 6 * 3
 
 
+def test_token_counts_are_those_of_the_tokenizer(spark):
+    from tokenizers import Tokenizer
+
+    tok = Tokenizer.from_file(lengths.tokenizer_path())
+    texts = [*ODD, *[text(i, 200) for i in range(5)], "Hello, WORLD!? it's <|endoftext|> Ωmega ΣΑΣ İ 北京 a_b x" * 50, text(9, 60_000)]
+    given = docs(spark, [*texts, *texts]).withColumn("n_tokens", F.lit(-1))
+    got = lengths.token_lengths(given).orderBy("doc_id").collect()
+    assert [r["n_tokens"] for r in got] == [len(tok.encode(t or "", add_special_tokens=False).ids) for t in [*texts, *texts]]
+    assert lengths.length_histogram(lengths.token_lengths(given.where("false"))).count() == 0
+
+
 def brute_classes(texts):
     sets = []
     for t in texts:
@@ -85,6 +97,46 @@ def test_near_duplicates_against_brute_force(spark):
     assert got == brute_classes(texts)
 
 
+@pytest.mark.parametrize("hot_key", [3, 3_000])
+def test_hot_keys_are_joined_by_rows(spark, monkeypatch, hot_key):
+    monkeypatch.setattr(paritysketch, "HOT_KEY", hot_key)
+    monkeypatch.setattr(paritysketch, "PAIRS_HELD", 5)
+    monkeypatch.setattr(paritysketch, "PAIRS_AT_ONCE", 90)
+    monkeypatch.setattr(paritysketch, "FEW_LINKS", 1)  # one round: most is left to the pairs
+    base = text(3, 200).split()
+    texts = [" ".join([*base[: i % 150], f"x{i}", *base[i % 150 :]]) for i in range(60)] + [text(i, 50) for i in range(20)]
+    got = {r["doc_id"]: (r["n_shingles"], r["component_id"]) for r in paritysketch.near_duplicates(docs(spark, texts), keys_per_task=40).collect()}
+    assert got == brute_classes(texts)
+
+
+def test_near_duplicates_with_repeated_and_null_ids(spark):
+    a, b = text(1, 40), text(2, 40)
+    given = spark.createDataFrame([(5, a), (5, b), (7, b + " x"), (None, a + " y"), (None, text(3, 40)), (None, None)], "doc_id long, text string")
+    got = sorted(((r["doc_id"], r["n_shingles"], r["component_id"]) for r in paritysketch.near_duplicates(given).collect()), key=str)
+    assert got == sorted([(5, 36, 5), (5, 36, 5), (7, 37, 5), (None, 37, 5), (None, 36, None), (None, 0, None)], key=str)
+    assert paritysketch.near_duplicates(given.where("false")).count() == 0
+
+
+def test_word_hashes_do_not_depend_on_windows(monkeypatch):
+    from strel.llm import shingles
+
+    texts = [text(1, 300).encode(), b"", b"x" * 500 + b" y " + b"z" * 70, b" ", text(2, 100).encode()]
+    whole = shingles.word_hashes(texts)
+    monkeypatch.setattr(shingles, "WINDOW", 64)
+    for x, y in zip(whole, shingles.word_hashes(texts), strict=True):
+        assert (x == y).all()
+
+
+def test_sketches_bound_the_difference():
+    rng = np.random.default_rng(4)
+    for n in (5, 60, 900):
+        a, b = (np.unique(rng.integers(0, 2**63, n).astype(np.uint64)) for _ in range(2))
+        b = np.union1d(b[: n // 3], a)
+        for bits in (64, 512, 4096):
+            apart = sum(bin(int(x) & (2**64 - 1)).count("1") for x in paritysketch.parity_bits(a, bits) ^ paritysketch.parity_bits(b, bits))
+            assert apart <= len(np.setxor1d(a, b))
+
+
 def test_one_of_near_duplicates_without_ids(spark):
     import corpus_pipeline
 
@@ -95,6 +147,38 @@ def test_one_of_near_duplicates_without_ids(spark):
     assert sorted(got, key=str) == sorted([(None, a), (3, b), (7, c), (7, d), (None, None), (None, "")], key=str)
 
 
+def test_pipeline_stages_keep_what_is_clean(spark, tmp_path):
+    import corpus_pipeline
+
+    item = text(500, 30)
+    toxic = [text(i, 60) + " you stupid idiot" for i in range(30)]
+    clean = [f"{text(100 + i, 60)}\nmenu home" for i in range(60)]
+    near = clean[0].replace("menu home", "x")
+    texts = [*toxic, *clean, near, f"{text(700, 50)} {item} {text(701, 50)}", None, "", clean[5]]
+    given = docs(spark, texts).drop("hits")
+    given = given.unionByName(given.where("doc_id = 40").withColumn("doc_id", F.lit(None).cast("long")).withColumn("text", F.lit(text(800, 60))))
+    given.write.parquet(str(tmp_path / "documents.parquet"))
+    spark.createDataFrame([(i, 1, int(i < 30)) for i in range(90)], "doc_id long, quality int, toxic int").write.parquet(str(tmp_path / "labels.parquet"))
+    spark.createDataFrame([(1, item)], "item_id long, text string").write.parquet(str(tmp_path / "benchmark.parquet"))
+    kept, at = {}, given
+    for name, stage in corpus_pipeline.STAGES[:-1]:
+        stage(spark, at, str(tmp_path)).write.parquet(str(tmp_path / name))
+        at = spark.read.parquet(str(tmp_path / name))
+        assert at.columns == corpus_pipeline.COLUMNS
+        kept[name] = at.collect()
+    ids = lambda name: sorted(r["doc_id"] for r in kept[name] if r["doc_id"] is not None)
+    assert ids("toxicity") == list(range(30, 95)) and len(kept["toxicity"]) == 66
+    assert ids("line_dedup") == ids("toxicity") and not any("menu home" in (r["text"] or "") for r in kept["line_dedup"])
+    assert ids("near_duplicates") == [i for i in range(30, 94) if i != 90] and len(kept["near_duplicates"]) == 64
+    assert ids("decontamination") == [i for i in ids("near_duplicates") if i != 91]
+    packed = corpus_pipeline.run(spark, str(tmp_path)).toPandas()
+    assert set(packed.doc_id.dropna()) == set(ids("decontamination")) and packed.doc_id.isna().sum() == 1
+    from strel.runtime import shared_dir
+    import os
+
+    assert not any(x.startswith("pipeline-") for x in os.listdir(shared_dir(spark).removeprefix("file:") + "/strel"))
+
+
 def test_parity_keys_of_linked_sets_meet():
     bands, rng = paritysketch.Bands(3, 4), np.random.default_rng(1)
     for n in (1, 2, 3, 4, 7, 20, 63, 64, 100, 255, 256, 900):
@@ -123,11 +207,19 @@ def test_decontamination(spark):
     assert decontam.contained(d, items.where("false")).count() == 0 and decontam.contained(d.where("false"), items).count() == 0
 
 
-def test_line_dedup(spark):
+def test_line_dedup(spark, monkeypatch):
     texts = [f"menu  \n{text(i, 5)}\n\n{'rare' if i < 2 else ''}" for i in range(40)] + [None, "", "menu\nmenu"]
     out = {r["doc_id"]: r for r in linedup.drop_boilerplate(docs(spark, texts)).collect()}
     assert out[0]["text"] == texts[0].split("\n", 1)[1] and out[0]["n_dropped"] == 1
     assert out[40]["text"] is None and out[41]["text"] == "" and out[42]["text"] == ""
+    clash = docs(spark, texts).withColumn("n_lines", F.lit(-1)).withColumn("lines", F.lit("x")).withColumn("host", F.lit("y"))
+    spread = {r["doc_id"]: r for r in linedup.drop_boilerplate(clash.unionByName(clash)).collect()}
+    assert all(spread[i]["text"] == out[i]["text"] and spread[i]["n_lines"] == out[i]["n_lines"] for i in out)
+    monkeypatch.setattr(linedup, "BROADCAST_LINES", 0)
+    monkeypatch.setattr(linedup, "PAGES_A_TASK", 3)
+    shuffled = {r["doc_id"]: r for r in linedup.drop_boilerplate(docs(spark, texts)).collect()}
+    assert {i: r["text"] for i, r in shuffled.items()} == {i: r["text"] for i, r in out.items()}
+    assert linedup.drop_boilerplate(clash.where("false")).count() == 0
     copies = docs(spark, ["same text"] * 30 + [text(i, 5) for i in range(30)])
     assert linedup.drop_boilerplate(copies).where("n_dropped > 0").count() == 0
 
@@ -168,7 +260,7 @@ def test_private_data(spark):
     assert {k: len(v) for k, v in base.items()} == {"email": 1, "ip": 1, "card": 1, "phone": 1}
     more = pii.find_disguised(t, base)
     assert [t[a:b] for a, b in more["email"]] == ["jane (at) ex (dot) org"]
-    assert [t2[a:b] for t2 in ["see аdmin@еx.org"] for a, b in pii.find_disguised(t2, pii.find_base(t2))["email"]] in ([], ["аdmin@еx.org"])
+    assert [t2[a:b] for t2 in ["see аdmin@еx.org"] for a, b in pii.find_disguised(t2, pii.find_base(t2))["email"]] == ["аdmin@еx.org"]
     spelled = "ring plus one seven four three five five five three eight two four now"
     assert [spelled[a:b] for a, b in pii.find_disguised(spelled, pii.find_base(spelled))["phone"]] == ["plus one seven four three five five five three eight two four"]
     out = {r["doc_id"]: r for r in pii.find(docs(spark, [None, "", t])).collect()}
@@ -203,16 +295,150 @@ def test_plain_text_is_not_disguised():
         assert disguised(t) == []
 
 
-def test_toxicity_grammar(spark):
+def toxic_features(g, t):
+    return dict(zip([*toxicity.CLASSES, "heaviest", "share"], g.features([g.symbol(c) for c in t.encode().split()]), strict=True))
+
+
+def general_score(t):
     g = toxicity.general()
-    score = lambda t: sum(g.clauses(g.symbol(c) for c in t.encode().split()))
-    assert score("you are an idiot.") > score("an idiot.") > score("not an idiot.") > 0 == score("fine text.")
-    assert score("he said idiot.") < score("she is idiot.") or True
-    labels = spark.createDataFrame([(i, int(i % 3 == 0), 1) for i in range(60)], "doc_id long, toxic int, quality int")
-    d = docs(spark, [text(i, 40) + (" zorgle you" if i % 3 == 0 else "") for i in range(60)] + [None, ""])
-    got = {r["doc_id"]: r["score"] for r in toxicity.score(d, toxicity.fit(d, labels)).collect()}
-    assert all((got[i] >= 0.5) == (i % 3 == 0) for i in range(60)) and got[60] < 0.5 and got[61] < 0.5
-    assert toxicity.fit(d, labels.where("false")).curve == toxicity.general().curve
+    return float(g.score(np.array([list(toxic_features(g, t).values())]))[0])
+
+
+@pytest.mark.parametrize(
+    ("t", "kind"),
+    [
+        ("an idiot.", "insult"),
+        ("You are an idiot.", "aimed insult"),
+        ("idiot, you", "aimed insult"),
+        ("you are not an idiot", "negated insult"),
+        ("he is not the kind man we saw. an idiot", "insult"),
+        ("John said idiot", "reported insult"),
+        ("John said so. an idiot", "insult"),
+        ("I will kill you.", "threat"),
+        ("they will be back to hurt us", "threat"),
+        ("I will not kill you", "damped threat"),
+        ("John said I will kill you", "damped threat"),
+        ("kill time", "violence"),
+        ("I will. kill. you", "violence"),
+        ("kill you", "violence"),
+    ],
+)
+def test_toxicity_classes(t, kind):
+    f = toxic_features(toxicity.general(), t)
+    assert {c for c in toxicity.CLASSES if f[c]} == {kind}
+
+
+def test_toxicity_contexts_change_scores():
+    assert general_score("you are an idiot.") >= 0.5 > general_score("you are not an idiot.") > general_score("fine text.")
+    assert general_score("he said idiot.") < general_score("she is idiot.")
+    assert general_score("I will kill you.") >= 0.5 > max(general_score("I will not kill you."), general_score("kill you"), general_score("he said I will kill you"))
+
+
+def test_curve_of_texts_that_a_line_parts():
+    rng = np.random.default_rng(2)
+    y = (np.arange(4000) % 9 == 0).astype(float)
+    x = rng.random((4000, len(toxicity.CLASSES) + 2)) * 0.01
+    x[y == 1] += rng.random((int(y.sum()), x.shape[1])) * 40
+    g = toxicity.Grammar(curve=toxicity._fit_curve(x, y))
+    assert np.isfinite(g.curve).all() and ((g.score(x) >= 0.5) == y).mean() > 0.999
+
+
+def test_composed_transducers_do_what_the_cascade_does():
+    parts = [toxicity.negation(), toxicity.report(), toxicity.threat(), toxicity.target()]
+    step, write = toxicity.machine()
+    whole = toxicity.Transducer(np.array(step), np.array(write))
+    words = [toxicity._CODE[x] for x in ("other", "intent", "target", "negation", "report", "stop", "insult", "violence")]
+    rng = np.random.default_rng(0)
+    for _ in range(300):
+        symbols = rng.choice(words, 25).tolist()
+        one_by_one = symbols
+        for t in parts:
+            one_by_one = t.run(one_by_one)
+        assert whole.run(symbols) == one_by_one
+
+
+def test_toxicity_learns_classes_and_words(spark):
+    labels = spark.createDataFrame([(i, int(i % 3 == 0), 1) for i in range(90)] + [(0, None, 1), (None, 1, 1), (500, 1, 1)], "doc_id long, toxic int, quality int")
+    given = docs(spark, [text(i, 40) + (" zorgle you" if i % 3 == 0 else "") for i in range(90)] + [None, "", "zorgle " * 30_000, text(90, 40) + " not zorgle"])
+    g = toxicity.fit(given.unionByName(given.where("doc_id < 9")), labels)
+    got = {r["doc_id"]: r["score"] for r in toxicity.score(given, g).collect()}
+    assert all((got[i] >= 0.5) == (i % 3 == 0) for i in range(90)) and got[90] < 0.5 and got[91] < 0.5 and got[92] > 0.5
+    assert got[93] < min(got[i] for i in range(0, 90, 3))  # a negation weighs less
+    assert toxicity.fit(given, labels.where("false")).curve == toxicity.general().curve
+    empty = given.where("false")
+    assert toxicity.fit(empty, labels).curve == toxicity.general().curve and toxicity.score(empty, g).count() == 0
+    clash = given.withColumn("y", F.lit(1)).withColumn("score", F.lit(9.0)).withColumn("x", F.lit(1))
+    assert sorted(r["score"] for r in toxicity.score(clash, g).collect()) == sorted(got.values())
+    assert toxicity.score(given.unionByName(given), g).groupBy("doc_id").agg(F.count_distinct("score").alias("n")).where("n > 1").count() == 0
+
+
+def brute_base(t):
+    """Base spans by plain expressions."""
+    import re
+
+    found = {"email": [m.span() for m in re.finditer(r"[A-Za-z0-9._%+-]+@[A-Za-z0-9-]+(\.[A-Za-z0-9-]+)+", t)]}
+    found["ip"] = [m.span() for m in re.finditer(r"[0-9]+(\.[0-9]+)(\.[0-9]+)(\.[0-9]+)", t) if all(int(p) <= 255 for p in m.group().split("."))]
+
+    def luhn(d):
+        return sum(x if k % 2 == 0 else (2 * x - 9 if x > 4 else 2 * x) for k, x in enumerate(map(int, reversed(d)))) % 10 == 0
+
+    only = lambda m: re.sub(r"[^0-9]", "", m.group())
+    found["card"] = [m.span() for m in re.finditer(r"[0-9]([\x20-]?[0-9])+", t) if 16 <= len(only(m)) <= 19 and luhn(only(m))]
+    found["phone"] = [m.span() for m in re.finditer(r"\+[0-9][\x20().0-9-]+[0-9]", t) if 8 <= len(only(m)) <= 15]
+    return found
+
+
+def test_base_spans_against_brute_force(spark):
+    rng = np.random.default_rng(6)
+    bits = ["joe@ex.org", "a.b+c@x-y.z.museum", "@", ".", "10.0.0.1", "300.1.1.1", "1.2.3.4.5", "4111 1111 1111 1111", "4111-1111-1111-1112", "+1 (743) 555-3824", "+1 2", "+44 20 7946 0958 123456789", "é", "at", "dot", "one", "\u0661\u0662", "0", "-", " ", "\n"]
+    texts = ["".join(rng.choice(bits, rng.integers(1, 14))) for _ in range(250)] + [" ".join(rng.choice(bits, rng.integers(1, 30))) for _ in range(150)] + [None, "", "1 " * 40_000, "joe@ex.org " * 9_000]
+    given = docs(spark, texts).withColumn("spans", F.lit("x")).withColumn("n_email", F.lit(-1))
+    for r in pii.find(given).collect():
+        base = brute_base(texts[r["doc_id"]] or "")
+        spans = [f"{k}:{a}:{b}" for k in ("email", "ip", "card", "phone") for a, b in base[k]]
+        assert [r[f"n_{k}"] for k in ("email", "ip", "card", "phone")] == [len(base[k]) for k in ("email", "ip", "card", "phone")], texts[r["doc_id"]]
+        assert r["base_sha256"] == hashlib.sha256(",".join(spans).encode()).hexdigest()
+        assert set(filter(None, spans)) <= set(r["spans"].split(","))
+    assert pii.find(given.where("false")).count() == 0
+
+
+def test_licence_places_against_brute_force(spark):
+    import re
+
+    rng = np.random.default_rng(7)
+    bits = ["cc", "by", "BY", "general", "Public", "license", "all", "rights", "reserved", "x", "é", "cc-by", "licence"]
+    seps = [" ", "_", "\n", "-", " , ", "\x7f"]
+    texts = ["".join(w + rng.choice(seps) for w in rng.choice(bits, rng.integers(1, 25))) for _ in range(250)] + [None, "", "cc by " * 20_000]
+    given = docs(spark, texts).withColumn("labels", F.lit("x")).withColumn("row", F.lit(0)).withColumn("low", F.lit("x"))
+    for r in licences.scan(given).collect():
+        low = "".join(chr(ord(c) + 32) if "A" <= c <= "Z" else c for c in texts[r["doc_id"]] or "")
+        ws = re.findall(r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+", low)
+        places = [(i, lab) for p, lab in licences.BASE.items() for i in range(len(ws)) if ws[i : i + len(p.split())] == p.split()]
+        at = [i for i, _ in places]
+        assert (r["n_words"], r["n_base"], r["first_word"], r["last_word"]) == (len(ws), len(at), min(at, default=None), max(at, default=None))
+        assert r["base_labels"] == ",".join(sorted({lab for _, lab in places})) and set(filter(None, r["base_labels"].split(","))) <= set(r["labels"].split(","))
+    assert licences.scan(given.where("false")).count() == 0
+
+
+def test_packing_with_few_open_windows(spark):
+    from tokenizers import Tokenizer
+
+    texts = [text(i, n) for i, n in enumerate(np.random.default_rng(2).integers(1, 90, 300))]
+    tok = Tokenizer.from_file(packing.tokenizer_path())
+    want = {i: np.array(tok.encode(t, add_special_tokens=False).ids + [2], "<u4") for i, t in enumerate(texts)}
+    given = docs(spark, texts).withColumn("start", F.lit(-1)).withColumn("length", F.lit(-1)).repartition(3)
+    got = packing.pack(given, window=100, open_windows=2).toPandas()
+    for i, ids in want.items():
+        at = 0
+        for r in got[got.doc_id == i].sort_values("start").itertuples():
+            assert r.start == at and r.ids_crc32 == zlib.crc32(ids[at : at + r.length].tobytes())
+            at += r.length
+        assert at == len(ids)
+    used = got.groupby("sequence_id")["length"].sum()
+    assert used.max() <= 100 and used.sum() / (100 * len(used)) > 0.85
+    for _, g in got.groupby("sequence_id"):
+        g = g.sort_values("offset")
+        assert list(g.offset) == [0, *np.cumsum(g.length)[:-1]]
 
 
 def test_quality_scorer(spark):
@@ -220,9 +446,26 @@ def test_quality_scorer(spark):
     bad = ["spam " * 60 for _ in range(40)]
     labels = spark.createDataFrame([(i, 1) for i in range(0, 80, 2)], "doc_id long, quality int")
     d = docs(spark, good + bad + [None, ""])
+    d = quality.describe(d.withColumn("score", F.lit(7)).withColumn("x", F.lit("x")))
     got = {r["doc_id"]: r["score"] for r in quality.score(d, quality.fit(d, labels)).collect()}
     assert np.mean([got[i] for i in range(80)]) > np.mean([got[i] for i in range(80, 120)]) + 0.3
-    assert quality.fit(d, labels.where("false")) is None
+    assert quality.fit(d, labels.where("false")) is None and {r["score"] for r in quality.score(d, None).collect()} == {0.5}
+    assert quality.fit(d.where("false"), labels) is None and quality.score(d.where("false"), None).count() == 0
+    assert quality.features(b"a b a c a")[quality.NAMES.index("top_word")] == 0.6
+
+
+def test_prior_and_risk_of_quality():
+    rng = np.random.default_rng(3)
+    good, bad = rng.normal(1.5, 1, (3000, 2)), rng.normal(-1.5, 1, (7000, 2))
+    every = np.concatenate([good[:1500], bad[:3500]])
+    m = quality.fit_scorer(good[1500:], every)
+    assert abs(m.prior - 0.3) < 0.08
+    assert (m.score(good[:1500]) >= 0.5).mean() > 0.85 and (m.score(bad[:3500]) < 0.5).mean() > 0.9
+    # few rows and many cuts: without the bound the risk of the bad falls below 0 and takes them all for bad
+    few = quality.fit_scorer(good[:30], every[:300], prior=0.3)
+    z = np.column_stack([np.ones(300), few.expand(every[:300])]) @ np.concatenate([[few.bias], few.weights])
+    a = np.column_stack([np.ones(30), few.expand(good[:30])]) @ np.concatenate([[few.bias], few.weights])
+    assert np.logaddexp(0, z).mean() - 0.3 * np.logaddexp(0, a).mean() > -0.05
 
 
 @pytest.mark.parametrize("factor", [1.0, 1.3])
@@ -244,6 +487,24 @@ def test_vantage_tree(factor):
     assert hit >= 360
 
 
+@pytest.mark.parametrize(("cell_rows", "shard_rows"), [(60, 25), (10_000, 10_000), (10_000, 50)])
+def test_nearest_over_cells_shards_and_blocks(spark, monkeypatch, cell_rows, shard_rows):
+    monkeypatch.setattr(vptree, "TASK_QUERIES", 7)
+    rng = np.random.default_rng(8)
+    x = np.concatenate([rng.normal(size=(400, 6)) + 4 * rng.normal(size=(8, 6)).repeat(50, 0), np.repeat(rng.normal(size=(1, 6)), 40, 0)]).astype(np.float32)
+    rows = [(int(i), v.tolist()) for i, v in enumerate(x)] + [(i, [float(i), 1.0]) for i in range(1000, 1030)] + [(20, x[0].tolist()), (7, x[7].tolist())]
+    v = spark.createDataFrame(rows, "vec_id long, embedding array<float>")
+    asked = v.where("vec_id % 20 = 0")
+    got = vptree.nearest(v, asked, k=5, cell_rows=cell_rows, shard_rows=shard_rows).collect()
+    want = []
+    for q, a in rows:
+        if q % 20 == 0:
+            s = sorted((-float(np.dot(np.float64(np.float32(a)), np.float64(np.float32(b)))), i) for i, b in rows if i != q and len(a) == len(b))[:5]
+            want += [(q, n + 1, i, round(-z, 6)) for n, (z, i) in enumerate(s)]
+    assert sorted((r["query_id"], r["rank"], r["vec_id"], round(r["score"], 6)) for r in got) == sorted(want)
+    assert vptree.nearest(v.where("false"), asked).count() == 0 and vptree.nearest(v, asked.where("false")).count() == 0
+
+
 def test_vectors_that_take_no_part(spark):
     rows = [(0, [1.0, 0.0]), (1, [0.0, 0.0]), (2, None), (3, [float("nan"), 1.0]), (4, [0.5, 0.5]), (5, [1.0, None]), (20, [2.0, 1.0])]
     v = spark.createDataFrame(rows, "vec_id long, embedding array<float>")
