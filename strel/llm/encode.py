@@ -19,9 +19,9 @@ from pyspark.sql import SparkSession
 
 #: Distinct chunks a worker remembers at most, in two generations: when the young one is full it
 #: becomes the old one, and chunks that recur come back from there.
-CACHE_CHUNKS = 500_000
+CACHE_CHUNKS = 300_000
 #: Distinct parts of chunks that it remembers before it starts afresh.
-CACHE_PARTS = 500_000
+CACHE_PARTS = 300_000
 #: Bytes of text handled at once.
 BLOCK_BYTES = 1 << 20
 #: Rows of an Arrow batch of whole texts, where an operator runs its own job.
