@@ -53,12 +53,15 @@ def _mask() -> Column:
 
 
 def _sides(pairs: DataFrame, bits: DataFrame) -> tuple[DataFrame, DataFrame]:
-    """Words of both functions of every pair, cut to its common range: p1, n1 and p2, n2."""
+    """Words of both functions of every pair, cut to its common range: p1, n1 and p2, n2.
+
+    Words that hold no feature in that range are left out.
+    """
     key = ["left_fn", "right_fn", "space_res", "time_res", "feature_type"]
     b = bits.select(*FN, "region", "word", "pos", "neg")
     head = pairs.select(*[c for c in (*key, "lo", "hi") if c in pairs.columns])
     on = [c for c in ("space_res", "time_res", "feature_type") if c in head.columns]
-    both = lambda fn: head.join(b.withColumnRenamed("function_id", fn), [fn, *on]).withColumn("m", _mask())
+    both = lambda fn: head.join(b.withColumnRenamed("function_id", fn), [fn, *on]).withColumn("m", _mask()).where("((pos | neg) & m) <> 0")
     x = both("left_fn").select(*key, "region", "word", F.expr("pos & m").alias("p1"), F.expr("neg & m").alias("n1"))
     y = both("right_fn").select(*key, "region", "word", F.expr("pos & m").alias("p2"), F.expr("neg & m").alias("n2"))
     return x, y
@@ -81,7 +84,8 @@ def pair_counts(pairs: DataFrame, bits: DataFrame) -> DataFrame:
     """Sizes and overlaps of the features of every pair, on its common range.
 
     Columns beside those of ``pairs``: feature_type (unless ``pairs`` names it), n1, n2, n_common,
-    n_pos, n_neg. Words of 64 steps meet by equality of (resolution, type, region, word).
+    n_pos, n_neg. Words of 64 steps meet by equality of (resolution, type, region, word). Pairs of
+    which neither function has a feature of a type in the common range have no row for it.
     """
     key = ["left_fn", "right_fn", "space_res", "time_res", "feature_type"]
     x, y = _sides(pairs, bits)
