@@ -8,13 +8,15 @@ document; rows that repeat a text are one group of near duplicates. Empty tables
 
 from __future__ import annotations
 
+import functools
 import uuid
+from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from strel.llm import decontam, linedup, packing, paritysketch, toxicity
-from strel.runtime import materialize, shared_dir, table
+from strel.runtime import give_back, materialize, shared_dir, table
 
 #: Scores and trained models are not SQL.
 ORACLE_SQL = None
@@ -54,12 +56,23 @@ def pack(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     return packing.pack(docs)
 
 
+def _fresh(stage: Callable) -> Callable:
+    """The stage, begun with heaps that do not hold what earlier ones left in them."""
+
+    @functools.wraps(stage)
+    def run_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+        give_back(spark)
+        return stage(spark, docs, sf_dir)
+
+    return run_stage
+
+
 STAGES = [
     ("toxicity", reject_toxic),
-    ("line_dedup", drop_site_lines),
-    ("near_duplicates", keep_one_of_near_duplicates),
-    ("decontamination", decontaminate),
-    ("packing", pack),
+    ("line_dedup", _fresh(drop_site_lines)),
+    ("near_duplicates", _fresh(keep_one_of_near_duplicates)),
+    ("decontamination", _fresh(decontaminate)),
+    ("packing", _fresh(pack)),
 ]
 
 

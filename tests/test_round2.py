@@ -15,3 +15,23 @@ def test_pairs_without_features_in_their_common_range_are_no_candidates(spark):
     ]
     found = relate.pair_counts(pairs, spark.createDataFrame(bits, BITS))
     assert [tuple(r) for r in found.select("feature_type", "n1", "n2", "n_common").collect()] == [("salient", 1, 0, 0)]
+
+
+def test_stages_of_the_pipeline_begin_with_heaps_given_back(spark, monkeypatch):
+    import corpus_pipeline
+
+    asked = []
+    monkeypatch.setattr(corpus_pipeline, "give_back", asked.append)
+    docs = spark.createDataFrame([], "doc_id long, text string, lang string, source string, n_chars long")
+    assert dict(corpus_pipeline.STAGES)["packing"](spark, docs, "").count() == 0
+    assert asked == [spark]
+
+
+def test_give_back_collects_in_tasks_and_on_the_driver(spark):
+    from strel.runtime import give_back
+
+    beans = spark._jvm.java.lang.management.ManagementFactory.getGarbageCollectorMXBeans
+    runs = lambda: sum(b.getCollectionCount() for b in beans())
+    before = runs()
+    give_back(spark)
+    assert runs() - before > 1
