@@ -35,3 +35,32 @@ def test_give_back_collects_in_tasks_and_on_the_driver(spark):
     before = runs()
     give_back(spark)
     assert runs() - before > 1
+
+
+def _both(spark, sf, name, *tables):
+    """Sorted rows of a query and of its SQL."""
+    import duckdb
+
+    from strel.queries import ORACLES, REGISTRY
+
+    con = duckdb.connect()
+    con.execute("SET TimeZone = 'UTC'")
+    for t in tables:
+        con.execute(f"CREATE VIEW {t} AS SELECT * FROM '{sf}/{t}.parquet'")
+    return sorted(tuple(r) for r in REGISTRY[name](spark, str(sf)).collect()), sorted(con.execute(ORACLES[name]).fetchall())
+
+
+def _some_nations(folder):
+    """Nations with a gap and a row more."""
+    import duckdb
+
+    given = "SELECT * FROM '/root/testdata/sf0.001/nation.parquet'"
+    duckdb.execute(f"COPY ({given} WHERE n_nationkey <> 12 UNION ALL {given.replace('*', '* REPLACE (27 AS n_nationkey)')} WHERE n_nationkey = 2) TO '{folder}/nation.parquet' (FORMAT parquet)")
+    return folder
+
+
+def test_the_lattice_is_that_of_the_given_nations(spark, tmp_path):
+    got, want = _both(spark, _some_nations(tmp_path), "adjacency_nation_lattice", "nation")
+    assert got == want and len(want) == 74
+    got, want = _both(spark, "/root/testdata/sf0.001", "adjacency_nation_lattice", "nation")
+    assert got == want and len(want) == 80
