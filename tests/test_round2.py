@@ -1,5 +1,6 @@
 """Cases of the second review: each would have failed before."""
 
+from strel import queries_more, queries_space  # noqa: F401  register their queries
 from strel.operators import relate
 
 BITS = "function_id string, space_res string, time_res string, feature_type string, region string, word int, pos long, neg long"
@@ -64,3 +65,15 @@ def test_the_lattice_is_that_of_the_given_nations(spark, tmp_path):
     assert got == want and len(want) == 74
     got, want = _both(spark, "/root/testdata/sf0.001", "adjacency_nation_lattice", "nation")
     assert got == want and len(want) == 80
+
+
+def test_maps_are_those_of_the_given_nations(spark, tmp_path):
+    from strel.queries import REGISTRY
+
+    found = REGISTRY["graph_shift_maps"](spark, str(_some_nations(tmp_path)))
+    names = {str(k) for k in range(25) if k != 12} | {"27"}
+    for side in ("region", "image"):
+        assert {r[0] for r in found.select(side).distinct().collect()} == names
+    assert found.count() == 200 * 25
+    got, want = _both(spark, "/root/testdata/sf0.001", "graph_shift_maps")
+    assert got == want and len(want) == 200 * 25
