@@ -77,3 +77,15 @@ def test_maps_are_those_of_the_given_nations(spark, tmp_path):
     assert found.count() == 200 * 25
     got, want = _both(spark, "/root/testdata/sf0.001", "graph_shift_maps")
     assert got == want and len(want) == 200 * 25
+
+
+def test_fidelity_is_that_of_the_given_nations(spark, tmp_path):
+    from strel.operators import permute, space
+    from strel.queries import REGISTRY, nations
+
+    sf = str(_some_nations(tmp_path))
+    a = space.lattice_of(nations(spark, sf), 5)
+    want = {(r["k"], round(r["fidelity"], 6)) for r in permute.fidelity(permute.graph_maps(a, 200), a).collect()}
+    assert {tuple(r) for r in REGISTRY["map_fidelity"](spark, sf).collect()} == want
+    got, want = _both(spark, "/root/testdata/sf0.001", "map_fidelity", "nation")
+    assert got == want and len(want) == 200
