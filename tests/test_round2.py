@@ -89,3 +89,15 @@ def test_fidelity_is_that_of_the_given_nations(spark, tmp_path):
     assert {tuple(r) for r in REGISTRY["map_fidelity"](spark, sf).collect()} == want
     got, want = _both(spark, "/root/testdata/sf0.001", "map_fidelity", "nation")
     assert got == want and len(want) == 200
+
+
+def test_cells_in_three_dimensions_are_those_that_hold_embeddings(spark, tmp_path):
+    import math
+
+    rows = [(1, [-0.2, -0.2, -0.2, 9.0]), (2, [-0.2, -0.2, -0.1]), (3, [-0.2, 0.2, -0.2]), (4, [9.0, 9.0, 9.0]), (5, [0.2, 0.2, 0.1]), (6, None), (7, [0.0]), (8, [math.nan, 0.2, 0.2]), (9, [math.inf, 0.2, -0.2]), (10, [0.2, 0.2, None])]
+    spark.createDataFrame(rows, "vec_id long, embedding array<float>").coalesce(1).write.parquet(f"{tmp_path}/x")
+    next((tmp_path / "x").glob("*.parquet")).rename(tmp_path / "embeddings.parquet")
+    got, want = _both(spark, tmp_path, "grid3d_adjacency", "embeddings")
+    assert got == want == [(0, 1), (1, 0), (62, 63), (63, 62)]
+    got, want = _both(spark, "/root/testdata/sf0.001", "grid3d_adjacency", "embeddings")
+    assert got == want and want
