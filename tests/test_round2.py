@@ -101,3 +101,25 @@ def test_cells_in_three_dimensions_are_those_that_hold_embeddings(spark, tmp_pat
     assert got == want == [(0, 1), (1, 0), (62, 63), (63, 62)]
     got, want = _both(spark, "/root/testdata/sf0.001", "grid3d_adjacency", "embeddings")
     assert got == want and want
+
+
+FRESH = ["anti_join_steps_without_features"]
+
+
+def test_queries_read_the_tables_as_they_are(spark, tmp_path):
+    """Once the tables under a path change, their answers do."""
+    import shutil
+
+    from strel.queries import _week
+
+    given = "/root/testdata/sf0.001"
+    for t in ("orders", "lineitem", "customer", "supplier", "events"):
+        shutil.copy(f"{given}/{t}.parquet", tmp_path / f"{t}.parquet")
+    _week(spark, str(tmp_path))
+    import duckdb
+
+    for t, when in (("orders", "o_orderdate"), ("lineitem", "l_shipdate")):
+        duckdb.execute(f"COPY (SELECT * FROM '{given}/{t}.parquet' WHERE hash({when}) % 10 < 7 AND year({when}) < 1998) TO '{tmp_path}/{t}.parquet' (FORMAT parquet)")
+    for name in FRESH:
+        got, want = _both(spark, tmp_path, name, "orders", "lineitem", "customer", "supplier")
+        assert got == want, name
