@@ -103,7 +103,7 @@ def test_cells_in_three_dimensions_are_those_that_hold_embeddings(spark, tmp_pat
     assert got == want and want
 
 
-FRESH = ["anti_join_steps_without_features", "distinct_steps_of_features", "feature_bits_roundtrip", "feature_counts_all", "intersect_feature_points", "interval_join_feature_runs"]
+FRESH = ["anti_join_steps_without_features", "distinct_steps_of_features", "feature_bits_roundtrip", "feature_counts_all", "intersect_feature_points", "interval_join_feature_runs", "pivot_signs"]
 
 
 def test_queries_read_the_tables_as_they_are(spark, tmp_path):
