@@ -16,7 +16,10 @@ which frees more keys. So sets that only have a common passage drop out before a
 Links within a group of near copies need not all be looked at to know its class: each set is first
 compared with one smaller set, that with which it shares most keys, then each class with one other
 class in the same way, as long as that links many. Of the sets of a key that still lie in different
-classes, those outside the key's largest class are then compared with all others.
+classes, those outside the key's largest class then ask for partners among all others: first for
+the few whose sketches are nearest, and once classes have grown by these, sets with more partners in
+other classes ask for many more, until every one has been given all. So a large group of
+near copies is joined by some links a set, and only sets that stay apart are compared one by one.
 
 Before two sets are compared, Hamming distances of their parity sketches (every element flips one
 bit) bound their difference from below: first of narrow ones, then of wide ones. Widths are those of
@@ -49,6 +52,10 @@ BITS_AN_ELEMENT, NARROW_BITS, NARROWEST = 8, 4, 4_096
 #: Keys that one task joins, bytes of text that give one key, and how many times its share a bucket
 #: may hold before it is joined by rows.
 KEYS_PER_TASK, BYTES_A_KEY, HOT_FACTOR = 1_000_000, 12, 4
+#: Partners that a set asks a bucket for at first, and how many times as many in each further round.
+NEAREST, MORE = 4, 16
+#: Words of the sketch of a band that still travels with keys in those rounds, instead of the narrow one.
+WORDS_SENT = 128
 #: Sets of a key beyond which its pairs are joined by rows; pairs that a task holds before it folds
 #: them; and words of sketches that it compares at once.
 HOT_KEY, PAIRS_HELD, PAIRS_AT_ONCE = 3_000, 500_000, 1_000_000
@@ -305,56 +312,73 @@ def components(edges: DataFrame, tag: str = "classes") -> DataFrame:
     return low.select(F.col("u").alias("id"), "component").unionByName(low.select(F.col("component").alias("id"), "component").distinct())
 
 
-def _candidates(num: int, den: int):
+def _candidates(num: int, den: int, most: int):
     """Distinct pairs of sets of different classes that share a key of a bucket and that sizes and
-    narrow sketches allow."""
+    narrow sketches allow: of each set ``ra`` that asks, those with the ``most`` nearest ``rb``.
+
+    ``cut`` tells that the set has more. A set asks where ``asks`` is 1, and where it is -1 outside
+    its key's largest class; so without cuts no pair is left out.
+    """
 
     def run(tbl):
         import pyarrow as pa
 
         tbl = tbl.combine_chunks()
-        key, reg, c, n = (np.asarray(tbl.column(x), np.int64) for x in ("key", "reg", "c", "n"))
+        key, reg, c, n, asks = (np.asarray(tbl.column(x), np.int64) for x in ("key", "reg", "c", "n", "asks"))
         order = np.lexsort((n, key))
         key = key[order]
         sketch = tbl.column("narrow").combine_chunks()
         begin, words = np.asarray(sketch.offsets), np.asarray(sketch.values).view(_U)
         first = np.flatnonzero(np.concatenate([[True], key[1:] != key[:-1]]))
-        found: list[np.ndarray] = []
+        found: list[tuple[np.ndarray, ...]] = []
+        cut: list[np.ndarray] = []
         held = 0
 
-        def fold() -> np.ndarray:
-            both = np.concatenate(found) if found else np.zeros((0, 2), np.int64)
-            both = both[np.lexsort((both[:, 1], both[:, 0]))]
-            return both[np.concatenate([[True], (both[1:] != both[:-1]).any(1)])] if len(both) else both
+        def fold() -> tuple[np.ndarray, ...]:
+            if not found:
+                return np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0)
+            u, v, far = (np.concatenate(x) for x in zip(*found, strict=True))
+            by = np.lexsort((v, far, u))
+            u, v, far = u[by], v[by], far[by]
+            fresh = np.concatenate([[True], (u[1:] != u[:-1]) | (v[1:] != v[:-1])])
+            u, v, far = u[fresh], v[fresh], far[fresh]
+            own = np.flatnonzero(np.concatenate([[True], u[1:] != u[:-1]]))
+            place = np.arange(len(u)) - np.repeat(own, np.diff(np.append(own, len(u))))
+            cut.append(np.unique(u[place >= most]))
+            near = place < most
+            return u[near], v[near], far[near]
 
         for i, j in zip(first.tolist(), [*first[1:].tolist(), len(key)], strict=True):
             at = order[i:j]
             k = c[at]
             if j - i < 2 or (k == k[0]).all():
                 continue
-            r, m = reg[at], n[at]
+            r, m, ask = reg[at], n[at], asks[at]
+            several, often = np.unique(k, return_counts=True)
+            ask = (ask == 1) | ((ask == -1) & (k != several[np.argmax(often)]))
             width = begin[at + 1] - begin[at]
             for w in np.unique(width).tolist():  # sets of one band, but for collisions of keys
                 own = np.flatnonzero(width == w)
                 bits = words[begin[at[own]][:, None] + np.arange(w)[None, :]]
+                asking = np.flatnonzero(ask[own])
                 rows = max(1, PAIRS_AT_ONCE // max(1, len(own) * w))
-                for top in range(0, len(own), rows):
-                    x, y = np.nonzero(np.arange(len(own))[None, :] > np.arange(top, min(top + rows, len(own)))[:, None])
-                    x += top
+                for top in range(0, len(asking), rows):
+                    some = asking[top : top + rows]
+                    x, y = np.repeat(some, len(own)), np.tile(np.arange(len(own)), len(some))
                     p, q = own[x], own[y]
-                    fit = (k[p] != k[q]) & ((r[p] & r[q] & 1) == 0) & (m[p] * den >= m[q] * num)
+                    fit = (k[p] != k[q]) & ((r[p] & r[q] & 1) == 0) & (np.minimum(m[p], m[q]) * den >= np.maximum(m[p], m[q]) * num)
                     x, y, p, q = x[fit], y[fit], p[fit], q[fit]
                     apart = np.bitwise_count(bits[x] ^ bits[y]).sum(1, dtype=np.int64)
                     fit = apart * (den + num) <= (m[p] + m[q]) * (den - num)
                     if fit.any():
-                        u, v = r[p[fit]], r[q[fit]]
-                        found.append(np.column_stack([np.minimum(u, v), np.maximum(u, v)]))
-                        held += len(u)
-            if held > PAIRS_HELD:
-                found[:] = [fold()]
-                held = len(found[0]) // 2
-        both = fold()
-        return pa.table({"ra": pa.array(both[:, 0]), "rb": pa.array(both[:, 1])})
+                        p, q = p[fit], q[fit]
+                        found.append((r[p], r[q], apart[fit] / (m[p] + m[q])))
+                        held += len(p)
+                    if held > PAIRS_HELD:
+                        found[:] = [fold()]
+                        held = len(found[0][0]) // 2
+        u, v, _ = fold()
+        return pa.table({"ra": pa.array(u), "rb": pa.array(v), "cut": pa.array(np.isin(u, np.concatenate([*cut, np.zeros(0, np.int64)])))})
 
     return run
 
@@ -498,27 +522,61 @@ def _classes(docs: DataFrame, id_col: str, text_col: str, width: int, num: int,
     have = materialize(known.groupBy("reg").agg(F.count(F.lit(1)).alias("have")).join(live, "reg").where("have >= need"), "have")
     place = F.row_number().over(Window.partitionBy("reg").orderBy("often", "key"))
     rare = known.join(F.broadcast(have) if have.count() <= BROADCAST_IDS else have, "reg").withColumn("place", place).where("place <= have - need + 1")
-    rare = materialize(rare.join(small.select("reg", "n", "narrow"), "reg").select("key", "reg", "c", "n", "often", "narrow"), "rare-keys", known)
-    total = rare.count()
-    # a bucket of keys gives each of its pairs once. Keys of very many sets are joined by rows: of a
-    # key's sets those outside its largest class meet all others, so a large class does not meet
-    # itself, and the bounds are part of the join
-    usual = rare.where(F.col("often") <= HOT_KEY).drop("often").withColumn("bucket", F.expr(f"pmod(xxhash64(key), {max(8, math.ceil(total / CANDIDATE_ROWS))})"))
-    pairs = usual.groupBy("bucket").applyInArrow(_tidied(_candidates(bands.num, bands.den)), "ra long, rb long")
-    hot = rare.where(F.col("often") > HOT_KEY)
-    if hot.limit(1).count():
-        largest = hot.groupBy("key", "c").agg(F.count(F.lit(1)).alias("m")).groupBy("key").agg(F.max(F.struct("m", "c"))["c"].alias("main"))
-        full = hot.select("key", "reg", "c").join(small, "reg")
+    rare = materialize(rare.join(small.select("reg", "n", "narrow"), "reg").select("key", "reg", "c", "n", "often", "narrow", F.lit(-1).alias("asks")), "rare-keys", known)
+    share = max(8, math.ceil(rare.count() / CANDIDATE_ROWS))
+    pair = lambda rows: rows.withColumn("a", F.expr("least(ra & -2L, rb & -2L)")).withColumn("b", F.expr("greatest(ra & -2L, rb & -2L)"))
+    untested = lambda rows: rows if tested is None else rows.join(tested, ["a", "b"], "left_anti")
+    side = lambda x, y: comp.select(F.col("id").alias(x), F.col("c").alias(y))
+
+    def grown(good: DataFrame) -> DataFrame:
+        """Classes after the links ``good``."""
+        merged = components(good.join(side("a", "ca"), "a").join(side("b", "cb"), "b").select(F.col("ca").alias("a"), F.col("cb").alias("b")))
+        return materialize(comp.join(merged.withColumnRenamed("id", "c"), "c", "left").select("id", F.coalesce("component", "c").alias("c")), "classes", comp)
+
+    # a bucket of keys gives each set its nearest partners, then more of them to those that have more.
+    # The sets of a key of very many are dealt anew in each round, so that most of them meet a partner
+    very = F.col("often") > HOT_KEY
+    hot = rare.where(very).limit(1).count() > 0
+    most, turn, spent = NEAREST, 0, []
+    while True:
+        deal = F.when(very, F.expr(f"pmod(xxhash64(reg, {turn}), CAST(ceil(often / {HOT_KEY}) AS LONG))")).otherwise(F.lit(0))
+        dealt = rare.withColumn("key", F.xxhash64("key", deal)).withColumn("bucket", F.expr(f"pmod(key, {share})")).drop("often")
+        pairs = dealt.groupBy("bucket").applyInArrow(_tidied(_candidates(bands.num, bands.den, most)), "ra long, rb long, cut boolean")
+        pairs = materialize(pair(pairs), "met-pairs")
+        good = similar(bounded(untested(pairs.select(F.least("ra", "rb").alias("ra"), F.greatest("ra", "rb").alias("rb"), "a", "b").distinct())).distinct())
+        links = good.count()
+        if links:
+            comp = grown(good)
+        asking = materialize(pairs.where("cut").select(F.col("ra").alias("reg")).distinct(), "asking")
+        more = asking.count()
+        discard(good)
+        spent += [pairs, asking]
+        if not more and not (hot and links * FEW_LINKS >= classes):
+            break
+        tested = materialize(pairs.select("a", "b").distinct() if tested is None else tested.unionByName(pairs.select("a", "b")).distinct(), "tested", tested)
+        flagged = asking.withColumn("flag", F.lit(1))
+        now = with_class(rare.drop("c", "asks")).join(F.broadcast(flagged) if more <= BROADCAST_IDS else flagged, "reg", "left")
+        now = now.withColumn("asks", F.when(very, -1).otherwise(F.coalesce("flag", F.lit(0)))).drop("flag")
+        live_keys = now.groupBy("key").agg(F.min("c").alias("lo"), F.max("c").alias("hi"), F.max(F.abs("asks")).alias("any")).where("lo < hi AND any = 1").select("key")
+        # few keys are left: their sets are told apart by wider sketches, so what is no link is seldom asked for
+        closer = small.select("reg", F.expr(f"IF(size(wide) <= {WORDS_SENT}, wide, narrow)").alias("narrow"))
+        rare = materialize(now.drop("narrow").join(live_keys, "key", "left_semi").join(closer, "reg"), "rare-keys", rare)
+        most, turn = most * MORE, turn + 1
+    if hot:
+        # what is left of keys of very many sets, by rows: of a key's sets those outside its largest
+        # class meet all others, so a large class does not meet itself, and the bounds are in the join
+        left = with_class(rare.where(very).select("key", "reg"))
+        largest = left.groupBy("key", "c").agg(F.count(F.lit(1)).alias("m")).groupBy("key").agg(F.max(F.struct("m", "c"))["c"].alias("main"))
+        full = left.select("key", "reg", "c").join(small, "reg")
         rest = full.join(largest, "key").where("c <> main")
         crossed = rest.alias("p").join(full.alias("q"), F.expr(f"p.key = q.key AND p.c <> q.c AND (q.c = p.main OR p.c < q.c) AND p.reg & q.reg & 1 = 0 AND {likely}"))
-        pairs = pairs.unionByName(crossed.select(F.least("p.reg", "q.reg").alias("ra"), F.greatest("p.reg", "q.reg").alias("rb")))
-    pairs = materialize(pairs.distinct(), "met-pairs").withColumn("a", F.expr("least(ra & -2L, rb & -2L)")).withColumn("b", F.expr("greatest(ra & -2L, rb & -2L)"))
-    good = similar(bounded(pairs if tested is None else pairs.join(tested, ["a", "b"], "left_anti")).distinct())
-    side = lambda x, y: comp.select(F.col("id").alias(x), F.col("c").alias(y))
-    merged = components(good.join(side("a", "ca"), "a").join(side("b", "cb"), "b").select(F.col("ca").alias("a"), F.col("cb").alias("b")))
-    comp = materialize(comp.join(merged.withColumnRenamed("id", "c"), "c", "left").select(F.col("id").alias("set_a"), F.coalesce("component", "c").alias("component")), "classes")
+        pairs = materialize(crossed.select(F.least("p.reg", "q.reg").alias("ra"), F.greatest("p.reg", "q.reg").alias("rb")).distinct(), "met-pairs")
+        good = similar(untested(pair(pairs).select("a", "b")).distinct())
+        comp = grown(good)
+        spent += [pairs, good]
+    comp = comp.select(F.col("id").alias("set_a"), F.col("c").alias("component"))
     least = one.join(comp, "set_a").groupBy("component").agg(F.min("doc_id").alias("component_id"))
     named = comp.join(least, "component").select("set_a", "component_id")
     named = materialize(one.join(named, "set_a", "left").select("set_a", "set_b", F.coalesce("component_id", "doc_id").alias("component_id")), "classes")
-    discard(need, packed, small, good, rare, *([tested] if tested is not None else []))
+    discard(need, packed, small, rare, *spent, *([tested] if tested is not None else []))
     return doc.join(named, ["set_a", "set_b"], "left").select("doc_id", F.col("n").alias("n_shingles"), F.coalesce("component_id", "doc_id").alias("component_id"))

@@ -109,6 +109,52 @@ def test_hot_keys_are_joined_by_rows(spark, monkeypatch, hot_key):
     assert got == brute_classes(texts)
 
 
+def near_copies(n, words, at_most):
+    """Texts with edits of one text: some links, and pairs just below the threshold."""
+    rng, base = np.random.default_rng(8), text(3, words).split()
+    out = []
+    for k in range(n):
+        w = list(base)
+        for at in rng.choice(len(w), 1 + k * at_most // n, replace=False):
+            w[at] = f"new{k}x{at}"
+        out.append(" ".join(w))
+    return out
+
+
+def test_pairs_of_a_bucket_grow_with_its_rows():
+    import pyarrow as pa
+
+    def made(n, most, asks=-1):
+        """Rows of one key of n near copies, each a class but for a tenth in one class; and whether any was cut."""
+        sketch = np.random.default_rng(1).integers(0, 2**62, 8)
+        narrow = [[*sketch[:7].tolist(), int(sketch[7]) ^ (1 << i % 50)] for i in range(n)]
+        reg, c = [2 * i for i in range(n)], [max(i, n // 10) for i in range(n)]
+        given = {"key": [5] * n, "reg": reg, "c": c, "n": [200] * n, "asks": [asks] * n, "narrow": pa.array(narrow, pa.list_(pa.int64()))}
+        got = paritysketch._candidates(3, 4, most)(pa.table(given))
+        pairs = {(min(a, b), max(a, b)) for a, b in zip(*(got.column(x).to_pylist() for x in ("ra", "rb")), strict=True)}
+        every = {(a, b) for a in reg for b in reg if a < b and c[a // 2] != c[b // 2]}
+        return got.num_rows, pairs, every, any(got.column("cut").to_pylist())
+
+    for n in (100, 400):
+        rows, pairs, every, cut = made(n, 4)
+        assert rows <= 4 * n and cut and pairs < every
+        for asks in (-1, 1):
+            _, pairs, every, cut = made(n, n, asks)
+            assert pairs == every and not cut
+    assert made(100, 4, 0)[0] == 0
+
+
+@pytest.mark.parametrize(("nearest", "more"), [(1, 2), (2, 8)])
+def test_sets_ask_until_they_have_all_partners(spark, monkeypatch, nearest, more):
+    monkeypatch.setattr(paritysketch, "NEAREST", nearest)
+    monkeypatch.setattr(paritysketch, "MORE", more)
+    monkeypatch.setattr(paritysketch, "PAIRS_HELD", 20)
+    monkeypatch.setattr(paritysketch, "FEW_LINKS", 1)
+    texts = [*near_copies(60, 200, 12), *near_copies(30, 60, 6)]
+    got = {r["doc_id"]: (r["n_shingles"], r["component_id"]) for r in paritysketch.near_duplicates(docs(spark, texts)).collect()}
+    assert got == brute_classes(texts)
+
+
 def test_near_duplicates_with_repeated_and_null_ids(spark):
     a, b = text(1, 40), text(2, 40)
     given = spark.createDataFrame([(5, a), (5, b), (7, b + " x"), (None, a + " y"), (None, text(3, 40)), (None, None)], "doc_id long, text string")
